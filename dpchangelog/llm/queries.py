@@ -17,12 +17,24 @@ def op1_token_records(spark, sf_dir):
     return op1(spark, table(spark, sf_dir, "documents"), _vocabulary("byte_bpe_50k.json"), 2)
 
 
+def op2_token_counts(spark, sf_dir):
+    from .token_counts import op2
+
+    return op2(spark, table(spark, sf_dir, "documents"), _vocabulary("byte_bpe_50k.json"))
+
+
 def op7_vector_packing(spark, sf_dir):
     from .packing import op7
 
     return op7(spark, table(spark, sf_dir, "documents"), _vocabulary("byte_bpe_50k.json"))
 
 
+def op8_piece_bpe(spark, sf_dir):
+    from .piece_bpe import op8
+
+    return op8(spark, table(spark, sf_dir, "documents"), _vocabulary("piece_bpe_32k.model"))
+
+
 def queries():
     return {k: v for k, v in globals().items() if k.startswith("op") and callable(v)}
 
