@@ -35,6 +35,12 @@ def op8_piece_bpe(spark, sf_dir):
     return op8(spark, table(spark, sf_dir, "documents"), _vocabulary("piece_bpe_32k.model"))
 
 
+def op10_simhash(spark, sf_dir):
+    from .simhash import op10
+
+    return op10(spark, table(spark, sf_dir, "documents"))
+
+
 def queries():
     return {k: v for k, v in globals().items() if k.startswith("op") and callable(v)}
 
