@@ -23,6 +23,18 @@ def op2_token_counts(spark, sf_dir):
     return op2(spark, table(spark, sf_dir, "documents"), _vocabulary("byte_bpe_50k.json"))
 
 
+def op3_line_dedup(spark, sf_dir):
+    from .line_dedup import op3
+
+    return op3(spark, table(spark, sf_dir, "documents"))
+
+
+def op4_quality_rules(spark, sf_dir):
+    from .quality_rules import op4
+
+    return op4(spark, table(spark, sf_dir, "documents"))
+
+
 def op7_vector_packing(spark, sf_dir):
     from .packing import op7
 
@@ -46,4 +58,6 @@ def queries():
 
 
 def oracle_sql():
-    return {}
+    from . import line_dedup
+
+    return {"op3_line_dedup": line_dedup.SQL}
