@@ -42,7 +42,7 @@ def windows(keyed: DataFrame) -> DataFrame:
     made = F.transform(at, lambda i: F.struct(F.xxhash64(F.get("l", i), F.get("l", i + 1), F.get("l", i + 2)).alias("x"), F.xxhash64(F.get("m", i), F.get("m", i + 1), F.get("m", i + 2)).alias("y"), i.alias("pos"), ((F.get("l", i) == blank) & (F.get("l", i + 1) == blank) & (F.get("l", i + 2) == blank)).alias("empty")))
     made = F.sort_array(F.filter(made, lambda w: ~w["empty"]))
     # Sorted by hash, then position: the first of equal neighbours is the first in its document.
-    rows = hashed.select("a", "b", "h", made.alias("w")).where(F.size("w") > 0)
+    rows = hashed.select("a", "b", "h", made.alias("w"))
     rows = rows.select("a", "b", "h", F.posexplode(F.transform("w", lambda w, k: F.struct(w["x"].alias("x"), w["y"].alias("y"), w["pos"].alias("pos"), ((k == 0) | (F.get("w", k - 1)["x"] != w["x"]) | (F.get("w", k - 1)["y"] != w["y"])).alias("first")))).alias("k", "v"))
     return rows.select("a", "b", "h", "v.*")
 

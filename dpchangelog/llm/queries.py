@@ -35,6 +35,18 @@ def op4_quality_rules(spark, sf_dir):
     return op4(spark, table(spark, sf_dir, "documents"))
 
 
+def op5_quality_classifier(spark, sf_dir):
+    from .quality_classifier import op5
+
+    return op5(spark, table(spark, sf_dir, "documents"), table(spark, sf_dir, "labels"))
+
+
+def op6_embedding_dedup(spark, sf_dir):
+    from .embedding_dedup import op6
+
+    return op6(spark, table(spark, sf_dir, "embeddings"))
+
+
 def op7_vector_packing(spark, sf_dir):
     from .packing import op7
 
@@ -47,14 +59,26 @@ def op8_piece_bpe(spark, sf_dir):
     return op8(spark, table(spark, sf_dir, "documents"), _vocabulary("piece_bpe_32k.model"))
 
 
+def op9_lm_scoring(spark, sf_dir):
+    from .lm_scoring import op9
+
+    return op9(spark, sf_dir)
+
+
 def op10_simhash(spark, sf_dir):
     from .simhash import op10
 
     return op10(spark, table(spark, sf_dir, "documents"))
 
 
+def pipeline(spark, sf_dir):
+    import corpus_pipeline
+
+    return corpus_pipeline.run(spark, sf_dir)
+
+
 def queries():
-    return {k: v for k, v in globals().items() if k.startswith("op") and callable(v)}
+    return {k: v for k, v in globals().items() if k == "pipeline" or k.startswith("op") and callable(v)}
 
 
 def oracle_sql():
