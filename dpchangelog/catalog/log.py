@@ -15,19 +15,27 @@ T_JAN15, T_FEB = T0 + 14 * DAY, T0 + 31 * DAY
 T98, T99 = T1995 + 1096 * DAY, T1995 + 1461 * DAY
 
 
+#: Values as text, as a column of whole numbers and nulls isn't one type to every reader.
+AS_TEXT = " select entry, ts, seq, kind, cast(before as varchar) as before, cast(after as varchar) as after from cl"
+
+
+def as_text(cl):
+    return cl.withColumns({c: F.col(c).cast("string") for c in ("before", "after")})
+
+
 @query(f"with {CL_STATE} select * from cl")
 def changelog_event_state(spark, d):
     return event_state(spark, d)
 
 
-@query(f"with {CL_VALUE} select * from cl")
+@query(f"with {CL_VALUE} {AS_TEXT}")
 def changelog_value_state(spark, d):
-    return event_value(spark, d)
+    return as_text(event_value(spark, d))
 
 
-@query(f"with {CL_SHIP} select * from cl")
+@query(f"with {CL_SHIP} {AS_TEXT}")
 def changelog_order_ship(spark, d):
-    return order_ship(spark, d)
+    return as_text(order_ship(spark, d))
 
 
 @query(f"with {CL_STATUS} select * from cl")
@@ -123,14 +131,14 @@ def neighbour_changelog(spark, d):
 
 @query("""with src as (select user_id, ts, event_id, cast(round(value * 100) as bigint) as v, epoch_us(ts) as us from events),
 f as (select user_id, us as t, cast(0 as bigint) as o, event_id, v from src union all select user_id, ((us // 86400000000) + 1) * 86400000000, 1, event_id, (v + 50) // 100 * 100 from src),
-""" + _lag("f", "event_id", "t", "o", "v") + " select * from cl")
+""" + _lag("f", "event_id", "t", "o", "v") + AS_TEXT)
 def overwrite_batch_1d(spark, d):
     """Each event enters with its value and is overwritten by a corrected one at the end of its day."""
     e = events(spark, d).select("event_id", "us", F.round(F.col("value") * 100).cast("long").alias("v"))
     fast = e.select("event_id", F.col("us").alias("t"), F.lit(0).cast("long").alias("o"), "v")
     end = (F.floor(F.col("us") / DAY).cast("long") + 1) * DAY
     fixed = e.select("event_id", end.alias("t"), F.lit(1).cast("long").alias("o"), (F.floor((F.col("v") + 50) / 100) * 100).cast("long").alias("v"))
-    return changelog.from_history(fast.unionByName(fixed), "event_id", "t", "v", "o")
+    return as_text(changelog.from_history(fast.unionByName(fixed), "event_id", "t", "v", "o"))
 
 
 # Constraints.
@@ -199,8 +207,8 @@ def composite_state_changelog(spark, d):
     return constraints.composite_states(cl, constraints.mutation_bound(edges)[1])
 
 
-@query("""with src as (select o_custkey, o_orderdate, o_orderkey, least(2, row_number() over (partition by o_custkey order by o_orderdate, o_orderkey)) as v from orders), """ + _lag("src", "o_custkey", "epoch_us(o_orderdate)", "o_orderkey", "v") + " select * from cl")
+@query("""with src as (select o_custkey, o_orderdate, o_orderkey, least(2, row_number() over (partition by o_custkey order by o_orderdate, o_orderkey)) as v from orders), """ + _lag("src", "o_custkey", "epoch_us(o_orderdate)", "o_orderkey", "v") + AS_TEXT)
 def counter_bucket_changelog(spark, d):
     o = table(spark, d, "orders").select("o_custkey", "o_orderkey", micros("o_orderdate").alias("us"))
     n = F.row_number().over(Window.partitionBy("o_custkey").orderBy("us", "o_orderkey"))
-    return changelog.from_history(o.withColumn("v", constraints.bucketed(n, [1, 2])), "o_custkey", "us", "v", "o_orderkey")
+    return as_text(changelog.from_history(o.withColumn("v", constraints.bucketed(n, [1, 2])), "o_custkey", "us", "v", "o_orderkey"))

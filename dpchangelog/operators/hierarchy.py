@@ -41,6 +41,10 @@ def _div(a: Column, w: int) -> Column:
     return F.floor(a / w).cast("long")
 
 
+def _of_layer(j: int):
+    return lambda i: F.struct(F.lit(j).alias("layer"), i.alias("idx"))
+
+
 def cover_df(ranges: DataFrame, c: int, h: int) -> DataFrame:
     """ranges: (range_id, l, r) -> (range_id, layer, idx): the nodes that make up (l, r], in closed form, no search.
 
@@ -56,7 +60,7 @@ def cover_df(ranges: DataFrame, c: int, h: int) -> DataFrame:
         else:
             up_lo, up_hi = -_div(-l, c ** (j + 1)) * c, _div(r, c ** (j + 1)) * c
             ids = F.when(up_hi <= up_lo, run(lo, hi)).otherwise(F.concat(run(lo, F.least(hi, up_lo)), run(F.greatest(lo, up_hi), hi)))
-        parts.append(F.transform(ids, lambda i, j=j: F.struct(F.lit(j).alias("layer"), i.alias("idx"))))
+        parts.append(F.transform(ids, _of_layer(j)))
     return ranges.select("range_id", F.explode(F.concat(*parts)).alias("n")).select("range_id", "n.layer", "n.idx")
 
 
@@ -79,11 +83,12 @@ def make_consistent(nodes: DataFrame, n: int, c: int, h: int) -> DataFrame:
     """
     if n % c ** (h - 1):
         raise ValueError("the base intervals fill whole top nodes")
+    nodes = nodes.persist()  # few rows, read once a layer
     up = [nodes.where("layer = 0").select("idx", F.col("noisy").alias("z"))]
     for j in range(1, h):
         own = (c ** (j + 1) - c**j) / (c ** (j + 1) - 1)
         sums = up[-1].groupBy(F.floor(F.col("idx") / c).cast("long").alias("idx")).agg(F.sum("z").alias("below"))
-        up.append(nodes.where(F.col("layer") == j).join(sums, "idx").select("idx", (own * F.col("noisy") + (1 - own) * F.col("below")).alias("z")))
+        up.append(nodes.where(F.col("layer") == j).join(sums, "idx").select("idx", (own * F.col("noisy") + (1 - own) * F.col("below")).alias("z")).persist())
     down = up[-1].withColumnRenamed("z", "u")
     out = [down.select(F.lit(h - 1).alias("layer"), "idx", F.col("u").alias("consistent"))]
     for j in range(h - 2, -1, -1):
