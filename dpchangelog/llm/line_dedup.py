@@ -78,7 +78,8 @@ def dedup_lines(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text")
     sized = joined.withColumn("gone", F.sort_array(covered)).withColumn("n", F.when(F.col("t").isNull(), 0).otherwise(F.size(lines)))
     edges = F.concat(F.array(F.lit(-1)), F.col("gone"), F.array(F.col("n").cast("int")))
     gaps = F.filter(F.transform(F.sequence(F.lit(0), F.size("gone")), lambda k: F.struct(F.get("e", k).alias("lo"), F.get("e", k + 1).alias("hi"))), lambda g: g["hi"] - g["lo"] > 1)
-    kept = F.flatten(F.transform(gaps, lambda g: F.slice(F.col("ls"), g["lo"] + 2, g["hi"] - g["lo"] - 1)))
+    # The second mention of ls keeps Spark from computing it anew for every gap.
+    kept = F.when(F.size("ls") > 0, F.flatten(F.transform(gaps, lambda g: F.slice(F.col("ls"), g["lo"] + 2, g["hi"] - g["lo"] - 1))))
     cut_text = F.when(F.col("gone").isNull(), F.col("t")).otherwise(F.array_join("kept", "\n"))
     sized = sized.withColumn("e", F.when(F.col("gone").isNotNull(), edges)).withColumn("ls", F.when(F.col("gone").isNotNull(), lines)).withColumn("kept", F.when(F.col("gone").isNotNull(), kept))
     out = [cut_text.alias(c) if c == text_col else F.col(f"row.{_quoted(c)}").alias(c) for c in docs.columns if c not in ("n_lines", "n_removed")]
