@@ -2,6 +2,6 @@
 
 
 def load():
-    from . import accounts, base, local_rr, log, ops, releases  # noqa: F401
+    from . import accounts, base, local_rr, log, ops, releases, workloads  # noqa: F401
 
     return base.QUERIES, base.SQL

@@ -6,7 +6,7 @@ import math
 from dataclasses import dataclass
 from functools import lru_cache
 
-from .accounting import Budget, ceil_int, folds_sliding_b, folds_sliding_k, folds_tree_b, folds_tree_k
+from .accounting import Budget, ceil_int, folds_sliding_b, folds_sliding_k, folds_tree_b, folds_tree_k, height_for
 
 
 def cover(l: int, r: int, c: int, h: int) -> list[tuple[int, int]]:
@@ -70,3 +70,37 @@ def choose_sliding_plan(w: int, p: int, total_eps: float, k: int | None = None,
 
 def explain_release(name: str, folds: int, per_query: Budget, variance: float) -> str:
     return f"{name}: {folds} folds; each query ({per_query.eps:g}, {per_query.delta:g}); in all ({folds * per_query.eps:g}, {folds * per_query.delta:g}); variance of a node {variance:g}"
+
+
+def fanout_sweep(n: int, fanouts=range(2, 33)) -> list[tuple[int, int, int, float]]:
+    """(c, h, worst nodes of a prefix or range, h^2 times it): the variance of a tree over n intervals at one total budget."""
+    out = []
+    for c in fanouts:
+        h = height_for(n, c)
+        nodes = max(len(cover(0, r, c, h)) for r in range(1, n + 1))
+        out.append((c, h, nodes, float(h * h * nodes)))
+    return out
+
+
+def best_fanout(n: int, fanouts=range(2, 33)) -> int:
+    return min(fanout_sweep(n, fanouts), key=lambda x: x[3])[0]
+
+
+@dataclass(frozen=True)
+class ReleaseSpec:
+    """What a release promises: n intervals (None: without end), and whether later queries may depend on earlier answers."""
+
+    name: str
+    n: int | None = None
+    adaptive: bool = False
+
+    def budget(self, per_query: Budget, folds: int | None, method: str = "basic", slack: float = 0.0) -> Budget:
+        """Total of the folds an entry touches; without a bound on folds, that of all n queries."""
+        from . import accounting as A
+
+        k = folds if folds is not None else self.n
+        if k is None:
+            raise ValueError("an endless release of unconstrained entries has no finite budget")
+        if method == "optimal":
+            return min((x for x in A.compose_optimal(per_query, k, self.adaptive) if x.delta <= slack), key=lambda x: x.eps)
+        return A.compose_advanced(per_query, k, slack) if method == "advanced" else A.fold(k, per_query)

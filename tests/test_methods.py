@@ -241,3 +241,59 @@ def test_ledger(spark, tmp_path):
     with pytest.raises(Overspent):
         book.charge("two", 3, A.Budget(0.25))
     assert book.remaining().eps == pytest.approx(0.5)
+
+
+def test_sql_functions_and_tables(spark):
+    from dpchangelog.functions import sql
+
+    sql.register(spark)
+    assert spark.sql("select interval_idx(10, 0, 10) a, interval_idx(11, 0, 10) b, interval_idx(0, 0, 10) c").first() == (0, 1, -1)
+    assert sorted(map(tuple, spark.sql("select layer, idx from cover_nodes(5, 17, 2, 5)").collect())) == sorted(cover(5, 17, 2, 5))
+    assert spark.sql("select * from tree_nodes(5, 2, 3)").count() == 5 + 3 + 2
+    want = spark.range(1).select(noise.laplace(2.0, noise.Key("test", "q"), F.lit(3)).alias("x")).first().x
+    assert spark.sql("select lap_noise(concat_ws('|', 'test', 'q', 3, ''), 2.0D) as x").first().x == pytest.approx(want)
+
+
+def test_change_feed_source_and_sinks(spark, tmp_path):
+    import json
+
+    from dpchangelog.sources import tables
+    from dpchangelog.sources.change_feed import ChangeFeed
+
+    (tmp_path / "feed").mkdir()
+    rows = [{"entry": 1, "ts": 5, "kind": "insert", "after": "a"}, {"entry": 1, "ts": 9, "seq": 2, "kind": "update", "before": "a", "after": "b"}]
+    (tmp_path / "feed/1.jsonl").write_text("\n".join(map(json.dumps, rows)))
+    spark.dataSource.register(ChangeFeed)
+    cl = spark.read.format("change_feed").option("path", str(tmp_path / "feed")).load()
+    assert [tuple(r) for r in cl.orderBy("ts").collect()] == [(1, 5, 0, "insert", None, "a"), (1, 9, 2, "update", "a", "b")]
+    tables.write_changelog(cl, str(tmp_path / "log"))
+    assert tables.read(spark, str(tmp_path / "log")).count() == 2
+    r = release.disjoint(cl, IntervalGrid.regular(0, 10, 2), linear.count_if(lambda v: v == "b"), noise.OFF, noise.Key())
+    tables.write_release(r, str(tmp_path / "out"), release_id="one")
+    with pytest.raises(Exception):
+        tables.write_release(r, str(tmp_path / "out"), release_id="one")
+    series = tables.snapshot_series(spark, {1: str(tmp_path / "out/release=one")})
+    assert series[0][1].count() == 2
+
+
+def test_release_spec():
+    from dpchangelog.plans.planner import ReleaseSpec, best_fanout, explain_release
+
+    assert ReleaseSpec("r", 30).budget(A.Budget(0.1), None).eps == pytest.approx(3)
+    assert ReleaseSpec("r").budget(A.Budget(0.1), 4).eps == pytest.approx(0.4)
+    with pytest.raises(ValueError):
+        ReleaseSpec("r").budget(A.Budget(0.1), None)
+    with pytest.raises(ValueError):
+        ReleaseSpec("r", adaptive=True).budget(A.Budget(0.1), 8, "optimal", 1e-6)
+    assert best_fanout(720) in range(2, 33)
+    assert "4 folds" in explain_release("r", 4, A.Budget(0.1), 2.0)
+
+
+def test_neighbours_and_separating_queries(spark):
+    from dpchangelog.operators import local
+
+    cl = log(spark, [(1, 5, None, "a"), (2, 5, None, "a"), (2, 15, "a", "b"), (3, 25, None, "c")])
+    assert changelog.without_entry(cl, 2).count() == 2 and changelog.with_entry(changelog.without_entry(cl, 2), cl.where("entry = 2")).count() == 4
+    g = IntervalGrid.regular(0, 10, 3)
+    assert [r.idx for r in local.separating_queries(cl, g, 1, 2).collect()] == [1]
+    assert sorted(r.idx for r in local.separating_queries(cl, g, 1, 3).collect()) == [0, 2]
