@@ -16,7 +16,7 @@ from __future__ import annotations
 from pyspark.sql import Column, DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
-from .common import cut, prepare
+from .common import cut, prepare, stored
 
 #: Least documents of a group; smaller groups are fitted together by language, then all together, and below it not at all.
 LEAST = 60
@@ -55,7 +55,7 @@ def text_statistics(df: DataFrame, text: Column) -> DataFrame:
         F.transform("_w", lambda w: F.xxhash64(w)).alias("_h"),
     )
     stats = ["n_words", "word_chars", "n_symbols", "n_dup_lines", "n_lines"]
-    df = df.select(*own, *stats, F.when(F.size("_h") > SPAN, F.transform(F.sequence(F.lit(1), F.size("_h") - SPAN + 1), lambda i: F.xxhash64(F.slice("_h", i, SPAN)))).alias("_g"))
+    df = df.select(*own, *stats, F.when(F.size("_h") > SPAN, F.transform(F.sequence(F.lit(0), F.size("_h") - SPAN), lambda i: F.xxhash64(*[F.get("_h", i + k) for k in range(SPAN)]))).alias("_g"))
     # Windows are sorted only in texts that hold a repeated one; equal neighbours give the repeated positions.
     df = df.select(*own, *stats, F.when(F.size(F.array_distinct("_g")) < F.size("_g"), F.sort_array(F.transform("_g", lambda g, i: F.struct(g.alias("g"), i.alias("i"))))).alias("_s"))
     again = F.transform("_s", lambda v, k: F.when((F.get("_s", k - 1)["g"] == v["g"]) | (F.get("_s", k + 1)["g"] == v["g"]), v["i"]))
@@ -159,14 +159,13 @@ def quality_rules(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text
 
 
 def documents_kept(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", lang_col: str = "lang", source_col: str = "source") -> DataFrame:
-    """The rows of docs that quality_rules keeps, with their columns. The texts are measured twice, and never shuffled."""
+    """The rows of docs that quality_rules keeps, with their columns. Rows and statistics are stored once between fit and
+    judgement, so the texts are measured once and never shuffled."""
     prepare(docs.sparkSession)
-    args = (docs, id_col, text_col, lang_col, source_col)
-    groups, estimates = fit(cut(_measured(*args, []).select("lk", "sk", "base_failed", *VECTOR)).where("not base_failed"))
     row = F.struct(*[F.col(f"`{c}`") for c in docs.columns]).alias("row")
-    # The partition id keeps Spark from pushing the filter into the statistics, whose expressions it would then multiply.
-    stats = _measured(*args, [row]).withColumn("_at", F.spark_partition_id())
-    return judge(stats, groups, estimates).where("kept and _at >= 0").select("row.*")
+    stats = stored(_measured(docs, id_col, text_col, lang_col, source_col, [row]), "rules")
+    groups, estimates = fit(stats.where("not base_failed").select("lk", "sk", *VECTOR))
+    return judge(stats, groups, estimates).where("kept").select("row.*")
 
 
 def op4(spark: SparkSession, docs: DataFrame) -> DataFrame:
