@@ -79,7 +79,7 @@ class IntervalGrid:
         first, last = F.floor(F.col("start_us") / day), F.floor(F.col("end_us") / day)
         cells = ends.withColumn("cell", F.explode(F.sequence(first.cast("long"), last.cast("long"))))
         held = df.withColumn("cell", F.floor(F.col(ts) / day).cast("long"))
-        out = held.join(F.broadcast(cells), "cell").where((F.col(ts) > F.col("start_us")) & (F.col(ts) <= F.col("end_us"))).drop("cell", "start_us", "end_us")
+        out = held.join(cells, "cell").where((F.col(ts) > F.col("start_us")) & (F.col(ts) <= F.col("end_us"))).drop("cell", "start_us", "end_us")
         return out if not from_beginning else out.unionByName(df.where(F.col(ts) <= self.endpoints[0]).withColumn("idx", F.lit(0).cast("long")))
 
     def df(self, spark: SparkSession) -> DataFrame:

@@ -85,7 +85,7 @@ def local_vote(cl: DataFrame, entries: DataFrame, grid: IntervalGrid, eps: float
     estimated share of changes is at least the threshold."""
     p, q = responses.optimal_matrix(2, eps)
     net = changelog.net_change(grid.assign(cl)).select("entry", "idx", F.lit(1).alias("changed"))
-    every = entries.select("entry").crossJoin(F.broadcast(grid.df(cl.sparkSession).select("idx"))).join(net, ["entry", "idx"], "left")
+    every = entries.select("entry").crossJoin(grid.df(cl.sparkSession).select("idx")).join(net, ["entry", "idx"], "left")
     truth = F.coalesce("changed", F.lit(0))
     bit = F.when(uniform(key, F.col("entry"), F.col("idx"), salt="v") < p, truth).otherwise(1 - truth)
     counts = every.select("idx", bit.alias("bit")).groupBy("idx").agg(F.sum("bit").alias("s"), F.count("*").alias("n"))

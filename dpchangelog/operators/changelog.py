@@ -91,7 +91,7 @@ def snapshot_at(cl: DataFrame, t: int) -> DataFrame:
 
 def asof_join(times: DataFrame, cl: DataFrame) -> DataFrame:
     """(entry, t, value) for each entry and each time of a small table (t), null where the entry isn't alive."""
-    entries = cl.select("entry").distinct().crossJoin(F.broadcast(times.select("t")))
+    entries = cl.select("entry").distinct().crossJoin(times.select("t"))
     value = cl.schema["after"].dataType
     asked = entries.select("entry", F.col("t").alias("ts"), F.lit((1 << 62)).cast("long").alias("seq"), F.lit(None).cast(value).alias("after"), F.lit(True).alias("ask"))
     known = cl.select("entry", "ts", "seq", "after", F.lit(False).alias("ask")).unionByName(asked)

@@ -78,29 +78,29 @@ def prefix_series(nodes: DataFrame, n: int, c: int, h: int) -> DataFrame:
 def make_consistent(nodes: DataFrame, n: int, c: int, h: int) -> DataFrame:
     """Least-squares smoothing of a tree of equal node variances, so a parent is the sum of its children.
 
-    Up: a node's own value and the sum of its children are averaged by their precisions. Down: what a parent has beyond its
-    children is dealt out evenly. Each layer is one small equi-join. Needs n to be a multiple of c^(h-1).
+    Both passes are linear, so neither is a loop. Up: a node's estimate is a weighted sum over its subtree, a weight a layer.
+    Down: a node gains c^-d of the gap of each ancestor d layers up, the gap being the ancestor's estimate less its
+    children's. A few equi-joins, whatever the height. Needs n to be a multiple of c^(h-1).
     """
     if n % c ** (h - 1):
         raise ValueError("the base intervals fill whole top nodes")
-    nodes = nodes.persist()  # few rows, read once a layer
-    up = [nodes.where("layer = 0").select("idx", F.col("noisy").alias("z"))]
-    for j in range(1, h):
-        own = (c ** (j + 1) - c**j) / (c ** (j + 1) - 1)
-        sums = up[-1].groupBy(F.floor(F.col("idx") / c).cast("long").alias("idx")).agg(F.sum("z").alias("below"))
-        up.append(nodes.where(F.col("layer") == j).join(sums, "idx").select("idx", (own * F.col("noisy") + (1 - own) * F.col("below")).alias("z")).persist())
-    down = up[-1].withColumnRenamed("z", "u")
-    out = [down.select(F.lit(h - 1).alias("layer"), "idx", F.col("u").alias("consistent"))]
-    for j in range(h - 2, -1, -1):
-        parent = F.floor(F.col("idx") / c).cast("long")
-        sums = up[j].groupBy(parent.alias("p")).agg(F.sum("z").alias("all"))
-        gap = down.join(sums, F.col("idx") == F.col("p")).select("p", ((F.col("u") - F.col("all")) / c).alias("gap"))
-        down = up[j].withColumn("p", parent).join(gap, "p").select("idx", (F.col("z") + F.col("gap")).alias("u"))
-        out.append(down.select(F.lit(j).alias("layer"), "idx", F.col("u").alias("consistent")))
-    result = out[0]
-    for part in out[1:]:
-        result = result.unionByName(part)
-    return result
+    own = [(c ** (j + 1) - c**j) / (c ** (j + 1) - 1) for j in range(h)]  # 1 at the base
+    weight = [[0.0] * h for _ in range(h)]
+    for j in range(h):
+        weight[j][j] = own[j]
+        for k in range(j):
+            weight[j][k] = (1 - own[j]) * weight[j - 1][k]
+    table = F.array(*[F.array(*[F.lit(x) for x in row]) for row in weight])
+    above = lambda idx, d: F.floor(F.col(idx) / F.pow(F.lit(c), d)).cast("long")
+    up = nodes.select("layer", "idx", "noisy", F.explode(F.sequence(F.col("layer"), F.lit(h - 1))).alias("j"))
+    part = F.element_at(F.element_at(table, F.col("j") + 1), F.col("layer") + 1) * F.col("noisy")
+    z = up.select(above("idx", F.col("j") - F.col("layer")).alias("i"), "j", part.alias("x")).groupBy(F.col("j").alias("layer"), F.col("i").alias("idx")).agg(F.sum("x").alias("z"))
+    children = z.where(F.col("layer") < h - 1).groupBy((F.col("layer") + 1).alias("layer"), above("idx", F.lit(1)).alias("idx")).agg(F.sum("z").alias("s"))
+    gap = z.join(children, ["layer", "idx"]).select(F.col("layer").alias("m"), F.col("idx").alias("a"), (F.col("z") - F.col("s")).alias("g"))
+    down = z.where(F.col("layer") < h - 1).select("layer", "idx", F.explode(F.sequence(F.col("layer") + 1, F.lit(h - 1))).alias("m"))
+    far = F.col("m") - F.col("layer")
+    gain = down.withColumn("a", above("idx", far)).join(gap, ["m", "a"]).groupBy("layer", "idx").agg(F.sum(F.col("g") / F.pow(F.lit(c), far)).alias("d"))
+    return z.join(gain, ["layer", "idx"], "left").select("layer", "idx", (F.col("z") + F.coalesce("d", F.lit(0.0))).alias("consistent"))
 
 
 def layer_weights(h: int, total_eps: float, ratio: float = 1.0) -> list[float]:

@@ -13,7 +13,7 @@ from .linear import LinearQuery, change
 def dense_changes(cl: DataFrame, entries: DataFrame, grid: IntervalGrid, query: LinearQuery) -> DataFrame:
     """(entry, idx, exact) for every entry and interval."""
     sums = change(grid.assign(cl), query, ("entry", "idx"))
-    every = entries.select("entry").crossJoin(F.broadcast(grid.df(cl.sparkSession).select("idx")))
+    every = entries.select("entry").crossJoin(grid.df(cl.sparkSession).select("idx"))
     return every.join(sums, ["entry", "idx"], "left").withColumn("exact", F.coalesce("exact", F.lit(0)))
 
 

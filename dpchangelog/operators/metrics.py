@@ -43,7 +43,7 @@ def touch_counts(touched: DataFrame) -> DataFrame:
 def parallel_bound(touched: DataFrame, budgets: DataFrame) -> DataFrame:
     """(entry, eps, delta): composed budget of the queries an entry touches; the release's is the largest. budgets: (idx,
     eps, delta). The value depends on the data, so it serves tests and is never published."""
-    return touched.join(F.broadcast(budgets), "idx").groupBy("entry").agg(F.sum("eps").alias("eps"), F.sum("delta").alias("delta"))
+    return touched.join(budgets, "idx").groupBy("entry").agg(F.sum("eps").alias("eps"), F.sum("delta").alias("delta"))
 
 
 def cover_statistics(c: int, h: int, lengths) -> list[tuple[int, int, int]]:
@@ -64,7 +64,7 @@ def matched_ratio(w: int, p: int, c: int, h: int | None = None, k: int | None =
 
 def monte_carlo(exact: DataFrame, scale: float, runs: int, key: Key) -> DataFrame:
     """(idx, bias, var): mean and variance of the error of Laplace answers over many keys; the data aren't scanned again."""
-    draws = exact.crossJoin(F.broadcast(exact.sparkSession.range(runs).select(F.col("id").alias("run"))))
+    draws = exact.crossJoin(exact.sparkSession.range(runs).select(F.col("id").alias("run")))
     error = laplace(scale, key, "0", F.col("idx"), F.col("run"))
     return draws.select("idx", error.alias("e")).groupBy("idx").agg(F.avg("e").alias("bias"), F.var_samp("e").alias("var"))
 

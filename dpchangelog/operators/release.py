@@ -14,7 +14,7 @@ def dense(grid: IntervalGrid, exact: DataFrame, domain: DataFrame | None = None,
     """Every interval (and every public group), 0 where nothing happened: presence must not show."""
     base = grid.df(exact.sparkSession).select("idx")
     if domain is not None:
-        base = base.crossJoin(F.broadcast(domain))
+        base = base.crossJoin(domain)
     return base.join(exact, ["idx", *on], "left").withColumn("exact", F.coalesce("exact", F.lit(0)))
 
 

@@ -123,7 +123,7 @@ def change_matrix(z: int, compact: bool = False) -> np.ndarray:
 def dense_pairs(cl: DataFrame, entries: DataFrame, grid: IntervalGrid, symbols: list[str]) -> DataFrame:
     """(entry, idx, b, a) for every entry and interval; an entry without a change reports too (null, null)."""
     net = changelog.net_change(grid.assign(cl)).select("entry", "idx", code_of("before", symbols).alias("b"), code_of("after", symbols).alias("a"))
-    every = entries.select("entry").crossJoin(F.broadcast(grid.df(cl.sparkSession).select("idx")))
+    every = entries.select("entry").crossJoin(grid.df(cl.sparkSession).select("idx"))
     return every.join(net, ["entry", "idx"], "left")
 
 
