@@ -104,7 +104,7 @@ def train_models(rows: DataFrame) -> Models:
 
     parts = rows.mapInArrow(count, "block long, counts binary").repartition("block").mapInArrow(add, "block long, counts binary")
     total = np.zeros((2, (WORDS + PAIRS) // BLOCK, BLOCK), np.int64)
-    for r in parts.toLocalIterator():
+    for r in parts.collect():  # as large as the models, whatever the corpus
         total[:, r.block] = np.frombuffer(r.counts, np.int64).reshape(2, BLOCK)
     total = total.reshape(2, -1)
     return Models(total[:, :WORDS], total[:, WORDS:])
