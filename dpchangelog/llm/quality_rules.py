@@ -23,8 +23,9 @@ LEAST = 60
 SHARE, STEPS = 0.75, 3
 #: chi-square with 5 degrees of freedom: the quantile 0.999, and the factor that makes the covariance of the nearest 0.75 consistent.
 CUTOFF, CONSISTENCY = 20.515, 1.4125
-#: Standard deviations that are added to each statistic's own, in the order of VECTOR.
-FLOOR = (0.5, 0.15, 0.5, 1.0, 1.0)
+#: Standard deviations that are added to each statistic's own, in the order of VECTOR: repeats have rules of their own, and a
+#: repeated line alone does not make a short document an outlier.
+FLOOR = (0.5, 0.15, 0.5, 2.0, 2.0)
 VECTOR = {
     "x0": "ln(1D + n_words)",
     "x1": "ln(greatest(word_chars, 1L) / cast(greatest(n_words, 1L) as double))",
