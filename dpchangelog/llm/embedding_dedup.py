@@ -192,7 +192,8 @@ def near_vectors(vectors: DataFrame, threshold: float = 0.9, id_col: str = "vec_
     weights = found.where("v is null").groupBy(F.col("u").alias("rep")).agg(F.sum("weight").alias("weight"))
     member = components(found.where("v is not null").select("u", "v")).select(F.col("node").alias("rep"), "component")
     named = cut(groups.join(weights, "rep", "left").join(member, "rep", "left").select("vec", "n", "least", F.coalesce("weight", F.lit(0)).alias("weight"), F.coalesce("component", "rep").alias("component")))
-    least = named.groupBy("component").agg(F.min("least").alias("component_id"))
+    # Cut, so that the join below is of two plain shuffles, of which Spark splits the part of a large component.
+    least = cut(named.groupBy("component").agg(F.min("least").alias("component_id")))
     final = named.join(least, "component").select("vec", (F.col("n") - 1 + F.col("weight")).alias("n_links"), "component_id")
     out = rows.where("vec is not null").join(final, "vec").select("vec_id", "n_links", "component_id")
     out = out.unionByName(rows.where("vec is null").select("vec_id", F.lit(0).cast("long").alias("n_links"), F.col("vec_id").alias("component_id")))

@@ -242,8 +242,9 @@ def _groups(docs, radius, id_col, text_col, words, seed):
     classes = cut(fps.groupBy("fp").agg(F.min("doc_id").alias("least")))  # copies meet here
     links = fingerprint_links(classes.select("fp"), classes.count(), radius)
     member = components(links)
-    named = classes.join(member.select(F.col("node").alias("fp"), "component"), "fp", "left").select("fp", "least", F.coalesce("component", "fp").alias("component"))
-    least = named.groupBy("component").agg(F.min("least").alias("component_id"))
+    named = cut(classes.join(member.select(F.col("node").alias("fp"), "component"), "fp", "left").select("fp", "least", F.coalesce("component", "fp").alias("component")))
+    # Cut, so that the join below is of two plain shuffles, of which Spark splits the part of a large component.
+    least = cut(named.groupBy("component").agg(F.min("least").alias("component_id")))
     return fps.join(named.join(least, "component").select("fp", "component", "component_id"), "fp")
 
 
