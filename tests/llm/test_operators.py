@@ -393,6 +393,34 @@ def test_lm_awkward(spark, awkward, empty):
     assert lm_scoring.score_documents(empty, good).count() == 0
 
 
+def test_lm_counts_every_word_and_pair(spark, monkeypatch):
+    """Against models of dictionaries without hashing, on more different words and pairs than 2^18."""
+    monkeypatch.setattr(lm_scoring, "CHUNK_BYTES", 300_000, raising=False)
+    monkeypatch.setattr(lm_scoring, "SHARD_BYTES", 600_000, raising=False)
+    r = np.random.default_rng(7)
+    texts = [" ".join(f"w{x}" for x in np.r_[np.arange(700) + 700 * i, r.integers(0, 3000, 300), r.zipf(1.5, 200) % 90].tolist()) + ("" if i % 3 else " end w1 end") for i in range(420)]
+    data = spark.createDataFrame(list(enumerate(texts)), "doc_id long, text string")
+    out = {x.doc_id: x for x in lm_scoring.score_documents(data, data.where("doc_id % 4 = 0").select("doc_id")).collect()}
+    words, pairs = [Counter(), Counter()], [Counter(), Counter()]
+    for i, t in enumerate(texts):
+        w = t.split()
+        words[i % 4 == 0].update(w)
+        pairs[i % 4 == 0].update(zip(w, w[1:]))
+    total, size = [c.total() for c in words], len(words[0] | words[1])
+    assert size > 1 << 18 and len(out) == len(texts)
+    for i in range(0, len(texts), 7):
+        w, loss = texts[i].split(), []
+        own_w, own_p = Counter(w), Counter(zip(w, w[1:]))
+        for m in (1, 0):
+            mine, s, x = m == (i % 4 == 0), 1 if m else total[1] / total[0], 0.0
+            for k, word in enumerate(w):
+                one = (s * (words[m][word] - mine * own_w[word]) + 0.1) / (s * (total[m] - mine * len(w)) + 0.1 * size)
+                pair, b = (w[k - 1], word), w[k - 1]
+                x -= np.log((s * (pairs[m][pair] - mine * own_p[pair]) + 16 * one) / (s * (words[m][b] - mine * own_w[b]) + 16) if k else one)
+            loss.append(x / len(w))
+        assert (out[i].target_loss, out[i].background_loss) == pytest.approx(tuple(loss), rel=1e-9)
+
+
 # 10
 def fingerprint_by_hand(t):
     import xxhash
