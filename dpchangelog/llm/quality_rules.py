@@ -23,15 +23,18 @@ LEAST = 60
 SHARE, STEPS = 0.75, 3
 #: chi-square with 5 degrees of freedom: the quantile 0.999, and the factor that makes the covariance of the nearest 0.75 consistent.
 CUTOFF, CONSISTENCY = 20.515, 1.4125
-#: Standard deviations that are added to each statistic's own, in the order of VECTOR: repeats have rules of their own, and a
-#: repeated line alone does not make a short document an outlier.
-FLOOR = (0.5, 0.15, 0.5, 2.0, 2.0)
+#: Standard deviations that are added to each statistic's own, in the order of VECTOR, so that a group that is alike in one
+#: of them has a covariance at all. Each statistic can reject by itself.
+FLOOR = (0.5, 0.15, 0.5, 0.6, 0.6)
+#: Lines and words without repeats that each document is given for its shares of repeats: a single repeated line is a large
+#: share of a short document and says little, and the addition fades in long ones.
+CLEAN_LINES, CLEAN_WORDS = 40, 400
 VECTOR = {
     "x0": "ln(1D + n_words)",
     "x1": "ln(greatest(word_chars, 1L) / cast(greatest(n_words, 1L) as double))",
     "x2": "ln(1D + 100D * n_symbols / greatest(word_chars, 1L))",
-    "x3": "ln(1D + 100D * n_dup_lines / greatest(n_lines, 1L))",
-    "x4": "ln(1D + 100D * n_repeat_words / greatest(n_words, 1L))",
+    "x3": f"ln(1D + 100D * n_dup_lines / (n_lines + {CLEAN_LINES}L))",
+    "x4": f"ln(1D + 100D * n_repeat_words / (n_words + {CLEAN_WORDS}L))",
 }
 P = len(VECTOR)
 PAIRS = [(i, j) for i in range(P) for j in range(i + 1)]

@@ -234,6 +234,20 @@ def test_outliers_against_numpy(spark):
     assert sum(not j.kept for j in judged) == (d > quality_rules.CUTOFF).sum() >= 25
 
 
+def test_repeats_alone_reject_long_documents_only(spark):
+    r = np.random.default_rng(3)
+    words = lambda n: " ".join("".join(map(chr, r.integers(97, 123, 5))) for _ in range(n))
+    lines = lambda n: [words(9) for _ in range(n)]
+    texts = ["\n".join(lines(k)) for k in np.exp(r.uniform(1.6, 6, 150)).astype(int).tolist()]
+    half = "\n".join(x for line in lines(200) for x in (line, "again and again"))  # every other line is one short line
+    short = lines(8)
+    texts += [half, "\n".join([*short, short[3]])]
+    out = {x.doc_id: x for x in quality_rules.quality_rules(spark.createDataFrame(rows(texts), SCHEMA)).collect()}
+    assert out[150].n_dup_lines == 199 and not out[150].base_failed and not out[150].kept
+    assert out[151].n_dup_lines == 1 and not out[151].base_failed and out[151].kept
+    assert all(out[i].kept for i in range(150))
+
+
 def test_quality_rules_awkward(awkward, empty):
     assert quality_rules.quality_rules(awkward).count() == awkward.count()
     assert quality_rules.documents_kept(awkward).columns == awkward.columns
