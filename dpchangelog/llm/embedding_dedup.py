@@ -20,6 +20,8 @@ from .common import components, cut, prepare
 from .simhash import forest
 
 TABLES, PROBES, ROWS = 10, 2, 1024
+#: Share of the pairs at the threshold that are to meet in a table, for any number of vectors.
+RECALL = 0.999
 
 
 def hadamard(x: np.ndarray) -> np.ndarray:
@@ -70,6 +72,26 @@ def axes_for(n: int, d: int) -> int:
     return axes
 
 
+def tables_for(axes: int, d: int, threshold: float, tables: int = TABLES, probes: int = PROBES, recall: float = RECALL) -> int:
+    """Tables, no fewer than given, that pairs at the threshold need to meet with the wanted chance: the chance of a table is
+    that of 4,000 random pairs at exactly that cosine, less three standard errors. More rotations a code need more tables."""
+    r = np.random.default_rng(5)
+    cosine = min(1.0, max(0.0, threshold))
+    met = 0.0
+    for k in range(4):
+        x, z = r.normal(size=(2, 1000, d))
+        x /= np.linalg.norm(x, axis=1, keepdims=True)
+        z -= (z * x).sum(1, keepdims=True) * x
+        z /= np.maximum(np.linalg.norm(z, axis=1, keepdims=True), 1e-300)
+        y = cosine * x + np.sqrt(1 - cosine**2) * z
+        a, b = probe_codes(x, 1, probes, axes, 100 + k), probe_codes(y, 1, probes, axes, 100 + k)
+        met += (a[:, :, :, None] == b[:, :, None, :]).any((1, 2, 3)).mean() / 4
+    met -= 3 * np.sqrt(met * (1 - met) / 4000)
+    if met <= 0:
+        raise ValueError(f"pairs at a cosine of {threshold} hardly ever share a bucket of {axes} rotations")
+    return tables if met >= 1 else max(tables, int(np.ceil(np.log(1 - recall) / np.log(1 - met))))
+
+
 def unit(rows: list) -> tuple[np.ndarray, np.ndarray]:
     """(usable, unit vectors of the usable ones in double precision); rows: vectors of one length."""
     x = np.array(rows, np.float64)
@@ -96,6 +118,7 @@ def classes(vectors: DataFrame, id_col: str, vector_col: str) -> DataFrame:
 def verified_links(distinct: DataFrame, n: int, width: int, threshold: float, tables: int, probes: int) -> DataFrame:
     """(u, v, weight) from distinct (rep, n, vec): rows with v null carry weights of links, the others make up a forest."""
     axes = axes_for(n, width)
+    tables = tables_for(axes, width, threshold, tables, probes)
 
     def deal(batches):
         for b in batches:

@@ -345,6 +345,22 @@ def test_recall_at_the_threshold():
     assert np.allclose(embedding_dedup.hadamard(embedding_dedup.hadamard(x)), x)
 
 
+@pytest.mark.parametrize("n", [1, 10**6, 10**8])
+def test_recall_holds_for_many_vectors(n):
+    r = np.random.default_rng(16)
+    axes = embedding_dedup.axes_for(n, 64)
+    tables = embedding_dedup.tables_for(axes, 64, 0.9)
+    x, z = r.normal(size=(2, 3000, 64))
+    x /= np.linalg.norm(x, axis=1, keepdims=True)
+    z -= (z * x).sum(1, keepdims=True) * x
+    z /= np.linalg.norm(z, axis=1, keepdims=True)
+    y = 0.9 * x + np.sqrt(1 - 0.81) * z
+    a, b = (embedding_dedup.probe_codes(v, tables, axes=axes) for v in (x, y))
+    met = (a[:, :, :, None] == b[:, :, None, :]).any((1, 2, 3))
+    print(axes, tables, met.mean())
+    assert met.mean() >= 0.997
+
+
 # 7
 def check_packed(out, texts, tokenizer, limits):
     ids = {i: np.array(tokenizer.encode(t or "", add_special_tokens=False).ids + [0], "<u4") for i, t in texts.items()}
