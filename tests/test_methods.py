@@ -66,6 +66,18 @@ def test_worst_covers(c, worst):
         assert max(worst_cover(n, c, h) for n in range(1, c**h + 1)) >= most - 1
 
 
+@pytest.mark.parametrize(("c", "h"), [(2, 3), (2, 8), (3, 4), (4, 3), (7, 2), (10, 2)])
+def test_worst_covers_over_all_offsets(c, h):
+    for n in range(1, 2 * c**h):
+        assert worst_cover(n, c, h) == max(len(cover(l, l + n, c, h)) for l in range(c ** (h - 1)))
+
+
+def test_planner_looks_at_trees_for_long_windows():
+    best = choose_sliding_plan(14 * 24 * 60, 1, 1.0, k=1)  # 14 days, every minute
+    assert best.kind == "tree" and best.worst_variance < 2 * 1404 + 1
+    assert choose_sliding_plan(10**9, 1, 1.0, k=1).kind == "tree"
+
+
 def test_tree_folds_safe_and_published():
     assert A.folds_tree_b(3, 2, 1, 1) == 6
     assert A.folds_tree_b(3, 2, 1, 1, "published") == pytest.approx(4.75)
