@@ -13,7 +13,7 @@ from dpchangelog.llm.line_dedup import dedup_lines
 from dpchangelog.llm.packing import pack_texts
 from dpchangelog.llm.quality_classifier import documents_accepted
 from dpchangelog.llm.quality_rules import documents_kept
-from dpchangelog.llm.simhash import near_duplicates_removed
+from dpchangelog.llm.shingle_dedup import near_copies_removed
 
 
 def classify(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
@@ -33,8 +33,8 @@ def cut_repeated_lines(spark: SparkSession, docs: DataFrame, sf_dir: str) -> Dat
 
 
 def drop_near_duplicates(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """One document of each group of near duplicates."""
-    return near_duplicates_removed(docs)
+    """One document of each group of near duplicates: five-word shingles, similarity of 0.8 or more."""
+    return near_copies_removed(docs)
 
 
 def pack(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:

@@ -1,0 +1,120 @@
+"""The pipeline's near-duplicate stage: documents whose sets of five-word shingles have a similarity (Jaccard) of 0.8 or more.
+
+Equal texts meet by a hash of the text. Other candidates share a band of a min-hash signature: BANDS bands of DEPTH values, so
+that two texts of similarity s share none with a chance of (1 - s^DEPTH)^BANDS, 7e-5 at 0.8. Candidates are verified: in a bucket
+the shingle sets themselves are compared, so a link is never below the similarity. Only texts that share a bucket send their
+sets. As with fingerprints, a bucket above ROWS is cut into parts whose pairs are dealt out, and a spanning forest leaves it.
+"""
+
+from __future__ import annotations
+
+import numpy as np
+import pyarrow as pa
+from pyspark.sql import DataFrame
+from pyspark.sql import functions as F
+
+from .common import components, cut, prepare
+from .simhash import first_of_groups, shingle_hashes
+
+BANDS, DEPTH, ROWS = 24, 5, 512
+
+
+def bands(shingles: np.ndarray, seed: int = 17) -> np.ndarray:
+    """Code of each band of the signature; texts without words share all."""
+    if not len(shingles):
+        return np.zeros(BANDS, np.int64)
+    m = np.random.default_rng(seed).integers(0, 2**63, (2, BANDS * DEPTH), dtype=np.uint64) * np.uint64(2) + np.uint64(1)
+    least = np.full(BANDS * DEPTH, ~np.uint64(0))
+    for k in range(0, len(shingles), 2048):
+        x = (shingles[k : k + 2048, None] ^ m[1]) * m[0]
+        least = np.minimum(least, (x ^ (x >> np.uint64(32))).min(0))
+    code = np.zeros(BANDS, np.uint64)
+    for x in least.reshape(BANDS, DEPTH).T:
+        code = (code ^ x) * np.uint64(0x9E3779B97F4A7C15)
+        code ^= code >> np.uint64(29)
+    return code.view(np.int64)
+
+
+def similar(a: np.ndarray, b: np.ndarray, similarity: float) -> bool:
+    """a, b: sorted sets."""
+    if not min(len(a), len(b)):
+        return len(a) == len(b)
+    if min(len(a), len(b)) < similarity * max(len(a), len(b)):
+        return False
+    at = np.searchsorted(b, a)
+    both = int((b[np.minimum(at, len(b) - 1)] == a).sum())
+    return both >= similarity * (len(a) + len(b) - both)
+
+
+def linked(sets: list, left: list[int], right: list[int] | None, similarity: float) -> list[tuple[int, int]]:
+    """A spanning forest of the links within left, or of those between left and right. Pairs that are joined already are
+    not compared."""
+    root, links = np.arange(len(sets)), []
+    for n, i in enumerate(left):
+        others = np.array(left[n + 1 :] if right is None else right, np.int64)
+        for j in others[root[others] != root[i]].tolist():
+            if root[j] != root[i] and similar(sets[i], sets[j], similarity):
+                root[root == root[j]] = root[i]
+                links.append((i, j))
+    return links
+
+
+def near_copies_removed(docs: DataFrame, words: int = 5, similarity: float = 0.8, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
+    """The rows of docs that stay, with the columns of docs: of each group of linked documents the one with the smallest id.
+
+    Null texts are equal to each other, and texts without words are alike. Of repeated rows of the document that stays one
+    stays; a null id comes after all others, and a group without ids keeps one row.
+    """
+    prepare(docs.sparkSession)
+    texts = docs.select(F.xxhash64(f"`{text_col}`").alias("h"), F.col(f"`{text_col}`").alias("text"))
+
+    def sign(batches):
+        for b in batches:
+            codes = [bands(np.unique(shingle_hashes(t, words))) for t in b.column(1).to_pylist()]
+            yield pa.RecordBatch.from_arrays([b.column(0), pa.array([c.tolist() for c in codes], pa.list_(pa.int64()))], ["h", "codes"])
+
+    def gather(batches):
+        for b in batches:
+            yield pa.RecordBatch.from_arrays([b.column(0), pa.array([np.unique(shingle_hashes(t, words)).tobytes() for t in b.column(1).to_pylist()], pa.binary())], ["h", "shingles"])
+
+    classes = cut(texts.mapInArrow(sign, "h long, codes array<long>").groupBy("h").agg(F.first("codes").alias("codes")))
+    keyed = classes.select("h", F.posexplode("codes").alias("band", "code"))
+    sizes = keyed.groupBy("band", "code").agg(F.count("*").alias("size")).where("size > 1")
+    live = cut(keyed.join(sizes, ["band", "code"]))
+    sets = cut(texts.join(live.select("h").distinct(), "h", "left_semi").dropDuplicates(["h"]).mapInArrow(gather, "h long, shingles binary"))
+    parts = live.withColumn("parts", F.ceil(F.col("size") / ROWS).cast("int")).withColumn("mine", F.pmod(F.xxhash64("h"), F.col("parts")).cast("int"))
+    pair = F.explode(F.transform(F.sequence(F.lit(0), F.col("parts") - 1), lambda j: F.struct(F.least(j, F.col("mine")).alias("a"), F.greatest(j, F.col("mine")).alias("b"))))
+    jobs = parts.select("band", "code", pair.alias("p"), "mine", "h").select("band", "code", "p.a", "p.b", "mine", "h").join(sets, "h").select("band", "code", "a", "b", "mine", "h", "shingles")
+
+    def compare(batches):
+        """Rows arrive sorted by job; one job is held at a time."""
+
+        def work(rows):
+            held = [np.frombuffer(r[6], np.uint64) for r in rows]
+            b, split = rows[0][3], rows[0][2] != rows[0][3]
+            left = [k for k, r in enumerate(rows) if not split or r[4] != b]
+            found = linked(held, left, [k for k, r in enumerate(rows) if r[4] == b] if split else None, similarity)
+            return [(rows[i][5], rows[j][5]) for i, j in found]
+
+        held: list = []
+        for batch in batches:
+            done: list = []
+            for row in zip(*(c.to_pylist() for c in batch.columns), strict=True):
+                if held and held[0][:4] != row[:4]:
+                    done += work(held)
+                    held = []
+                held.append(row)
+            yield out(done)
+        if held:
+            yield out(work(held))
+
+    def out(links):
+        return pa.RecordBatch.from_arrays([pa.array([x[k] for x in links], pa.int64()) for k in (0, 1)], ["u", "v"])
+
+    by = ["band", "code", "a", "b"]
+    member = components(jobs.repartition(*by).sortWithinPartitions(*by).mapInArrow(compare, "u long, v long"))
+    named = classes.select("h").join(member.select(F.col("node").alias("h"), "component"), "h", "left").select("h", F.coalesce("component", "h").alias("component"))
+    ids = docs.select(F.col(f"`{id_col}`").cast("long").alias("doc_id"), F.xxhash64(f"`{text_col}`").alias("h"))
+    # Smallest id of each text before the join, so that copies meet in an aggregate.
+    least = ids.groupBy("h").agg(F.min("doc_id").alias("doc_id"))
+    return first_of_groups(docs, least.join(named, "h"), id_col, text_col)

@@ -253,7 +253,11 @@ def near_duplicates_removed(docs: DataFrame, radius: int = 4, id_col: str = "doc
 
     Of repeated rows of that document one stays; a null id comes after all others, and a group without ids keeps one row.
     """
-    found = _groups(docs, radius, id_col, text_col, 4, 42)
+    return first_of_groups(docs, _groups(docs, radius, id_col, text_col, 4, 42), id_col, text_col)
+
+
+def first_of_groups(docs: DataFrame, found: DataFrame, id_col: str, text_col: str) -> DataFrame:
+    """The row of docs of each component's smallest id; found: (doc_id, h, component)."""
     first = found.groupBy("component").agg(F.min(F.struct(F.col("doc_id").isNull().alias("b"), F.coalesce("doc_id", F.lit(0)).alias("a"), "h")).alias("k")).select("k.*")
     keyed = docs.select(F.struct(*[F.col(f"`{c}`") for c in docs.columns]).alias("row"), F.col(f"`{id_col}`").isNull().alias("b"), F.coalesce(F.col(f"`{id_col}`").cast("long"), F.lit(0)).alias("a"), F.xxhash64(f"`{text_col}`").alias("h"))
     return keyed.join(first, ["a", "b", "h"], "left_semi").dropDuplicates(["a", "b", "h"]).select("row.*")

@@ -552,6 +552,35 @@ def test_pipeline(spark, docs, texts, tokenizer, tmp_path):
     check_packed(stages["packing"](spark, four, SF).toPandas(), left, tokenizer, packing.Limits())
 
 
+def test_near_copies_of_similarity_08(spark, monkeypatch):
+    import corpus_pipeline as c
+
+    try:
+        monkeypatch.setattr("dpchangelog.llm.shingle_dedup.ROWS", 20)
+    except ImportError:
+        pass
+    r = np.random.default_rng(12)
+    texts = []
+    for _ in range(25):
+        base = r.integers(0, 10**6, 300)
+        texts.append(base)
+        for n in (1, 3, 5, 12):  # words that are changed
+            x = base.copy()
+            x[r.choice(300, n, replace=False)] = r.integers(10**6, 2 * 10**6, n)
+            texts.append(x)
+    base = r.integers(0, 10**6, 300)
+    texts += [np.r_[base[:-1], k] for k in range(60)]
+    texts = [" ".join(f"w{x}" for x in t.tolist()) for t in texts]
+    sets = [{tuple(w[i : i + 5]) for i in range(len(w) - 4)} for w in map(str.split, texts)]
+    label = np.arange(len(texts))
+    for i in range(len(texts)):
+        for j in range(i):
+            if len(sets[i] & sets[j]) >= 0.8 * len(sets[i] | sets[j]):
+                label[label == max(label[i], label[j])] = min(label[i], label[j])
+    left = {x.doc_id for x in dict(c.STAGES)["simhash_near_dedup"](spark, spark.createDataFrame(rows(texts), SCHEMA), SF).collect()}
+    assert left == set(label.tolist()) and 26 < len(left) < 80
+
+
 def test_pipeline_stages_awkward(spark, awkward, empty):
     import corpus_pipeline as c
 
