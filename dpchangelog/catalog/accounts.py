@@ -156,7 +156,7 @@ def matched_variance_ratio(spark, d):
 @query(None)
 def cover_slack(spark, d):
     """Most nodes a range takes, against the bound."""
-    rows = [(c, h, n, worst, bound) for c, h in ((2, 8), (3, 5), (10, 2)) for n, worst, bound in metrics.cover_statistics(c, h, range(1, min(c**h, 100)))]
+    rows = [(c, h, n, worst, bound) for c, h in ((2, 8), (3, 5), (10, 2)) for n, worst, bound in metrics.cover_statistics(c, h, range(1, c**h))]
     return spark.createDataFrame(rows, "c int, h int, length int, worst int, bound int")
 
 

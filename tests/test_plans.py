@@ -41,3 +41,8 @@ def test_one_scan_and_no_python(spark, name):
 def test_noise_stays_in_the_jvm(spark):
     df = QUERIES["disjoint_noisy_laplace"](spark, SF)
     assert "md5" in df._jdf.queryExecution().optimizedPlan().toString() and "EvalPython" not in plan(df)
+
+
+def test_cover_slack_has_every_length(spark):
+    n = {(r.c, r.h): r["count"] for r in QUERIES["cover_slack"](spark, SF).groupBy("c", "h").count().collect()}
+    assert n == {(2, 8): 255, (3, 5): 242, (10, 2): 99}
