@@ -8,12 +8,14 @@ import uuid
 import zipfile
 from pathlib import Path
 
+import numpy as np
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 #: Rows of one Arrow batch. Texts of a batch are held in memory together, so this is below Spark's default of 10,000.
 ARROW_ROWS = "2000"
 _shipped: set[str] = set()
+_made: list[str] = []
 
 
 def prepare(spark: SparkSession) -> None:
@@ -33,10 +35,13 @@ def prepare(spark: SparkSession) -> None:
 
 
 def shared_dir(spark: SparkSession) -> str:
-    """The folder that driver and executors share: spark.checkpoint.dir, or a folder of our own where it is unset."""
+    """The folder that driver and executors share: spark.checkpoint.dir. Where it is unset, a local master gets a folder of our
+    own; a cluster must name one, as a folder of one machine would lose what others write."""
     sc = spark.sparkContext
     configured = sc.getConf().get("spark.checkpoint.dir") or sc.getCheckpointDir()
     if not configured:
+        if not sc.master.startswith("local"):
+            raise ValueError("set spark.checkpoint.dir to a folder that the driver and all executors share")
         configured = "file://" + tempfile.mkdtemp(prefix="shared-")
     if not sc.getCheckpointDir():
         sc.setCheckpointDir(configured)
@@ -44,7 +49,23 @@ def shared_dir(spark: SparkSession) -> str:
 
 
 def shared_path(spark: SparkSession, name: str) -> str:
-    return f"{shared_dir(spark)}/{name}-{uuid.uuid4().hex}"
+    """A new path in the shared folder; made() lists those given out."""
+    _made.append(f"{shared_dir(spark)}/{name}-{uuid.uuid4().hex}")
+    return _made[-1]
+
+
+def made() -> list[str]:
+    return _made
+
+
+def discard(spark: SparkSession, paths: list[str]) -> None:
+    """Delete intermediates once nothing reads them any more."""
+    jvm, conf = spark._jvm, spark._jsc.hadoopConfiguration()
+    for p in paths:
+        at = jvm.org.apache.hadoop.fs.Path(p)
+        at.getFileSystem(conf).delete(at, True)
+        if p in _made:
+            _made.remove(p)
 
 
 def cut(df: DataFrame) -> DataFrame:
@@ -64,21 +85,46 @@ def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
     return spark.read.parquet(f"{sf_dir}/{name}.parquet")
 
 
-def components(edges: DataFrame, max_rounds: int = 60) -> DataFrame:
+#: Copies of a label's row in the label join, so that no task has all members of a large component.
+SALTS = 32
+#: Links of a row of a spanning tree to rows below it.
+FAN = 16
+
+
+def tree_links(root: np.ndarray, ids: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+    """(child, parent) ids of a tree over the rows of each root, no row with more than FAN children and the smallest id on top:
+    neither a hub nor a long chain."""
+    order = np.lexsort((ids, root))
+    r = root[order]
+    start = np.flatnonzero(np.r_[True, r[1:] != r[:-1]]) if len(r) else np.zeros(0, np.int64)
+    at = np.arange(len(r)) - np.repeat(start, np.diff(np.r_[start, len(r)]))
+    child = np.flatnonzero(at)
+    parent = child - at[child] + (at[child] - 1) // FAN
+    return ids[order[child]], ids[order[parent]]
+
+
+def components(edges: DataFrame, max_rounds: int = 60, plain: int = 4) -> DataFrame:
     """Smallest reachable id of every node that has an edge: (u, v) -> (node, component).
 
-    Minimum labels travel along edges and then jump to their label's label, so long chains shrink by about half in each
-    round. Only aggregates that combine before the shuffle and plain equi-joins are used; nothing is collected but one
-    count a round. Self-loops, repeats and either direction of an edge are accepted; null ends are ignored.
+    Minimum labels travel along edges, and from the round `plain` on they jump to their label's label as well, so that long
+    chains shrink by about half in each round. Only aggregates that combine before the shuffle and equi-joins are used; nothing
+    is collected but one count a round. The join by label is salted, as a large component is one key there. Self-loops,
+    repeats and either direction of an edge are accepted; null ends are ignored.
     """
     e = edges.select("u", "v").where("u is not null and v is not null and u <> v")
     e = cut(e.unionByName(e.select(F.col("v").alias("u"), F.col("u").alias("v"))).distinct())
     labels = cut(e.groupBy(F.col("u").alias("node")).agg(F.min("v").alias("m")).select("node", F.least("node", "m").alias("label")))
-    for _ in range(max_rounds):
+    salt = F.pmod(F.xxhash64("node"), F.lit(SALTS)).cast("int")
+    for k in range(max_rounds):
         heard = e.join(labels.select(F.col("node").alias("v"), "label"), "v").groupBy(F.col("u").alias("node")).agg(F.min("label").alias("heard"))
         low = labels.join(heard, "node", "left").select("node", F.col("label").alias("was"), F.least("label", F.coalesce("heard", "label")).alias("label"))
-        up = labels.select(F.col("node").alias("label"), F.col("label").alias("up"))
-        labels = cut(low.join(up, "label", "left").select("node", "was", F.least("label", F.coalesce("up", "label")).alias("label")))
+        if k >= plain:
+            # Labels that are to move on: few, and one row each before they are salted.
+            asked = labels.select("label").distinct()
+            up = labels.where("node <> label").select(F.col("node").alias("label"), F.col("label").alias("up")).join(asked, "label")
+            up = up.select("label", "up", F.explode(F.sequence(F.lit(0), F.lit(SALTS - 1))).alias("salt"))
+            low = low.withColumn("salt", salt).join(up, ["label", "salt"], "left").select("node", "was", F.least("label", F.coalesce("up", "label")).alias("label"))
+        labels = cut(low)
         if labels.where("was <> label").isEmpty():
             return labels.select("node", F.col("label").alias("component"))
         labels = labels.select("node", "label")

@@ -23,6 +23,12 @@ def _quoted(c: str) -> str:
     return "`" + c.replace("`", "``") + "`"
 
 
+def _free(name: str, taken: list[str]) -> str:
+    while name.lower() in (c.lower() for c in taken):
+        name += "_"
+    return name
+
+
 def _keyed(docs: DataFrame, id_col: str, text_col: str) -> DataFrame:
     """a, b, h: the key of a document (its id, whether that is null, and a hash of its text)."""
     i, t = F.col(_quoted(id_col)), F.col(_quoted(text_col))
@@ -66,8 +72,9 @@ def dedup_lines(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text")
 
     Null and empty texts stay (0 and 1 lines). Repeated rows of one id and text count as one document and are all treated
     alike; rows of one id with other texts are told apart by text, and the first occurrence among them keeps its lines in
-    each. A null id is later than any other; among null ids the smallest text hash is first. Extra columns are kept, under
-    any name but those two. A document may become an empty text, if all its lines are covered.
+    each. A null id is later than any other; among null ids the smallest text hash is first. Extra columns are kept under
+    any name; where one is called n_lines or n_removed (in any case), the new column of that name gets underscores behind it
+    until it is free. A document may become an empty text, if all its lines are covered.
     """
     prepare(docs.sparkSession)
     keyed = _keyed(docs, id_col, text_col)
@@ -82,8 +89,8 @@ def dedup_lines(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text")
     kept = F.when(F.size("ls") > 0, F.flatten(F.transform(gaps, lambda g: F.slice(F.col("ls"), g["lo"] + 2, g["hi"] - g["lo"] - 1))))
     cut_text = F.when(F.col("gone").isNull(), F.col("t")).otherwise(F.array_join("kept", "\n"))
     sized = sized.withColumn("e", F.when(F.col("gone").isNotNull(), edges)).withColumn("ls", F.when(F.col("gone").isNotNull(), lines)).withColumn("kept", F.when(F.col("gone").isNotNull(), kept))
-    out = [cut_text.alias(c) if c == text_col else F.col(f"row.{_quoted(c)}").alias(c) for c in docs.columns if c not in ("n_lines", "n_removed")]
-    return sized.select(*out, F.col("n").cast("long").alias("n_lines"), F.coalesce(F.size("gone"), F.lit(0)).cast("long").alias("n_removed"))
+    out = [cut_text.alias(c) if c == text_col else F.col(f"row.{_quoted(c)}").alias(c) for c in docs.columns]
+    return sized.select(*out, F.col("n").cast("long").alias(_free("n_lines", docs.columns)), F.coalesce(F.size("gone"), F.lit(0)).cast("long").alias(_free("n_removed", docs.columns)))
 
 
 def op3(spark: SparkSession, docs: DataFrame) -> DataFrame:

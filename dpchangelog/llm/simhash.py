@@ -7,10 +7,17 @@ In a bucket fingerprints are stored as vertical bit planes. A group of queries r
 is added to bitwise counters with carry-save adders, and a group is abandoned once every counter has passed the radius.
 A bucket above ROWS is cut into parts and its pairs of parts are dealt out, so no task holds more than two parts.
 Only the links of a spanning forest of a bucket leave it, never more than its rows.
+
+Near copies by similarity (`similar_groups`): the same comparison on wide fingerprints over the sets of five-word shingles. A text
+whose set has a Jaccard similarity of 0.8 or more to another's differs from it in about 15 % of the bits, so no choice of blocks
+finds it; buckets are samples of bits instead, of as many bits as keep buckets small and in as many tables as the wanted recall
+takes, and the radius is wide. What is within the radius is a candidate; groups of candidates compare their shingle sets, so a
+link is never below the similarity.
 """
 
 from __future__ import annotations
 
+import math
 from itertools import combinations
 
 import numpy as np
@@ -18,11 +25,11 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
-from .common import components, cut, prepare
+from .common import components, cut, prepare, tree_links
 
 BITS = 64
 #: Fingerprints of a part of a bucket.
-ROWS = 1024
+ROWS = 8192
 #: Queries compared together.
 GROUP = 64
 
@@ -53,10 +60,11 @@ def fingerprint(hashes: np.ndarray) -> int:
 
 
 def planes_of(fps: np.ndarray) -> np.ndarray:
-    """(64, ceil(n / 64)) words: word w of plane b has bit b of fingerprints 64 w to 64 w + 63."""
-    bits = np.unpackbits(fps.astype("<u8").view(np.uint8).reshape(-1, 8), axis=1, bitorder="little")
-    full = np.zeros((-(-len(fps) // 64) * 64, BITS), np.uint8)
-    full[: len(fps)] = bits
+    """(bits, ceil(n / 64)) words: word w of plane b has bit b of fingerprints 64 w to 64 w + 63. fps: one or more words a row."""
+    n, words = len(fps), fps.reshape(len(fps), -1).shape[1] if len(fps) else 1
+    bits = np.unpackbits(np.ascontiguousarray(fps.astype("<u8")).view(np.uint8).reshape(n, 8 * words), axis=1, bitorder="little")
+    full = np.zeros((-(-n // 64) * 64, BITS * words), np.uint8)
+    full[:n] = bits
     return np.ascontiguousarray(np.packbits(full.T, axis=1, bitorder="little")).view("<u8")
 
 
@@ -68,8 +76,10 @@ def within(planes: np.ndarray, n: int, queries: np.ndarray, radius: int, block:
     if n % 64:
         over[:, -1] = ~np.uint64(0) << np.uint64(n % 64)
     live = np.arange(len(queries))
-    flip = (np.uint64(0) - ((queries[:, None] >> np.arange(BITS, dtype=np.uint64)) & np.uint64(1))).astype(np.uint64)
-    for b0 in range(0, BITS, block):
+    words = queries.reshape(len(queries), -1)
+    bits = (words[:, :, None] >> np.arange(BITS, dtype=np.uint64)) & np.uint64(1)
+    flip = (np.uint64(0) - bits.reshape(len(queries), -1)).astype(np.uint64)
+    for b0 in range(0, len(planes), block):
         for b in range(b0, b0 + block, 2):
             x, y = planes[b][None, :] ^ flip[live, b, None], planes[b + 1][None, :] ^ flip[live, b + 1, None]
             # carry-save: counter bit 0 takes x and y at once, its carry has weight two
@@ -80,6 +90,8 @@ def within(planes: np.ndarray, n: int, queries: np.ndarray, radius: int, block:
             for k in range(1, depth):
                 counters[k], carry = counters[k] ^ carry, counters[k] & carry
             over |= carry
+        if b0 + block <= radius:
+            continue
         over |= above(counters, radius)
         dead = (over == ~np.uint64(0)).all(1)
         if dead.any():
@@ -123,20 +135,34 @@ def forest(n: int, links) -> np.ndarray:
     return up
 
 
+def bucket_roots(rows: np.ndarray, left: np.ndarray, right: np.ndarray, radius: int, same=None) -> np.ndarray:
+    """Root of each row, by the links between the rows left and right. same(i, j): whether a pair within the radius is a link;
+    pairs that are joined already are not asked."""
+    planes, root = planes_of(rows[right]), np.arange(len(rows))
+    for k in range(0, len(left), GROUP):
+        q, r = within(planes, len(right), rows[left[k : k + GROUP]], radius)
+        q, r = left[k : k + GROUP][q], right[r]
+        differ = root[q] != root[r]
+        if same is None:
+            if differ.any():
+                pairs = np.unique(np.sort(np.stack([root[q[differ]], root[r[differ]]], 1), axis=1), axis=0)
+                root = forest(len(rows), pairs.tolist())[root]
+            continue
+        for i in np.unique(q[differ]).tolist():
+            others = r[q == i]
+            others = others[root[others] != root[i]]
+            while len(others):
+                j, others = int(others[0]), others[1:]
+                if same(i, j):
+                    root[root == root[j]] = root[i]
+                    others = others[root[others] != root[i]]
+    return root
+
+
 def bucket_links(fps: np.ndarray, other: np.ndarray | None, radius: int) -> tuple[np.ndarray, np.ndarray]:
     """A spanning forest of the links among fps, or of those between fps and other."""
-    rows = fps if other is None else np.r_[fps, other]
-    planes, shift = planes_of(fps if other is None else other), 0 if other is None else len(fps)
-    n, root = len(rows) - shift, np.arange(len(rows))
-    for k in range(0, len(fps), GROUP):
-        q, r = within(planes, n, fps[k : k + GROUP], radius)
-        q, r = q + k, r + shift
-        differ = root[q] != root[r]
-        if differ.any():
-            pairs = np.unique(np.sort(np.stack([root[q[differ]], root[r[differ]]], 1), axis=1), axis=0)
-            root = forest(len(rows), pairs.tolist())[root]
-    child = np.flatnonzero(root != np.arange(len(rows)))
-    return rows[child], rows[root[child]]
+    rows, n = fps if other is None else np.r_[fps, other], len(fps)
+    return tree_links(bucket_roots(rows, np.arange(n), np.arange(len(rows)) if other is None else np.arange(n, len(rows)), radius), rows)
 
 
 def scheme(n: int, radius: int) -> list[tuple[int, list[tuple[int, int]]]]:
@@ -248,11 +274,218 @@ def _groups(docs, radius, id_col, text_col, words, seed):
     return fps.join(named.join(least, "component").select("fp", "component", "component_id"), "fp")
 
 
-def near_duplicates_removed(docs: DataFrame, radius: int = 4, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
-    """The rows of docs that stay, with the columns of docs: of each group the document with the smallest id.
+#: Bits of a wide fingerprint, and how many of its words a bucket compares.
+WIDE, COMPARED = 256, 2
+#: Rows that evenly spread buckets of wide fingerprints hold, and share of the texts at the similarity that are to meet.
+BUCKET, RECALL = 512, 0.97
+#: Texts whose shingle sets one task holds at a time.
+SETS = 1024
+
+
+def wide_fingerprint(hashes: np.ndarray) -> np.ndarray:
+    """WIDE bits over a set of hashes, as words; each word from a mix of its own."""
+    out = []
+    for k in range(WIDE // BITS):
+        x = (hashes ^ np.uint64((0x632BE59BD9B4E019 * (k + 1)) & (2**64 - 1))) * np.uint64(0x9E3779B97F4A7C15)
+        out.append(fingerprint(x ^ (x >> np.uint64(32))))
+    return np.array(out, np.uint64)
+
+
+def differing(similarity: float) -> float:
+    """Share of bits in which fingerprints of two large sets of one size and that Jaccard similarity differ: the angle of their
+    sums. Small sets differ in fewer."""
+    return math.acos(2 * similarity / (1 + similarity)) / math.pi
+
+
+def _binomial(n: int, p: float) -> list[float]:
+    return [math.comb(n, k) * p**k * (1 - p) ** (n - k) for k in range(n + 1)]
+
+
+def radius_for(similarity: float, bits: int = COMPARED * BITS, recall: float = 0.9995) -> int:
+    total = 0.0
+    for k, x in enumerate(_binomial(bits, differing(similarity))):
+        total += x
+        if total >= recall:
+            return k
+    return bits
+
+
+def tables_for(n: int, similarity: float, recall: float = RECALL) -> tuple[int, int]:
+    """(bits of a sample, tables) for n texts: buckets of about BUCKET texts, and enough tables that pairs at the similarity meet
+    with the wanted chance. Any n has the same chance; the tables grow with about the fourth root of n."""
+    bits = min(32, max(4, math.ceil(math.log2(max(1, n) / BUCKET))))
+    spread = _binomial(WIDE, differing(similarity))
+    meet = [math.comb(WIDE - k, bits) / math.comb(WIDE, bits) for k in range(WIDE + 1)]
+    tables = 1
+    while sum(x * (1 - m) ** tables for x, m in zip(spread, meet, strict=True)) > 1 - recall:
+        tables += 1 + tables // 16
+    return bits, tables
+
+
+def similar(a: np.ndarray, b: np.ndarray, similarity: float) -> bool:
+    """Whether two sorted sets have that Jaccard similarity; two empty ones do."""
+    if not min(len(a), len(b)):
+        return len(a) == len(b)
+    if min(len(a), len(b)) < similarity * max(len(a), len(b)):
+        return False
+    at = np.searchsorted(b, a)
+    both = int((b[np.minimum(at, len(b) - 1)] == a).sum())
+    return both >= similarity * (len(a) + len(b) - both)
+
+
+def _jobs(batches, keys: int):
+    """Tables of the rows of one job each, a job being equal values of the first columns; rows arrive sorted by job."""
+    held, now = [], None
+    for b in batches:
+        if not b.num_rows:
+            continue
+        cols = [b.column(k).to_numpy(zero_copy_only=False) for k in range(keys)]
+        edge = np.flatnonzero(np.any([c[1:] != c[:-1] for c in cols], axis=0)) + 1
+        for lo, hi in zip(np.r_[0, edge].tolist(), np.r_[edge, b.num_rows].tolist(), strict=True):
+            key = tuple(c[lo] for c in cols)
+            if held and key != now:
+                yield pa.Table.from_batches(held)
+                held = []
+            now = key
+            held.append(b.slice(lo, hi - lo))
+    if held:
+        yield pa.Table.from_batches(held)
+
+
+def group_links(keyed: DataFrame, by: list[str], radius: int, similarity: float | None, rows: int) -> DataFrame:
+    """(u, v): links that join all rows that links join within a group. keyed: by..., h, f0, f1 and, with a similarity, shingles:
+    then only pairs whose sets are that similar are links.
+
+    A group above `rows` is cut into parts. Each part meets the group's leader (its smallest h) too, so rows of different parts
+    that are both joined to the leader are joined already; only the rows that aren't are dealt out to the other parts. A large
+    group of copies of one text so costs about its rows, not its pairs.
+    """
+    payload = [c for c in keyed.columns if c not in by]
+    sizes = cut(keyed.groupBy(*by).agg(F.count("*").alias("size"), F.min("h").alias("leader")).where("size > 1"))
+    parts = keyed.join(sizes, by).withColumn("parts", F.ceil(F.col("size") / rows).cast("int")).withColumn("own", F.pmod(F.xxhash64("h"), F.col("parts")).cast("int"))
+    everywhere = F.when(F.col("h") == F.col("leader"), F.sequence(F.lit(0), F.col("parts") - 1)).otherwise(F.array("own"))
+    first = parts.select(*by, F.explode(everywhere).alias("part"), "leader", "parts", *payload)
+
+    def arrays(t):
+        n = t.num_rows
+        fps = np.stack([t.column(c).to_numpy().view(np.uint64) for c in ("f0", "f1")], 1)
+        if similarity is None:
+            return n, t.column("h").to_numpy(), fps, None
+        sets = [np.frombuffer(x, np.uint64) for x in t.column("shingles").to_pylist()]
+        return n, t.column("h").to_numpy(), fps, lambda i, j: similar(sets[i], sets[j], similarity)
+
+    def inside(batches):
+        held: list = []
+        for t in _jobs(batches, len(by) + 1):
+            if t.num_rows < 2:
+                continue
+            n, h, fps, same = arrays(t)
+            every = np.arange(n)
+            root = bucket_roots(fps, every, every, radius, same)
+            u, v = tree_links(root, h)
+            keys = [t.column(c)[0].as_py() for c in by]
+            held.append((keys, u, v.tolist()))
+            if t.column("parts")[0].as_py() > 1:
+                loose = np.flatnonzero(root != root[np.flatnonzero(h == t.column("leader")[0].as_py())[0]])
+                held.append((keys, h[loose], [None] * len(loose)))
+            if sum(len(x[1]) for x in held) > 5000:
+                yield out(held)
+                held = []
+        yield out(held)
+
+    def out(held):
+        cols = [pa.array([x for k, u, _ in held for x in [k[i]] * len(u)], t) for i, t in enumerate(kinds)]
+        u = np.concatenate([u for _, u, _ in held] or [np.zeros(0, np.int64)])
+        return pa.RecordBatch.from_arrays([*cols, pa.array(u, pa.int64()), pa.array([x for _, _, v in held for x in v], pa.int64())], [*by, "u", "v"])
+
+    kinds = [{"int": pa.int32(), "bigint": pa.int64()}[keyed.schema[c].dataType.simpleString()] for c in by]
+    shape = ", ".join(f"{c} {keyed.schema[c].dataType.simpleString()}" for c in by) + ", u long, v long"
+    job = [*by, "part"]
+    found = cut(first.repartition(*job).sortWithinPartitions(*job).mapInArrow(inside, shape))
+    links = found.where("v is not null").select("u", "v")
+    loose = found.where("v is null").select(*by, F.col("u").alias("h"))
+    if loose.isEmpty():
+        return links
+    lots = loose.groupBy(*by).agg(F.ceil(F.count("*") / rows).cast("int").alias("lots"))
+    marked = parts.join(lots, by).join(loose.withColumn("loose", F.lit(True)), [*by, "h"], "left")
+    lot = F.pmod(F.xxhash64("h", F.lit(1)), F.col("lots")).cast("int")
+    left = marked.where("loose").select(*by, F.explode(F.sequence(F.lit(0), F.col("parts") - 1)).alias("part"), lot.alias("lot"), F.lit(1).alias("side"), *payload)
+    right = marked.select(*by, F.col("own").alias("part"), F.explode(F.sequence(F.lit(0), F.col("lots") - 1)).alias("lot"), F.lit(0).alias("side"), *payload)
+
+    def across(batches):
+        for t in _jobs(batches, len(by) + 2):
+            _, h, fps, same = arrays(t)
+            side = t.column("side").to_numpy()
+            a, b = np.flatnonzero(side == 1), np.flatnonzero(side == 0)
+            if len(a) and len(b):
+                # A loose row of this very part stands on both sides and is the same row.
+                root = bucket_roots(fps, a, b, radius, same)
+                u, v = tree_links(root, h)
+                yield pa.RecordBatch.from_arrays([pa.array(u, pa.int64()), pa.array(v, pa.int64())], ["u", "v"])
+
+    job = [*by, "part", "lot"]
+    return links.unionByName(left.unionByName(right).repartition(*job).sortWithinPartitions(*job).mapInArrow(across, "u long, v long"))
+
+
+def similar_groups(docs: DataFrame, words: int = 5, similarity: float = 0.8, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
+    """(doc_id, h, component): h a hash of the text, component one for all documents that links join; texts link if their sets of
+    shingles have the similarity or more.
+
+    Equal texts are one class. Null texts are equal to each other; texts without words are alike, whatever they are; a text of
+    fewer words than a shingle is one shingle. Pairs at the very similarity are found with a chance of RECALL, more similar ones
+    nearly always; none below it is linked. An empty table gives no rows; other columns are not read.
+    """
+    prepare(docs.sparkSession)
+    texts = docs.select(F.xxhash64(f"`{text_col}`").alias("h"), F.col(f"`{text_col}`").alias("text"))
+
+    def sign(batches):
+        for b in batches:
+            fps = np.array([wide_fingerprint(np.unique(shingle_hashes(t, words))) for t in b.column(1).to_pylist()], np.uint64).reshape(-1, WIDE // BITS).view(np.int64)
+            yield pa.RecordBatch.from_arrays([b.column(0), *[pa.array(f) for f in np.ascontiguousarray(fps.T)]], ["h", *names])
+
+    names = [f"f{k}" for k in range(WIDE // BITS)]
+    signed = texts.mapInArrow(sign, "h long, " + ", ".join(f"{f} long" for f in names))
+    classes = cut(signed.groupBy("h").agg(*[F.first(f).alias(f) for f in names]))
+    bits, tables = tables_for(classes.count(), similarity)
+    spots = np.stack([np.random.default_rng([29, t]).choice(WIDE, bits, replace=False) for t in range(tables)])
+
+    def deal(batches):
+        weight = 1 << np.arange(bits, dtype=np.int64)
+        for b in batches:
+            fps = np.stack([b.column(1 + k).to_numpy(zero_copy_only=False) for k in range(len(names))], 1).astype("<i8")
+            planes = np.unpackbits(np.ascontiguousarray(fps).view(np.uint8).reshape(len(fps), -1), axis=1, bitorder="little")
+            codes = np.stack([planes[:, s] @ weight for s in spots], 1)
+            yield pa.RecordBatch.from_arrays([b.column(0), b.column(1), b.column(2), pa.array(codes.tolist(), pa.list_(pa.int64()))], ["h", "f0", "f1", "codes"])
+
+    dealt = classes.mapInArrow(deal, "h long, f0 long, f1 long, codes array<long>")
+    keyed = dealt.select(F.posexplode("codes").alias("t", "code"), "h", "f0", "f1")
+    radius = radius_for(similarity)
+    near = components(group_links(keyed, ["t", "code"], radius, None, ROWS)).select(F.col("node").alias("h"), F.col("component").alias("near"))
+
+    def gather(batches):
+        for b in batches:
+            yield pa.RecordBatch.from_arrays([b.column(0), pa.array([np.unique(shingle_hashes(t, words)).tobytes() for t in b.column(1).to_pylist()], pa.binary())], ["h", "shingles"])
+
+    # Only texts that have a candidate send their sets, once each.
+    near = cut(near.join(classes.select("h", "f0", "f1"), "h"))
+    sets = cut(texts.join(near.select("h"), "h", "left_semi").dropDuplicates(["h"]).mapInArrow(gather, "h long, shingles binary"))
+    member = components(group_links(near.join(sets, "h").select("near", "h", "f0", "f1", "shingles"), ["near"], radius, similarity, SETS))
+    # Cut, so that the join by text hash is of two plain shuffles, of which Spark splits the part of a frequent text.
+    named = cut(classes.select("h").join(member.select(F.col("node").alias("h"), "component"), "h", "left").select("h", F.coalesce("component", "h").alias("component")))
+    ids = docs.select(F.col(f"`{id_col}`").cast("long").alias("doc_id"), F.xxhash64(f"`{text_col}`").alias("h"))
+    return ids.join(named, "h").select("doc_id", "h", "component")
+
+
+def near_duplicates_removed(docs: DataFrame, words: int = 5, similarity: float = 0.8, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
+    """The rows of docs that stay, with the columns of docs: of each group of similar documents the one with the smallest id.
 
     Of repeated rows of that document one stays; a null id comes after all others, and a group without ids keeps one row.
     """
+    return first_of_groups(docs, similar_groups(docs, words, similarity, id_col, text_col), id_col, text_col)
+
+
+def fingerprint_duplicates_removed(docs: DataFrame, radius: int = 4, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
+    """As near_duplicates_removed, with the groups of 64-bit fingerprints within a radius."""
     return first_of_groups(docs, _groups(docs, radius, id_col, text_col, 4, 42), id_col, text_col)
 
 
