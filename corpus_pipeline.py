@@ -8,12 +8,12 @@ from __future__ import annotations
 
 from pyspark.sql import DataFrame, SparkSession
 
-from dpchangelog.llm.common import prepare, shared_path, table
+from dpchangelog.llm.common import discard, made, prepare, shared_path, table
 from dpchangelog.llm.line_dedup import dedup_lines
 from dpchangelog.llm.packing import pack_texts
 from dpchangelog.llm.quality_classifier import documents_accepted
 from dpchangelog.llm.quality_rules import documents_kept
-from dpchangelog.llm.shingle_dedup import near_copies_removed
+from dpchangelog.llm.simhash import near_duplicates_removed
 
 
 def classify(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
@@ -28,13 +28,13 @@ def apply_rules(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
 
 def cut_repeated_lines(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """All documents, without later occurrences of repeated passages; n_chars follows the text."""
-    out = dedup_lines(docs)
-    return out.selectExpr(*[f"cast(length(text) as bigint) as {c}" if c == "n_chars" else f"`{c}`" for c in docs.columns])
+    return dedup_lines(docs).selectExpr(*[f"cast(length(text) as bigint) as {c}" if c == "n_chars" else f"`{c}`" for c in docs.columns])
 
 
 def drop_near_duplicates(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """One document of each group of near duplicates: five-word shingles, similarity of 0.8 or more."""
-    return near_copies_removed(docs)
+    """One document of each group of near duplicates: sets of five-word shingles with a similarity of 0.8 or more, found by
+    wide fingerprints."""
+    return near_duplicates_removed(docs)
 
 
 def pack(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
@@ -51,10 +51,14 @@ ORACLE_SQL = None
 
 
 def run(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """The stages one after the other. What a stage left for its own use, and its input, go once its result is written."""
     prepare(spark)
-    docs = table(spark, sf_dir, "documents")
+    docs, before = table(spark, sf_dir, "documents"), None
     for name, stage in STAGES:
+        own = len(made())
         out, at = stage(spark, docs, sf_dir), shared_path(spark, f"stage-{name}")
         out.write.parquet(at)
         docs = spark.read.schema(out.schema).parquet(at)
+        discard(spark, [p for p in made()[own:] if p != at] + ([before] if before else []))
+        before = at
     return docs
