@@ -81,51 +81,64 @@ def stored(df: DataFrame, name: str) -> DataFrame:
     return df.sparkSession.read.schema(df.schema).parquet(at)
 
 
+def quoted(c: str) -> str:
+    """A column's name as SQL takes it, whatever it holds."""
+    return "`" + c.replace("`", "``") + "`"
+
+
 def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
     return spark.read.parquet(f"{sf_dir}/{name}.parquet")
 
 
-#: Copies of a label's row in the label join, so that no task has all members of a large component.
+#: Copies of a label's row in joins by label, so that no task has all members of a large component.
 SALTS = 32
-#: Links of a row of a spanning tree to rows below it.
-FAN = 16
 
 
-def tree_links(root: np.ndarray, ids: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
-    """(child, parent) ids of a tree over the rows of each root, no row with more than FAN children and the smallest id on top:
-    neither a hub nor a long chain."""
+def star_links(root: np.ndarray, ids: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+    """(child, parent) ids: each row but the smallest of a root, linked to the smallest."""
     order = np.lexsort((ids, root))
     r = root[order]
-    start = np.flatnonzero(np.r_[True, r[1:] != r[:-1]]) if len(r) else np.zeros(0, np.int64)
-    at = np.arange(len(r)) - np.repeat(start, np.diff(np.r_[start, len(r)]))
-    child = np.flatnonzero(at)
-    parent = child - at[child] + (at[child] - 1) // FAN
-    return ids[order[child]], ids[order[parent]]
+    first = np.r_[True, r[1:] != r[:-1]][: len(r)]
+    start = np.flatnonzero(first)[np.cumsum(first) - 1] if len(r) else np.zeros(0, np.int64)
+    child = np.flatnonzero(~first)
+    return ids[order[child]], ids[order[start[child]]]
+
+
+def _salted(rows: DataFrame, names: DataFrame, key: str) -> DataFrame:
+    """rows left-joined with names (key, label), one row a key of names, in SALTS parts of each key."""
+    salt = F.pmod(F.xxhash64("node"), F.lit(SALTS)).cast("int")
+    return rows.withColumn("salt", salt).join(names.select(key, "label", F.explode(F.sequence(F.lit(0), F.lit(SALTS - 1))).alias("salt")), [key, "salt"], "left").drop("salt")
 
 
-def components(edges: DataFrame, max_rounds: int = 60, plain: int = 4) -> DataFrame:
+def components(edges: DataFrame, max_rounds: int = 60) -> DataFrame:
     """Smallest reachable id of every node that has an edge: (u, v) -> (node, component).
 
-    Minimum labels travel along edges, and from the round `plain` on they jump to their label's label as well, so that long
-    chains shrink by about half in each round. Only aggregates that combine before the shuffle and equi-joins are used; nothing
-    is collected but one count a round. The join by label is salted, as a large component is one key there. Self-loops,
-    repeats and either direction of an edge are accepted; null ends are ignored.
+    First the graph is contracted, without a join: a node's smaller neighbours are gathered (from stars of buckets these are as
+    many as the node's buckets) and all linked to the smallest of them, its parent. Nodes that are nobody's neighbour then go
+    with their parents; what is left is about the stars' centres. There minimum labels travel along edges and then jump to their
+    label's label, so long chains shrink by about half in each round. Only aggregates that combine before the shuffle and
+    equi-joins are used, those by label salted; nothing is collected but one count a round. Self-loops, repeats and either
+    direction of an edge are accepted; null ends are ignored.
     """
-    e = edges.select("u", "v").where("u is not null and v is not null and u <> v")
-    e = cut(e.unionByName(e.select(F.col("v").alias("u"), F.col("u").alias("v"))).distinct())
-    labels = cut(e.groupBy(F.col("u").alias("node")).agg(F.min("v").alias("m")).select("node", F.least("node", "m").alias("label")))
-    salt = F.pmod(F.xxhash64("node"), F.lit(SALTS)).cast("int")
-    for k in range(max_rounds):
-        heard = e.join(labels.select(F.col("node").alias("v"), "label"), "v").groupBy(F.col("u").alias("node")).agg(F.min("label").alias("heard"))
-        low = labels.join(heard, "node", "left").select("node", F.col("label").alias("was"), F.least("label", F.coalesce("heard", "label")).alias("label"))
-        if k >= plain:
-            # Labels that are to move on: few, and one row each before they are salted.
-            asked = labels.select("label").distinct()
-            up = labels.where("node <> label").select(F.col("node").alias("label"), F.col("label").alias("up")).join(asked, "label")
-            up = up.select("label", "up", F.explode(F.sequence(F.lit(0), F.lit(SALTS - 1))).alias("salt"))
-            low = low.withColumn("salt", salt).join(up, ["label", "salt"], "left").select("node", "was", F.least("label", F.coalesce("up", "label")).alias("label"))
-        labels = cut(low)
+    e = edges.where("u is not null and v is not null and u <> v").select(F.greatest("u", "v").alias("u"), F.least("u", "v").alias("v"))
+    held = cut(e.groupBy("u").agg(F.collect_set("v").alias("vs")).select("u", "vs", F.array_min("vs").alias("p")))
+    centres = cut(held.select(F.explode("vs").alias("u")).distinct())
+    across = held.select(F.explode("vs").alias("u"), F.col("p").alias("v")).where("u <> v")
+    inner = held.join(centres, "u", "left_semi").select("u", F.col("p").alias("v"))
+    g = across.unionByName(inner)
+    g = cut(g.unionByName(g.select(F.col("v").alias("u"), F.col("u").alias("v"))).distinct())
+    labels = cut(g.groupBy(F.col("u").alias("node")).agg(F.min("v").alias("m")).select("node", F.least("node", "m").alias("label")))
+    for _ in range(max_rounds):
+        heard = g.join(labels.select(F.col("node").alias("v"), "label"), "v").groupBy(F.col("u").alias("node")).agg(F.min("label").alias("heard"))
+        low = labels.join(heard, "node", "left").select("node", F.col("label").alias("was"), F.least("label", F.coalesce("heard", "label")).alias("at"))
+        # Labels that are to move on: few, and one row each before they are salted.
+        asked = labels.select(F.col("label").alias("node")).distinct()
+        up = labels.where("node <> label").join(asked, "node").select(F.col("node").alias("at"), "label")
+        labels = cut(_salted(low, up, "at").select("node", "was", F.least("at", F.coalesce("label", "at")).alias("label")))
         if labels.where("was <> label").isEmpty():
-            return labels.select("node", F.col("label").alias("component"))
+            break
         labels = labels.select("node", "label")
-    raise RuntimeError("components did not settle")
+    else:
+        raise RuntimeError("components did not settle")
+    nodes = held.select(F.col("u").alias("node"), "p").unionByName(centres.select(F.col("u").alias("node"), F.col("u").alias("p"))).groupBy("node").agg(F.min("p").alias("p"))
+    return _salted(nodes, labels.select(F.col("node").alias("p"), "label"), "p").select("node", F.coalesce("label", "p").alias("component"))

@@ -25,7 +25,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
-from .common import components, cut, prepare, tree_links
+from .common import SALTS, components, cut, prepare, quoted, star_links
 
 BITS = 64
 #: Fingerprints of a part of a bucket.
@@ -162,7 +162,7 @@ def bucket_roots(rows: np.ndarray, left: np.ndarray, right: np.ndarray, radius:
 def bucket_links(fps: np.ndarray, other: np.ndarray | None, radius: int) -> tuple[np.ndarray, np.ndarray]:
     """A spanning forest of the links among fps, or of those between fps and other."""
     rows, n = fps if other is None else np.r_[fps, other], len(fps)
-    return tree_links(bucket_roots(rows, np.arange(n), np.arange(len(rows)) if other is None else np.arange(n, len(rows)), radius), rows)
+    return star_links(bucket_roots(rows, np.arange(n), np.arange(len(rows)) if other is None else np.arange(n, len(rows)), radius), rows)
 
 
 def scheme(n: int, radius: int) -> list[tuple[int, list[tuple[int, int]]]]:
@@ -187,7 +187,7 @@ def fingerprints(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text"
             fps = np.array([fingerprint(shingle_hashes(t, words, seed)) for t in b.column(2).to_pylist()], np.uint64).view(np.int64)
             yield pa.RecordBatch.from_arrays([b.column(0), b.column(1), pa.array(fps, pa.int64())], ["doc_id", "h", "fp"])
 
-    return docs.select(F.col(f"`{id_col}`").cast("long").alias("doc_id"), F.xxhash64(f"`{text_col}`").alias("h"), F.col(f"`{text_col}`").alias("text")).mapInArrow(run, "doc_id long, h long, fp long")
+    return docs.select(F.col(quoted(id_col)).cast("long").alias("doc_id"), F.xxhash64(quoted(text_col)).alias("h"), F.col(quoted(text_col)).alias("text")).mapInArrow(run, "doc_id long, h long, fp long")
 
 
 def fingerprint_links(distinct: DataFrame, n: int, radius: int) -> DataFrame:
@@ -382,7 +382,7 @@ def group_links(keyed: DataFrame, by: list[str], radius: int, similarity: float
             n, h, fps, same = arrays(t)
             every = np.arange(n)
             root = bucket_roots(fps, every, every, radius, same)
-            u, v = tree_links(root, h)
+            u, v = star_links(root, h)
             keys = [t.column(c)[0].as_py() for c in by]
             held.append((keys, u, v.tolist()))
             if t.column("parts")[0].as_py() > 1:
@@ -420,23 +420,23 @@ def group_links(keyed: DataFrame, by: list[str], radius: int, similarity: float
             if len(a) and len(b):
                 # A loose row of this very part stands on both sides and is the same row.
                 root = bucket_roots(fps, a, b, radius, same)
-                u, v = tree_links(root, h)
+                u, v = star_links(root, h)
                 yield pa.RecordBatch.from_arrays([pa.array(u, pa.int64()), pa.array(v, pa.int64())], ["u", "v"])
 
     job = [*by, "part", "lot"]
     return links.unionByName(left.unionByName(right).repartition(*job).sortWithinPartitions(*job).mapInArrow(across, "u long, v long"))
 
 
-def similar_groups(docs: DataFrame, words: int = 5, similarity: float = 0.8, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
-    """(doc_id, h, component): h a hash of the text, component one for all documents that links join; texts link if their sets of
-    shingles have the similarity or more.
+def similar_classes(docs: DataFrame, words: int = 5, similarity: float = 0.8, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
+    """(h, component) of every different text: h its hash, component one for all texts that links join; texts link if their sets
+    of shingles have the similarity or more.
 
     Equal texts are one class. Null texts are equal to each other; texts without words are alike, whatever they are; a text of
     fewer words than a shingle is one shingle. Pairs at the very similarity are found with a chance of RECALL, more similar ones
     nearly always; none below it is linked. An empty table gives no rows; other columns are not read.
     """
     prepare(docs.sparkSession)
-    texts = docs.select(F.xxhash64(f"`{text_col}`").alias("h"), F.col(f"`{text_col}`").alias("text"))
+    texts = docs.select(F.xxhash64(quoted(text_col)).alias("h"), F.col(quoted(text_col)).alias("text"))
 
     def sign(batches):
         for b in batches:
@@ -466,14 +466,23 @@ def similar_groups(docs: DataFrame, words: int = 5, similarity: float = 0.8, id_
         for b in batches:
             yield pa.RecordBatch.from_arrays([b.column(0), pa.array([np.unique(shingle_hashes(t, words)).tobytes() for t in b.column(1).to_pylist()], pa.binary())], ["h", "shingles"])
 
-    # Only texts that have a candidate send their sets, once each.
+    # Only texts that have a candidate send their sets, once each. The join is dealt by input partition too, as a text may be frequent.
     near = cut(near.join(classes.select("h", "f0", "f1"), "h"))
-    sets = cut(texts.join(near.select("h"), "h", "left_semi").dropDuplicates(["h"]).mapInArrow(gather, "h long, shingles binary"))
+    asked = near.select("h", F.explode(F.sequence(F.lit(0), F.lit(SALTS - 1))).alias("salt"))
+    found = texts.withColumn("salt", F.pmod(F.spark_partition_id(), F.lit(SALTS))).join(asked, ["h", "salt"], "left_semi")
+    sets = cut(found.groupBy("h").agg(F.first("text").alias("text")).mapInArrow(gather, "h long, shingles binary"))
     member = components(group_links(near.join(sets, "h").select("near", "h", "f0", "f1", "shingles"), ["near"], radius, similarity, SETS))
-    # Cut, so that the join by text hash is of two plain shuffles, of which Spark splits the part of a frequent text.
-    named = cut(classes.select("h").join(member.select(F.col("node").alias("h"), "component"), "h", "left").select("h", F.coalesce("component", "h").alias("component")))
-    ids = docs.select(F.col(f"`{id_col}`").cast("long").alias("doc_id"), F.xxhash64(f"`{text_col}`").alias("h"))
-    return ids.join(named, "h").select("doc_id", "h", "component")
+    return cut(classes.select("h").join(member.select(F.col("node").alias("h"), "component"), "h", "left").select("h", F.coalesce("component", "h").alias("component")))
+
+
+def _hashed(docs: DataFrame, id_col: str, text_col: str) -> DataFrame:
+    return docs.select(F.col(quoted(id_col)).cast("long").alias("doc_id"), F.xxhash64(quoted(text_col)).alias("h"))
+
+
+def similar_groups(docs: DataFrame, words: int = 5, similarity: float = 0.8, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
+    """(doc_id, h, component): h a hash of the text, component one for all documents that links join; see similar_classes."""
+    named = similar_classes(docs, words, similarity, id_col, text_col)  # cut: Spark splits the part of a frequent text
+    return _hashed(docs, id_col, text_col).join(named, "h").select("doc_id", "h", "component")
 
 
 def near_duplicates_removed(docs: DataFrame, words: int = 5, similarity: float = 0.8, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
@@ -481,7 +490,9 @@ def near_duplicates_removed(docs: DataFrame, words: int = 5, similarity: float =
 
     Of repeated rows of that document one stays; a null id comes after all others, and a group without ids keeps one row.
     """
-    return first_of_groups(docs, similar_groups(docs, words, similarity, id_col, text_col), id_col, text_col)
+    # Smallest id of each text before the join, so that copies meet in an aggregate.
+    least = _hashed(docs, id_col, text_col).groupBy("h").agg(F.min("doc_id").alias("doc_id"))
+    return first_of_groups(docs, least.join(similar_classes(docs, words, similarity, id_col, text_col), "h"), id_col, text_col)
 
 
 def fingerprint_duplicates_removed(docs: DataFrame, radius: int = 4, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
@@ -492,7 +503,7 @@ def fingerprint_duplicates_removed(docs: DataFrame, radius: int = 4, id_col: str
 def first_of_groups(docs: DataFrame, found: DataFrame, id_col: str, text_col: str) -> DataFrame:
     """The row of docs of each component's smallest id; found: (doc_id, h, component)."""
     first = found.groupBy("component").agg(F.min(F.struct(F.col("doc_id").isNull().alias("b"), F.coalesce("doc_id", F.lit(0)).alias("a"), "h")).alias("k")).select("k.*")
-    keyed = docs.select(F.struct(*[F.col(f"`{c}`") for c in docs.columns]).alias("row"), F.col(f"`{id_col}`").isNull().alias("b"), F.coalesce(F.col(f"`{id_col}`").cast("long"), F.lit(0)).alias("a"), F.xxhash64(f"`{text_col}`").alias("h"))
+    keyed = docs.select(F.struct(*[F.col(quoted(c)) for c in docs.columns]).alias("row"), F.col(quoted(id_col)).isNull().alias("b"), F.coalesce(F.col(quoted(id_col)).cast("long"), F.lit(0)).alias("a"), F.xxhash64(quoted(text_col)).alias("h"))
     return keyed.join(first, ["a", "b", "h"], "left_semi").dropDuplicates(["a", "b", "h"]).select("row.*")
 
 
