@@ -16,10 +16,10 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from .common import components, cut, prepare
+from .common import components, cut, prepare, quoted, star_links
 from .simhash import forest
 
-TABLES, PROBES, ROWS = 10, 2, 1024
+TABLES, PROBES, ROWS = 10, 2, 4096
 #: Share of the pairs at the threshold that are to meet in a table, for any number of vectors.
 RECALL = 0.999
 
@@ -112,7 +112,7 @@ def classes(vectors: DataFrame, id_col: str, vector_col: str) -> DataFrame:
                 out.append(a.tobytes() if len(a) and np.isfinite(a).all() and a.any() else None)
             yield pa.RecordBatch.from_arrays([b.column(0), pa.array(out, pa.binary())], ["vec_id", "vec"])
 
-    return vectors.select(F.col(f"`{id_col}`").cast("long").alias("vec_id"), F.col(f"`{vector_col}`").alias("v")).mapInArrow(run, "vec_id long, vec binary")
+    return vectors.select(F.col(quoted(id_col)).cast("long").alias("vec_id"), F.col(quoted(vector_col)).alias("v")).mapInArrow(run, "vec_id long, vec binary")
 
 
 def verified_links(distinct: DataFrame, n: int, width: int, threshold: float, tables: int, probes: int) -> DataFrame:
@@ -172,8 +172,8 @@ def verified_links(distinct: DataFrame, n: int, width: int, threshold: float, ta
                 if differ.any():
                     pairs = np.unique(np.sort(np.stack([root[p[differ]], root[q[differ]]], 1), axis=1), axis=0)
                     root = forest(len(rows), pairs.tolist())[root]
-        some, child = np.flatnonzero(sums), np.flatnonzero(root != np.arange(len(rows)))
-        return np.r_[rep[some], rep[child]], [*[None] * len(some), *rep[root[child]].tolist()], np.r_[sums[some], np.zeros(len(child), np.int64)]
+        some, (child, parent) = np.flatnonzero(sums), star_links(root, rep)
+        return np.r_[rep[some], child], [*[None] * len(some), *parent.tolist()], np.r_[sums[some], np.zeros(len(child), np.int64)]
 
     def compare(batches):
         """Rows arrive sorted by job; one job is held at a time."""
