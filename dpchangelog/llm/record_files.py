@@ -14,6 +14,9 @@ the files go through Hadoop's commit protocol: a lost or repeated task leaves no
 A checksum c is stored as ((c >> 15 | c << 17) + 0xA282EAD8) mod 2^32, so a checksum over data that holds checksums stays
 useful. Frames stand in ascending doc_id order (null first), within files and across files in name order.
 
+A file holds frames of FILE_BYTES at most, or one longer frame; its name tells its place (file=<n>/part-<partition>: partitions in
+order, and files in order within a partition).
+
 Index: a Parquet table (shard, seq, doc_id, start, n_tokens, byte_offset, byte_length, ids_crc32), one row a frame.
 """
 
@@ -30,12 +33,12 @@ from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
 from .byte_bpe import byte_bpe
-from .common import prepare, shared_path
+from .common import discard, prepare, quoted, shared_path
 
 HEAD, TAIL = struct.Struct("<QI"), struct.Struct("<I")
 LEAD = struct.Struct("<qBB")
-#: Frames in one file at most, so that one reader can hold a file.
-FRAMES_A_FILE = 200_000
+#: Bytes of frames in one file at most (a longer frame has a file of its own), so that one reader can hold a file.
+FILE_BYTES = 64 << 20
 
 
 def masked(data: bytes) -> int:
@@ -83,29 +86,39 @@ def ids_of(payload: bytes) -> tuple[int | None, np.ndarray]:
 def write_records(docs: DataFrame, folder: str, vocabulary: str, end_id: int = 2, id_col: str = "doc_id", text_col: str = "text") -> None:
     """Encode every whole text, append end_id, and write frames in ascending id order.
 
-    Null text counts as empty (one record with the end id alone). Repeated ids each get a record; equal ids are ordered by
-    their frames and may span files. Null ids come first. An empty table writes no frames. Other columns are not read.
+    Null text counts as empty (one record with the end id alone). Repeated ids each get a record, one after another in
+    no stated order, and may span files. Null ids come first. An empty table writes no frames. Other columns are not read.
     """
     prepare(docs.sparkSession)
-    rows = docs.select(F.col(id_col).cast("long").alias("doc_id"), F.col(text_col).alias("text"))
+    rows = docs.select(F.col(quoted(id_col)).cast("long").alias("doc_id"), F.col(quoted(text_col)).alias("text"))
     spread = rows.repartitionByRange(F.col("doc_id").asc_nulls_first(), F.xxhash64("text"))  # the hash parts ties
 
     def encode(batches):
+        """Rows arrive in order; they are numbered, and given to the next file once one is full."""
         bpe = byte_bpe(vocabulary)
         last = np.array([end_id], bpe.kind).tobytes()
+        file = held = seq = 0
         for b in batches:
-            out = [record(i, bpe.width, bpe.encode(t) + last) for i, t in zip(b.column(0).to_pylist(), b.column(1).to_pylist(), strict=True)]
-            yield pa.RecordBatch.from_arrays([b.column(0), pa.array(out, pa.binary())], ["doc_id", "frame"])
+            out, files = [], []
+            for i, t in zip(b.column(0).to_pylist(), b.column(1).to_pylist(), strict=True):
+                out.append(record(i, bpe.width, bpe.encode(t) + last))
+                if held and held + len(out[-1]) + 1 > FILE_BYTES:
+                    file, held = file + 1, 0
+                held += len(out[-1]) + 1
+                files.append(file)
+            yield pa.RecordBatch.from_arrays([pa.array(files, pa.int32()), pa.array(range(seq, seq + len(out)), pa.int64()), pa.array(out, pa.binary())], ["file", "seq", "frame"])
+            seq += len(out)
+
+    ordered = spread.sortWithinPartitions(F.col("doc_id").asc_nulls_first(), "text")
+    framed = ordered.mapInArrow(encode, "file int, seq long, frame binary").sortWithinPartitions("file", "seq")
+    framed.select(F.col("frame").cast("string").alias("value"), "file").write.option("lineSep", "\n").partitionBy("file").text(folder)
+
 
-    (
-        spread.mapInArrow(encode, "doc_id long, frame binary")
-        .sortWithinPartitions(F.col("doc_id").asc_nulls_first(), "frame")
-        .select(F.col("frame").cast("string").alias("value"))
-        .write.option("lineSep", "\n").option("maxRecordsPerFile", FRAMES_A_FILE).text(folder)
-    )
+_PART = re.compile(r"file=(\d+)/part-(\d+)-[^/]*\.txt$")
 
 
-_PART = re.compile(r"part-(\d+)-.*?(?:-c(\d+))?\.txt$")
+def _files(spark: SparkSession, folder: str) -> DataFrame:
+    return spark.read.format("binaryFile").option("pathGlobFilter", "part-*.txt").option("recursiveFileLookup", "true").load(folder)
 
 
 def index_records(spark: SparkSession, folder: str, index_folder: str | None = None) -> DataFrame:
@@ -113,13 +126,13 @@ def index_records(spark: SparkSession, folder: str, index_folder: str | None = N
 
     start counts the ids of all frames before a frame. Only one row a file passes through one task for it.
     """
-    files = spark.read.format("binaryFile").option("pathGlobFilter", "part-*.txt").load(folder).select("path", "content")
+    files = _files(spark, folder).select("path", "content")
 
     def read(batches):
         for b in batches:
             for path, content in zip(b.column(0), b.column(1), strict=True):
                 m = _PART.search(path.as_py())
-                shard, rows, before = int(m[1]) * 100_000 + int(m[2] or 0), [], 0
+                shard, rows, before = (int(m[2]) << 24) + int(m[1]), [], 0
                 for seq, (at, payload) in enumerate(frames(content.as_py())):
                     doc_id, ids = ids_of(payload)
                     rows.append((shard, seq, doc_id, before, len(ids), at, frame_size(payload), zlib.crc32(ids.astype("<u4").tobytes())))
@@ -137,6 +150,7 @@ def index_records(spark: SparkSession, folder: str, index_folder: str | None = N
     index = found.join(starts, "shard").select("doc_id", (F.col("shard_start") + F.col("before")).alias("start"), "n_tokens", "ids_crc32", "shard", "seq", "byte_offset", "byte_length")
     if index_folder:
         index.write.parquet(index_folder)
+        discard(spark, [raw])
         return spark.read.schema(index.schema).parquet(index_folder)
     return index
 
@@ -152,7 +166,7 @@ def read_records(spark: SparkSession, folder: str) -> DataFrame:
                     part = out[k : k + 1000]
                     yield pa.RecordBatch.from_arrays([pa.array([i for i, _ in part], pa.int64()), pa.array([x.astype(np.int32) for _, x in part], pa.list_(pa.int32()))], ["doc_id", "ids"])
 
-    return spark.read.format("binaryFile").option("pathGlobFilter", "part-*.txt").load(folder).select("content").mapInArrow(read, "doc_id long, ids array<int>")
+    return _files(spark, folder).select("content").mapInArrow(read, "doc_id long, ids array<int>")
 
 
 def shuffled_order(index: DataFrame, seed: int) -> DataFrame:
