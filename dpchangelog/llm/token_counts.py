@@ -3,8 +3,9 @@
 The distinct words of a batch that are not in the cache are held as one flat array of symbol ids with word offsets. In
 each round every word finds the lowest rank among its adjacent pairs, and all its pairs of that rank are merged at once
 (leftmost first where they overlap); words without a mergeable pair leave. A word's count is the number of symbols that
-survive. Merging one rank at a time gives what one merge at a time does, as a merge never makes a pair of a lower rank
-than its own possible only through itself (the new symbol's pairs were learnt later).
+survive. Merging one rank at a time gives what one merge at a time does where every token comes from one merge, and merges
+use only tokens of earlier ones: then a new symbol's pairs all rank behind the merge that made it. The loader checks both; for
+a vocabulary without them the library counts whole texts.
 """
 
 from __future__ import annotations
@@ -17,7 +18,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from .byte_bpe import load_tokenizer
-from .common import prepare
+from .common import prepare, quoted
 
 CACHE_WORDS = 900_000
 NONE = np.int32(2**31 - 1)
@@ -107,10 +108,14 @@ class TokenCounter:
         for t, i in vocab.items():
             if len(t) == 1 and ord(t) < 1024:
                 self.symbol[ord(t)] = i
+        made = {t: k for k, t in enumerate(ids[:, 2].tolist())}
+        uses = np.array([max(made.get(a, -1), made.get(b, -1)) for a, b in ids[:, :2].tolist()], np.int64)
+        self.simultaneous = len(made) == len(ids) and bool((uses < np.arange(len(ids))).all())
         self.specials = [t["content"] for t in spec["added_tokens"]]
         if any(t["lstrip"] or t["rstrip"] or t["single_word"] or t["normalized"] for t in spec["added_tokens"]):
             raise ValueError("special strings that take in their surroundings are not handled")
-        self.pre = load_tokenizer(path).pre_tokenizer
+        self.library = load_tokenizer(path)
+        self.pre = self.library.pre_tokenizer
         self.inner: dict[str, int] = {}
         self.first: dict[str, int] = {}
         self.newline = int(self.count_pieces(["\n"])[0])
@@ -143,6 +148,8 @@ class TokenCounter:
 
     def count(self, texts: list[str | None]) -> list[int]:
         """Tokens of each text; special strings inside count one each. Null: 0."""
+        if not self.simultaneous:
+            return [len(self.library.encode(t or "", add_special_tokens=False).ids) for t in texts]
         plain, inner, first = [], set(), set()
         for i, t in enumerate(texts):
             if t and not any(s in t for s in self.specials):
@@ -195,7 +202,7 @@ def count_tokens(docs: DataFrame, vocabulary: str, limit: int = 1024, id_col: st
         for b in batches:
             yield pa.RecordBatch.from_arrays([b.column(0), b.column(1), pa.array(counter.count(b.column(2).to_pylist()), pa.int64())], ["doc_id", "n_bytes", "n_tokens"])
 
-    rows = docs.select(F.col(id_col).cast("long").alias("doc_id"), F.coalesce(F.octet_length(text_col), F.lit(0)).cast("long").alias("n_bytes"), F.col(text_col).alias("text"))
+    rows = docs.select(F.col(quoted(id_col)).cast("long").alias("doc_id"), F.coalesce(F.octet_length(quoted(text_col)), F.lit(0)).cast("long").alias("n_bytes"), F.col(quoted(text_col)).alias("text"))
     return rows.mapInArrow(run, "doc_id long, n_bytes long, n_tokens long").withColumn("over_limit", F.col("n_tokens") > limit)
 
 
