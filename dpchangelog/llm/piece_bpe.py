@@ -6,7 +6,8 @@ outside the vocabulary become byte pieces.
 
 No piece of such a vocabulary holds a newline, or the space mark after another character (checked at load), so nothing
 merges across those places: a text is the sequence of its words, each distinct word is encoded once and kept in a bounded
-cache. New words of every Arrow batch are checked against the sentencepiece library, ids and decoded text.
+cache. New words of every Arrow batch are checked against the sentencepiece library, ids and decoded text. A text whose own ids
+or decoded text differ from the library's gets the library's, and says so in by_library; it never stops the job.
 """
 
 from __future__ import annotations
@@ -19,17 +20,13 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from .common import prepare
+from .common import prepare, quoted
 
 SPACE = "▁"
 CACHE_WORDS = 450_000
 _loaded: dict = {}
 
 
-class Mismatch(AssertionError):
-    """Own result and the library's differ."""
-
-
 class Agenda:
     """Ids of one word by merging."""
 
@@ -77,7 +74,7 @@ class _Words(dict):
         self.owner, self.mark, self.new = owner, mark, []
 
     def __missing__(self, word: str):
-        if SPACE in word or not word:
+        if SPACE in word or not word or (self.mark, word) in self.owner.bad:
             raise KeyError(word)
         ids = self.owner.agenda.encode(self.mark + word)
         value = (",".join(map(str, ids)), len(ids), self.owner.surface(ids))
@@ -95,6 +92,9 @@ class PieceBpe:
         self.library = sentencepiece.SentencePieceProcessor(model_file=path)
         p, n = self.library, self.library.get_piece_size()
         self.verify = verify
+        #: Words whose own ids differ from the library's, and how many texts took the library's ids.
+        self.bad: set = set()
+        self.replaced = 0
         names = [p.id_to_piece(i) for i in range(n)]
         normal = [not (p.is_unknown(i) or p.is_control(i) or p.is_unused(i) or p.is_byte(i)) for i in range(n)]
         by_name = {f"<0x{b:02X}>": b for b in range(256)}
@@ -134,8 +134,11 @@ class PieceBpe:
         for chunk in re.findall(f"{SPACE}+[^{SPACE}\n]*|[^{SPACE}\n]+|\n" if self.by_word else "(?s).+", SPACE + text.replace(" ", SPACE)):
             ids += self.agenda.encode(chunk)
         decoded = self.decode(ids)
-        if self.verify and (ids != self.library.encode(text) or decoded != self.library.decode(ids)):
-            raise Mismatch(text[:100])
+        if self.verify:
+            theirs = self.library.encode(text)
+            if ids != theirs or decoded != self.library.decode(theirs):
+                self.replaced += 1
+                ids, decoded = theirs, self.library.decode(theirs)
         return ",".join(map(str, ids)), len(ids), decoded
 
     def encode(self, text: str | None) -> tuple[str, int, str]:
@@ -165,19 +168,24 @@ class PieceBpe:
             return self.whole(text)
         return ",".join(ids), n, "".join(decoded)[1:]
 
-    def check_new(self) -> None:
-        """Hold the words first met since the last call against the library."""
+    def check_new(self) -> bool:
+        """Hold the words first met since the last call against the library. Those that differ leave the cache for good, so texts
+        with them are encoded as a whole; whether there were any."""
+        wrong = False
         for words, lead, cut in ((self.marked, "", 0), (self.plain, "\n", 2)):
             new, words.new = words.new, []
             if not (self.verify and new):
                 continue
             theirs = self.library.encode([lead + w for w, _ in new], num_threads=1)
-            if bad := [w for (w, ids), t in zip(new, theirs, strict=True) if ids != t[cut:]]:
-                raise Mismatch(f"{len(bad)} words differ from the library, first {bad[0]!r}")
+            bad = {w for (w, ids), t in zip(new, theirs, strict=True) if ids != t[cut:]}
             if not cut:
                 texts = self.library.decode([ids for _, ids in new])
-                if bad := [w for (w, ids), t in zip(new, texts, strict=True) if self.surface(ids)[1:] != t]:
-                    raise Mismatch(f"{len(bad)} words decode differently, first {bad[0]!r}")
+                bad |= {w for (w, ids), t in zip(new, texts, strict=True) if self.surface(ids)[1:] != t}
+            for w in bad:
+                words.pop(w, None)
+                self.bad.add((words.mark, w))
+            wrong = wrong or bool(bad)
+        return wrong
 
 
 def loose_utf8(raw: bytes) -> str:
@@ -196,28 +204,35 @@ def piece_bpe(path: str, verify: bool = True) -> PieceBpe:
 
 
 def encode_decode(docs: DataFrame, model: str, verify: bool = True, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
-    """(doc_id, ids string, n_tokens, decoded) of every whole text.
+    """(doc_id, ids string, n_tokens, decoded, by_library) of every whole text.
 
-    ids: decimal, joined by commas. Null texts are empty: no ids, empty decoded text. Null and repeated ids stay as rows of
-    their own; an empty table gives no rows; other columns are not read. verify=False leaves out the library's check.
+    ids: decimal, joined by commas; by_library: own ids differed, so the library's stand here. Null texts are empty: no ids, empty
+    decoded text. Null and repeated ids stay as rows of their own; an empty table gives no rows; other columns are not read.
+    verify=False leaves out the library's check.
     """
-    return _map(docs, model, verify, id_col, text_col, lambda ids, n, text: (ids, n, text), "doc_id long, ids string, n_tokens long, decoded string")
+    return _map(docs, model, verify, id_col, text_col, lambda ids, n, text: (ids, n, text), "doc_id long, ids string, n_tokens long, decoded string, by_library boolean")
 
 
 def _map(docs, model, verify, id_col, text_col, shape, schema):
     prepare(docs.sparkSession)
     names = [x.split()[0] for x in schema.split(", ")]
-    kinds = [pa.int64() if x.split()[1] == "long" else pa.string() for x in schema.split(", ")]
+    kinds = [{"long": pa.int64(), "string": pa.string(), "boolean": pa.bool_()}[x.split()[1]] for x in schema.split(", ")]
+
+    def one(coder, text):
+        before = coder.replaced
+        return (*shape(*coder.encode(text)), coder.replaced > before)
 
     def run(batches):
         coder = piece_bpe(model, verify)
         for b in batches:
-            rows = [shape(*coder.encode(t)) for t in b.column(1).to_pylist()]
-            coder.check_new()
+            texts = b.column(1).to_pylist()
+            rows = [one(coder, t) for t in texts]
+            if coder.check_new():
+                rows = [one(coder, t) for t in texts]
             cols = list(zip(*rows, strict=True)) or [()] * (len(names) - 1)
             yield pa.RecordBatch.from_arrays([b.column(0), *(pa.array(c, k) for c, k in zip(cols, kinds[1:], strict=True))], names)
 
-    return docs.select(F.col(id_col).cast("long").alias("doc_id"), F.col(text_col).alias("text")).mapInArrow(run, schema)
+    return docs.select(F.col(quoted(id_col)).cast("long").alias("doc_id"), F.col(quoted(text_col)).alias("text")).mapInArrow(run, schema)
 
 
 def digest(ids: str, n: int, text: str) -> tuple[int, str, str]:
@@ -225,4 +240,4 @@ def digest(ids: str, n: int, text: str) -> tuple[int, str, str]:
 
 
 def op8(spark: SparkSession, docs: DataFrame, model: str) -> DataFrame:
-    return _map(docs, model, True, "doc_id", "text", digest, "doc_id long, n_tokens long, ids_sha256 string, decoded_sha256 string")
+    return _map(docs, model, True, "doc_id", "text", digest, "doc_id long, n_tokens long, ids_sha256 string, decoded_sha256 string, by_library boolean")
