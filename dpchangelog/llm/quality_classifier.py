@@ -15,10 +15,10 @@ from dataclasses import dataclass
 
 import numpy as np
 import pyarrow as pa
-from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
-from .common import prepare, table
+from .common import prepare, quoted
 
 PASSAGE = 64
 _SIGNS = ".,;:!?'\"-()[]{}|#*$%&<>/\\=+_~@^`"
@@ -138,16 +138,18 @@ def _remainder(c: str):
     return F.crc32(F.col(c).cast("string").cast("binary")) % 4
 
 
-def train_classifier(docs: DataFrame, labels: DataFrame, id_col: str = "doc_id", text_col: str = "text", label_col: str = "quality", sample_rows: int = 8000):
-    """Learn from at most sample_rows labelled documents whose crc32(id as text) mod 4 is not 2.
+def train_classifier(docs: DataFrame, labels: DataFrame, id_col: str = "doc_id", text_col: str = "text", label_col: str = "quality", sample_rows: int = 8000, sample_bytes: int = 64 << 20, label_id_col: str = "doc_id"):
+    """Learn from at most sample_rows labelled documents whose crc32(id as text) mod 4 is not 2, and of them, in the order of a
+    hash of their ids, from those whose passages take sample_bytes in all: that much reaches the driver, however long texts are.
 
-    An id with several labels counts with the smallest. Null ids and labels other than 0 and 1 are left out. Without labels
+    An id with several labels counts with the smallest, one with several texts with that of the smallest hash. Null ids and labels other than 0 and 1 are left out. Without labels
     every document scores 1; with one kind of label only, the share of label 1, smoothed.
     """
     prepare(docs.sparkSession)
-    rows = labels.where(F.col(label_col).isin(0, 1) & F.col("doc_id").isNotNull() & (_remainder("doc_id") != 2)).groupBy("doc_id").agg(F.min(label_col).alias("y"))
+    labels = labels.select(F.col(quoted(label_id_col)).alias("doc_id"), F.col(quoted(label_col)).alias("label"))
+    rows = labels.where(F.col("label").isin(0, 1) & F.col("doc_id").isNotNull() & (_remainder("doc_id") != 2)).groupBy("doc_id").agg(F.min("label").alias("y"))
     chosen = rows.orderBy(F.xxhash64("doc_id"), "doc_id").limit(sample_rows)  # bounded, so it may be broadcast
-    found = docs.select(F.col(f"`{id_col}`").alias("doc_id"), F.col(f"`{text_col}`").alias("text")).join(F.broadcast(chosen), "doc_id").select("doc_id", "y", "text")
+    found = docs.select(F.col(quoted(id_col)).alias("doc_id"), F.col(quoted(text_col)).alias("text")).join(F.broadcast(chosen), "doc_id").select("doc_id", "y", "text")
 
     def describe(batches):
         for b in batches:
@@ -155,7 +157,10 @@ def train_classifier(docs: DataFrame, labels: DataFrame, id_col: str = "doc_id",
             ends = np.cumsum(sizes)
             yield pa.RecordBatch.from_arrays([b.column(0), b.column(1).cast(pa.int64()), pa.array([x[e - n : e].tobytes() for e, n in zip(ends, sizes, strict=True)], pa.binary())], ["doc_id", "y", "x"])
 
-    got = sorted((r.doc_id, r.y, bytes(r.x)) for r in found.mapInArrow(describe, "doc_id long, y long, x binary").collect())
+    once = found.groupBy("doc_id", "y").agg(F.min_by("text", F.xxhash64("text")).alias("text"))
+    upto = F.sum(F.octet_length("x")).over(Window.orderBy(F.xxhash64("doc_id"), "doc_id").rowsBetween(Window.unboundedPreceding, 0))  # over sample_rows rows
+    bags = once.mapInArrow(describe, "doc_id long, y long, x binary").withColumn("upto", upto).where(F.col("upto") <= sample_bytes)
+    got = sorted((r.doc_id, r.y, bytes(r.x)) for r in bags.collect())
     y = np.array([r[1] for r in got], float)
     if not len(y) or y.min() == y.max():
         return Constant(float((y.sum() + 1) / (len(y) + 1)) if len(y) else 1.0)
@@ -177,7 +182,7 @@ def scored(docs: DataFrame, model, id_col: str = "doc_id", text_col: str = "text
                 scores.append(shared.value.score(*passages(texts[k : k + 500])))
             yield pa.RecordBatch.from_arrays([b.column(0), pa.array(np.concatenate(scores) if scores else np.zeros(0), pa.float64())], ["doc_id", "score"])
 
-    return docs.select(F.col(f"`{id_col}`").cast("long").alias("doc_id"), F.col(f"`{text_col}`").alias("text")).mapInArrow(run, "doc_id long, score double")
+    return docs.select(F.col(quoted(id_col)).cast("long").alias("doc_id"), F.col(quoted(text_col)).alias("text")).mapInArrow(run, "doc_id long, score double")
 
 
 def documents_accepted(docs: DataFrame, labels: DataFrame, threshold: float = 0.7, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
