@@ -2,9 +2,9 @@
 
 A sequence is a bin with three capacities. The open sequence takes, again and again, the waiting piece with the largest
 weighted dot product of its demand with what is left of the capacities (the dot-product heuristic); if none fits whole,
-the piece with the largest product is cut to what is left. An example may be cut anywhere, so sequences close full unless
-the segment limit closes them. What is left at the end of a partition closes as sequences of power-of-two length, which
-need no padding. Each partition packs on its own: no shuffle, state bounded by WINDOW pieces, and the same result when a
+the piece with the largest product is cut to what is left. An example may be cut anywhere, so a sequence closes full unless the
+limit on segments or on loss tokens closes it, or nothing waits any more; what it holds then closes as sequences of power-of-two
+length, which need no padding. Of an example longer than a sequence, full sequences of its own come first. Each partition packs on its own: no shuffle, state bounded by WINDOW pieces, and the same result when a
 task is run again.
 """
 
@@ -15,11 +15,11 @@ from dataclasses import dataclass
 
 import numpy as np
 import pyarrow as pa
-from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
 from .byte_bpe import byte_bpe
-from .common import prepare
+from .common import prepare, quoted
 
 #: Pieces that wait to be placed, at most.
 WINDOW = 2048
@@ -44,7 +44,8 @@ class Packer:
         self.limits, self.cap = limits, np.array([limits.tokens, limits.segments, limits.loss], float)
         self.demand, self.items, self.free = np.zeros((WINDOW, 3)), [None] * WINDOW, list(range(WINDOW))
         self.live = np.zeros(WINDOW, bool)
-        self.sequence, self.rows = 0, []
+        #: Sequences so far, and bins: a bin that isn't full becomes several sequences.
+        self.sequence, self.bins, self.rows = 0, 0, []
 
     @staticmethod
     def loss(start: int, length: int, prompt: int) -> int:
@@ -53,6 +54,7 @@ class Packer:
     def add(self, key, length: int, prompt: int = 0) -> None:
         at, lim = 0, self.limits
         while length - at >= lim.tokens and self.loss(at, lim.tokens, prompt) <= lim.loss:  # a full sequence of one segment
+            self.bins += 1
             self.close([(key, at, lim.tokens, prompt)])
             at += lim.tokens
         while length > at:
@@ -75,9 +77,10 @@ class Packer:
             offset += n
         self.sequence += 1
 
-    def fill(self, last: bool = False) -> None:
-        """Close one sequence from the waiting pieces, or, at the end, what they make."""
+    def fill(self) -> None:
+        """Close one sequence from the waiting pieces, or what a limit leaves of one."""
         room, pieces = self.cap.copy(), []
+        self.bins += 1
         while room.min() >= 1 and self.live.any():
             fits = self.live & (self.demand <= room).all(1)
             product = (self.demand / self.cap) @ (room / self.cap)
@@ -97,7 +100,7 @@ class Packer:
             pieces.append(piece)
             room -= (piece[2], 1, self.loss(*piece[1:]))
         total = sum(p[2] for p in pieces)
-        if not last or total == self.limits.tokens:
+        if total == self.limits.tokens:
             return self.close(pieces)
         while pieces:  # power-of-two sequences, the largest first
             want = 1 << (total.bit_length() - 1)
@@ -119,7 +122,7 @@ class Packer:
 
     def finish(self) -> None:
         while self.live.any():
-            self.fill(last=True)
+            self.fill()
 
     def placed(self) -> list:
         rows, self.rows = self.rows, []
@@ -137,7 +140,7 @@ def pack_texts(docs: DataFrame, vocabulary: str, limits: Limits = Limits(), end_
     are not read. Ids wait in memory only while a piece of theirs does.
     """
     prepare(docs.sparkSession)
-    rows = docs.select(F.col(id_col).cast("long").alias("doc_id"), F.col(text_col).alias("text"), (F.col(prompt_col) if prompt_col else F.lit(None).cast("string")).alias("prompt"))
+    rows = docs.select(F.col(quoted(id_col)).cast("long").alias("doc_id"), F.col(quoted(text_col)).alias("text"), (F.col(quoted(prompt_col)) if prompt_col else F.lit(None).cast("string")).alias("prompt"))
 
     def pack(batches):
         from pyspark import TaskContext
@@ -173,6 +176,15 @@ def pack_texts(docs: DataFrame, vocabulary: str, limits: Limits = Limits(), end_
     return rows.mapInArrow(pack, SCHEMA)
 
 
+def instruction_examples(conversations: DataFrame, id_col: str = "conv_id", turn_col: str = "turn", role_col: str = "role", text_col: str = "text") -> DataFrame:
+    """(doc_id, conv_id, turn, prompt, text): one example for each answer of the assistant, with the turn before as its prompt
+    (null for a first turn). For pack_texts with prompt_col="prompt": only answers bear loss."""
+    turns = conversations.select(F.col(quoted(id_col)).alias("conv_id"), F.col(quoted(turn_col)).alias("turn"), F.col(quoted(role_col)).alias("role"), F.col(quoted(text_col)).alias("text"))
+    before = F.lag("text").over(Window.partitionBy("conv_id").orderBy("turn", "role", "text"))
+    out = turns.withColumn("prompt", before).where("role = 'assistant'")
+    return out.select(F.xxhash64("conv_id", "turn").alias("doc_id"), "conv_id", "turn", "prompt", "text")
+
+
 def padding(pieces: DataFrame, tokens: int = 1024) -> DataFrame:
     """Sequences, tokens and padding of packed pieces: padded to the limit unless the length is a power of two."""
     seq = pieces.groupBy("sequence_id").agg(F.sum("length").alias("n"))
