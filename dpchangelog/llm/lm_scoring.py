@@ -21,13 +21,13 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from .common import prepare, stored, table
+from .common import prepare, quoted, stored, table
 
 #: Words of the uniform model, at least; a corpus with more different words has that many. Sizes of the tables that `slots` numbers.
 WORDS, PAIRS = 1 << 18, 1 << 20
 SMOOTH, UNIFORM = 16.0, 0.1
 #: Labelled ids that are broadcast, at most; more are joined by a shuffle.
-BROADCAST_IDS = 2_000_000
+BROADCAST_IDS = 250_000
 #: Bytes of text of a chunk, and of text for each shard.
 CHUNK_BYTES, SHARD_BYTES = 8 << 20, 16 << 20
 _numbers: dict = {}
@@ -104,7 +104,7 @@ def _flagged(docs: DataFrame, good: DataFrame, id_col: str, text_col: str) -> Da
     """(doc_id, text, target) of all rows."""
     ids = good.select(F.col("doc_id").cast("long").alias("doc_id")).where("doc_id is not null").distinct().withColumn("t", F.lit(1))
     ids = F.broadcast(ids) if ids.count() <= BROADCAST_IDS else ids
-    rows = docs.select(F.col(f"`{id_col}`").cast("long").alias("doc_id"), F.col(f"`{text_col}`").alias("text"))
+    rows = docs.select(F.col(quoted(id_col)).cast("long").alias("doc_id"), F.col(quoted(text_col)).alias("text"))
     return rows.join(ids, "doc_id", "left").select("doc_id", "text", F.coalesce("t", F.lit(0)).alias("target"))
 
 
