@@ -14,15 +14,11 @@ from __future__ import annotations
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from .common import prepare
+from .common import prepare, quoted
 
 WINDOW = 3
 
 
-def _quoted(c: str) -> str:
-    return "`" + c.replace("`", "``") + "`"
-
-
 def _free(name: str, taken: list[str]) -> str:
     while name.lower() in (c.lower() for c in taken):
         name += "_"
@@ -31,8 +27,8 @@ def _free(name: str, taken: list[str]) -> str:
 
 def _keyed(docs: DataFrame, id_col: str, text_col: str) -> DataFrame:
     """a, b, h: the key of a document (its id, whether that is null, and a hash of its text)."""
-    i, t = F.col(_quoted(id_col)), F.col(_quoted(text_col))
-    return docs.select(F.coalesce(i.cast("long"), F.lit(0)).alias("a"), i.isNull().alias("b"), F.xxhash64(t).alias("h"), t.alias("t"), F.struct(*[F.col(_quoted(c)) for c in docs.columns]).alias("row"))
+    i, t = F.col(quoted(id_col)), F.col(quoted(text_col))
+    return docs.select(F.coalesce(i.cast("long"), F.lit(0)).alias("a"), i.isNull().alias("b"), F.xxhash64(t).alias("h"), t.alias("t"), F.struct(*[F.col(quoted(c)) for c in docs.columns]).alias("row"))
 
 
 def _lines(text: Column) -> Column:
@@ -89,7 +85,7 @@ def dedup_lines(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text")
     kept = F.when(F.size("ls") > 0, F.flatten(F.transform(gaps, lambda g: F.slice(F.col("ls"), g["lo"] + 2, g["hi"] - g["lo"] - 1))))
     cut_text = F.when(F.col("gone").isNull(), F.col("t")).otherwise(F.array_join("kept", "\n"))
     sized = sized.withColumn("e", F.when(F.col("gone").isNotNull(), edges)).withColumn("ls", F.when(F.col("gone").isNotNull(), lines)).withColumn("kept", F.when(F.col("gone").isNotNull(), kept))
-    out = [cut_text.alias(c) if c == text_col else F.col(f"row.{_quoted(c)}").alias(c) for c in docs.columns]
+    out = [cut_text.alias(c) if c == text_col else F.col(f"row.{quoted(c)}").alias(c) for c in docs.columns]
     return sized.select(*out, F.col("n").cast("long").alias(_free("n_lines", docs.columns)), F.coalesce(F.size("gone"), F.lit(0)).cast("long").alias(_free("n_removed", docs.columns)))
 
 

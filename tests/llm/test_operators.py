@@ -4,6 +4,7 @@ import hashlib
 import random
 import re
 import sys
+import time
 import zlib
 from collections import Counter
 from pathlib import Path
@@ -87,15 +88,30 @@ def test_records_awkward_and_shuffled_reads(spark, awkward, empty, tmp_path):
     assert index.count() == awkward.count()
     got = sorted(((r.doc_id, list(r.ids)) for r in record_files.read_records(spark, where).collect()), key=str)
     assert len(got) == awkward.count()
-    files = sorted(tmp_path.glob("records/part-*.txt"))
     for r in record_files.shuffled_order(index, 5).collect():
-        name = next(f for f in files if f.name.startswith(f"part-{r.shard // 100_000:05d}"))
+        name = next(tmp_path.glob(f"records/file={r.shard & 0xFFFFFF}/part-{r.shard >> 24:05d}-*.txt"))
         doc_id, ids = record_files.read_at(f"file://{name}", r.byte_offset, r.byte_length)
         assert doc_id == r.doc_id and len(ids) == r.n_tokens
     record_files.write_records(empty, f"file://{tmp_path}/none", BYTES)
     assert record_files.index_records(spark, f"file://{tmp_path}/none").count() == 0
 
 
+def test_files_are_bounded_in_bytes(spark, docs, texts, tokenizer, monkeypatch, tmp_path):
+    monkeypatch.setattr(record_files, "FILE_BYTES", 20_000)
+    record_files.write_records(docs, f"file://{tmp_path}/records", BYTES)
+    sizes = [f.stat().st_size for f in tmp_path.glob("records/file=*/part-*.txt")]
+    index = record_files.index_records(spark, f"file://{tmp_path}/records").toPandas()
+    alone = index.groupby("shard").size()[lambda n: n == 1].index
+    assert len(sizes) > 10 and len(sizes) == index.shard.nunique()
+    assert sum(s > 20_000 for s in sizes) <= len(alone)
+    # Ids ascend over files in the order of their names, and each frame begins where the one before ends.
+    index = index.sort_values(["shard", "seq"])
+    assert index.doc_id.is_monotonic_increasing
+    assert index.start.tolist() == [0, *index.n_tokens.cumsum().tolist()[:-1]]
+    for _, own in index.groupby("shard"):
+        assert own.byte_offset.tolist() == [0, *(own.byte_length + 1).cumsum().tolist()[:-1]]
+
+
 def test_damage_is_found():
     good = record_files.record(7, 2, b"\x01\x00\x02\x00") + b"\n"
     assert [p for _, p in record_files.frames(good)]
@@ -136,6 +152,56 @@ def test_caches_that_overflow_change_nothing(texts, tokenizer, monkeypatch):
     assert [own.encode(t) for t in sample] == [piece_bpe.PieceBpe(PIECES).encode(t) for t in sample]
 
 
+def test_vocabularies_that_merge_otherwise_are_counted_by_the_library(tmp_path):
+    import json
+
+    from tokenizers import Tokenizer
+
+    spec = json.loads(Path(BYTES).read_text())
+    letters = {t: i for t, i in spec["model"]["vocab"].items() if len(t) == 1}
+    n = max(letters.values()) + 1
+    ab, bc, abc = "ab", "bc", "abc"
+    for merges in ([["b", "c"], ["a", "b"], ["ab", "c"], ["a", "bc"]], [["ab", "c"], ["a", "b"]]):  # two ways to one token; a merge before its operand's
+        spec["model"] |= {"vocab": letters | {ab: n, bc: n + 1, abc: n + 2}, "merges": merges}
+        spec["added_tokens"] = []
+        at = tmp_path / "v.json"
+        at.write_text(json.dumps(spec))
+        counter, library = token_counts.TokenCounter(str(at)), Tokenizer.from_file(str(at))
+        sample = ["abc", "ababc abc", "aabcc", "", None]
+        assert not counter.simultaneous
+        assert counter.count(sample) == [len(library.encode(t or "", add_special_tokens=False).ids) for t in sample]
+    assert token_counts.TokenCounter(BYTES).simultaneous
+
+
+def test_pieces_that_differ_are_the_librarys(texts):
+    import sentencepiece
+
+    library, own = sentencepiece.SentencePieceProcessor(model_file=PIECES), piece_bpe.PieceBpe(PIECES)
+    sample = [t for t in texts.values() if t][:40] + ["  two  spaces "]
+    for piece in [t for t in own.agenda.cost if len(t) > 2][:2000]:
+        del own.agenda.cost[piece]  # an agenda that is wrong
+    for t in sample:
+        own.encode(t)
+    assert own.check_new() and own.bad
+    for t in sample:
+        ids = library.encode(t)
+        assert own.encode(t) == (",".join(map(str, ids)), len(ids), library.decode(ids))
+    assert own.replaced and not own.check_new()
+
+
+def test_column_names_with_dots_and_spaces(spark, tmp_path):
+    d = spark.createDataFrame([(1, "some words here", "en", "s"), (2, None, "en", "s")], "`a.id` long, `the text` string, `l.` string, `s` string")
+    names = {"id_col": "a.id", "text_col": "the text"}
+    record_files.write_records(d, f"file://{tmp_path}/records", BYTES, **names)
+    assert record_files.index_records(spark, f"file://{tmp_path}/records").count() == 2
+    out = [token_counts.count_tokens(d, BYTES, **names), piece_bpe.encode_decode(d, PIECES, **names), packing.pack_texts(d, BYTES, **names), line_dedup.dedup_lines(d, **names), simhash.groups(d, **names), simhash.similar_groups(d, **names)]
+    out.append(quality_rules.quality_rules(d, lang_col="l.", source_col="s", **names))
+    out.append(lm_scoring.score_documents(d, spark.createDataFrame([(1,)], "doc_id long"), **names))
+    out.append(quality_classifier.scored(d, quality_classifier.train_classifier(d, spark.createDataFrame([(1, 1)], "`l.id` long, `the label` int"), label_col="the label", label_id_col="l.id", **names), **names))
+    assert [x.count() for x in out] == [2] * len(out)
+    assert simhash.near_duplicates_removed(d, **names).columns == d.columns
+
+
 def test_overlapping_pairs_of_one_rank():
     ranks = token_counts.PairRanks(np.array([1, 2]), np.array([1, 2]), np.array([2, 3]), 4)
     symbols = np.array([1] * 3 + [1] * 4 + [1] + [1] * 7)
@@ -222,19 +288,75 @@ def test_quality_rules(spark, docs, texts):
     assert kept.columns == docs.columns and {r.doc_id for r in kept.collect()} == {i for i, r in out.items() if r.kept}
 
 
+def distances(x, e):
+    centre = np.array([e[f"m{j}"] for j in range(5)])
+    root = np.array([[e[f"i{i}{j}"] if j <= i else 0 for j in range(5)] for i in range(5)])
+    return (((x - centre) @ root.T) ** 2).sum(1)
+
+
+VECTORS = "lk string, sk string, x0 double, x1 double, x2 double, x3 double, x4 double"
+
+
 def test_outliers_against_numpy(spark):
     r = np.random.default_rng(5)
     x = r.multivariate_normal([5, 1.7, 0, 0, 0], np.diag([0.4, 0.01, 1e-6, 1e-6, 1e-6]), 500)
     x[:25, 2] = 3.3
-    data = spark.createDataFrame([("a", "b", *map(float, v)) for v in x], "lk string, sk string, x0 double, x1 double, x2 double, x3 double, x4 double")
-    groups, estimates = quality_rules.fit(data)
-    e = estimates.collect()[0]
-    centre = np.array([e[f"m{j}"] for j in range(5)])
-    assert np.allclose(centre[[0, 1]], [5, 1.7], atol=0.15) and centre[2] < 0.05
-    root = np.array([[e[f"i{i}{j}"] if j <= i else 0 for j in range(5)] for i in range(5)])
-    d = (((x - centre) @ root.T) ** 2).sum(1)
-    judged = quality_rules.judge(data.withColumn("base_failed", F.lit(False)), groups, estimates).collect()
-    assert sum(not j.kept for j in judged) == (d > quality_rules.CUTOFF).sum() >= 25
+    data = spark.createDataFrame([("a", "b", *map(float, v)) for v in x], VECTORS)
+    estimates = quality_rules.fit(data)
+    (e,) = estimates.collect()
+    assert (e.m0, e.m1) == pytest.approx((5, 1.7), abs=0.15) and e.m2 < 0.05
+    judged = quality_rules.judge(data.withColumn("base_failed", F.lit(False)), estimates).collect()
+    assert sum(not j.kept for j in judged) == (distances(x, e) > quality_rules.CUTOFF).sum() >= 25
+
+
+@pytest.mark.parametrize("seed", range(4))
+def test_estimates_against_all_subsets(spark, seed, monkeypatch):
+    """The minimum covariance determinant by trying every subset of three quarters, floors and consistency factor alike."""
+    from itertools import combinations
+
+    monkeypatch.setattr(quality_rules, "SHRINK", 0)
+    r = np.random.default_rng(seed)
+    x = r.normal(size=(16, 5)) * [0.6, 0.1, 0.5, 0.5, 0.5] + [5, 1.7, 1, 0.5, 0.5]
+    x[:3] += [4, 0, 5, 0, 3]
+    floor = np.diag(np.square(quality_rules.FLOOR))
+
+    def covariance(rows):
+        return quality_rules.CONSISTENCY * np.cov(rows.T, bias=True) + floor
+
+    best = min((x[list(s)] for s in combinations(range(16), 12)), key=lambda rows: np.linalg.det(covariance(rows)))
+    d = x - best.mean(0)
+    theirs = (d @ np.linalg.inv(covariance(best)) * d).sum(1)
+    (e,) = quality_rules.fit(spark.createDataFrame([("a", "b", *map(float, v)) for v in x], VECTORS)).collect()
+    own = distances(x, e)
+    log_det = -2 * sum(np.log(e[f"i{j}{j}"]) for j in range(5))
+    assert log_det <= np.log(np.linalg.det(covariance(best))) + 0.25  # as small a determinant, or nearly
+    assert ((own > quality_rules.CUTOFF) == (theirs > quality_rules.CUTOFF)).all() and (own > quality_rules.CUTOFF)[:3].all()
+    assert np.corrcoef(own, theirs)[0, 1] > 0.99
+
+
+def test_every_group_has_an_estimate_of_its_own(spark):
+    r = np.random.default_rng(8)
+    sizes = {("a", "x"): 2000, ("a", "y"): 400, ("a", "z"): 5, ("b", "x"): 400, ("b", "y"): 1}
+    centre = {("a", "x"): 4.0, ("a", "y"): 7.0, ("a", "z"): 4.0, ("b", "x"): 9.0, ("b", "y"): 9.0}
+    rows = [(*g, *map(float, r.normal(size=5) * 0.05 + [centre[g], 1.7, 0.5, 0.1, 0.1])) for g, n in sizes.items() for _ in range(n)]
+    data = spark.createDataFrame(rows, VECTORS)
+    e = {(x.lk, x.sk): x for x in quality_rules.fit(data).collect()}
+    assert set(e) == set(sizes)
+    assert all(abs(e[g].m0 - centre[g]) < 0.6 for g in (("a", "x"), ("a", "y"), ("b", "x")))
+    lang = (60 * 4.0 + 5 * 4.0) / 65  # a group of five is nearly its language
+    assert abs(e["a", "z"].m0 - lang) < 1.0
+    # A vector that is common in one group is an outlier in another of the same language.
+    odd = spark.createDataFrame([("a", "x", 7.0, 1.7, 0.5, 0.1, 0.1), ("a", "y", 7.0, 1.7, 0.5, 0.1, 0.1)], VECTORS).withColumn("base_failed", F.lit(False))
+    kept = {x.sk: x.kept for x in quality_rules.judge(odd, spark.createDataFrame([e["a", "x"], e["a", "y"]])).collect()}
+    assert kept == {"x": False, "y": True}
+
+
+def test_statistics_can_be_filtered(spark):
+    """A filter on a statistic isn't pushed into the expressions, so it costs what the statistics cost."""
+    began = time.time()
+    d = table(spark, "/root/testdata/sf0.01", "documents").select("doc_id", "text")
+    out = quality_rules.text_statistics(d, F.col("text")).where("not base_failed and n_repeat_words >= 0")
+    assert 0 < out.select("doc_id", "n_words").count() < d.count() and time.time() - began < 60
 
 
 def test_repeats_alone_reject_long_documents_only(spark):
@@ -284,6 +406,15 @@ def test_gradients_are_those_of_the_loss():
     assert np.add.reduceat(m.attention(x, sizes), [0, 3, 4]) == pytest.approx([1, 1, 1])
 
 
+def test_what_is_learnt_from_is_bounded_in_bytes(spark, docs):
+    labels = table(spark, SF, "labels")
+    some = quality_classifier.train_classifier(docs, labels, sample_bytes=1 << 16)
+    assert isinstance(some, quality_classifier.AttentionModel)
+    assert isinstance(quality_classifier.train_classifier(docs, labels, sample_bytes=10), quality_classifier.Constant)
+    twice = quality_classifier.train_classifier(docs.unionByName(docs), labels, sample_bytes=1 << 16)
+    assert all(np.array_equal(some.p[k], twice.p[k]) for k in some.p)
+
+
 def test_classifier_awkward(spark, awkward, empty):
     labels = spark.createDataFrame([(0, 1, 0), (1, 0, 0), (1, 1, 0), (None, 1, 0), (4, None, 0), (7, 1, 1)], "doc_id long, quality int, toxic int")
     none = labels.where("false")
@@ -334,6 +465,20 @@ def test_large_buckets_and_awkward_vectors(spark, monkeypatch):
     assert embedding_dedup.near_vectors(data.where("false")).count() == 0
 
 
+def test_vectors_with_awkward_ids_and_columns(spark):
+    r = np.random.default_rng(14)
+    a, b = r.normal(size=(2, 64))
+    near = (a + 0.05 * r.normal(size=64)).tolist()
+    rows_ = [(None, a.tolist()), (7, a.tolist()), (7, near), (7, b.tolist()), (None, None), (3, near), (None, (b + 0.01).tolist())]
+    data = spark.createDataFrame([(i, v, 1, 2, 3, "x") for i, v in rows_], "vec_id long, embedding array<double>, n_links int, component_id int, rep int, vec string")
+    out = embedding_dedup.near_vectors(data)
+    assert out.columns == ["vec_id", "n_links", "component_id", "kept"]
+    got = [(str(x.vec_id), x.n_links, x.component_id, x.kept) for x in out.collect()]
+    # Four rows are near a, two near b, one can't link.
+    want = [("None", 3, 3, False), ("7", 3, 3, False), ("7", 3, 3, False), ("3", 3, 3, True), ("7", 1, 7, True), ("None", 1, 7, False), ("None", 0, None, True)]
+    assert sorted(map(str, got)) == sorted(map(str, want))
+
+
 def test_recall_at_the_threshold():
     r = np.random.default_rng(6)
     x = r.normal(size=(2000, 64))
@@ -382,8 +527,9 @@ def test_packing(spark, texts, tokenizer):
     out = df.toPandas()
     assert set(out.doc_id) == set(texts)
     check_packed(out, texts, tokenizer, packing.Limits())
-    p = packing.padding(df).first()
-    assert p.padding <= 0.02 * p.tokens
+    assert packing.padding(df).first().padding == 0
+    short = spark.createDataFrame([(i, "a b") for i in range(3000)], "doc_id long, text string")  # the segment limit closes these
+    assert packing.padding(packing.pack_texts(short, BYTES)).first().padding == 0
 
 
 def test_packing_under_three_limits(spark, docs, texts, tokenizer):
@@ -397,6 +543,117 @@ def test_packing_under_three_limits(spark, docs, texts, tokenizer):
         packing.Limits(0)
 
 
+def place_by_hand(examples, limits, slots=packing.WINDOW):
+    """(key, start, length) of each sequence in order: an open sequence, slot by slot, always the largest dot product."""
+    waiting, free, done = {}, list(range(slots)), []
+    cap = (limits.tokens, limits.segments, limits.loss)
+
+    def demand(p):
+        key, start, n, prompt = p
+        return n, 1, sum(1 for i in range(start, start + n) if i >= prompt)
+
+    def longest(p, room):
+        key, start, n, prompt = p
+        while n and any(a > b for a, b in zip(demand((key, start, n, prompt)), room)):
+            n -= 1
+        return n
+
+    def fill():
+        room, pieces = list(cap), []
+        while min(room) >= 1 and waiting:
+            value = {s: sum(d / c * r / c for d, r, c in zip(demand(p), room, cap)) for s, p in waiting.items()}
+            fitting = [s for s, p in waiting.items() if all(d <= r for d, r in zip(demand(p), room))]
+            s = max(fitting or waiting, key=lambda s: (round(value[s], 12), -s))
+            key, start, n, prompt = waiting[s]
+            take = n if fitting else longest(waiting[s], room)
+            if not take:
+                break
+            if take == n:
+                del waiting[s]
+                free.append(s)
+            else:
+                waiting[s] = (key, start + take, n - take, prompt)
+            pieces.append((key, start, take, prompt))
+            room = [r - d for r, d in zip(room, demand(pieces[-1]))]
+        done.append([p[:3] for p in pieces])
+
+    for key, length, prompt in examples:
+        at = 0
+        while at < length:
+            n = longest((key, at, length - at, prompt), cap)
+            if n == limits.tokens:
+                done.append([(key, at, n)])
+            else:
+                if not free:
+                    fill()
+                waiting[free.pop()] = (key, at, n, prompt)
+            at += n
+    while waiting:
+        fill()
+    return done
+
+
+def test_placement_is_that_of_the_heuristic(monkeypatch):
+    monkeypatch.setattr(packing, "WINDOW", 12)
+    r = random.Random(5)
+    limits = packing.Limits(40, 4, 22)
+    examples = [(k, r.randint(1, 60), r.randint(0, 30)) for k in range(150)]
+    packer = packing.Packer(limits)
+    for key, length, prompt in examples:
+        packer.add(key, length, prompt)
+    packer.finish()
+    by = {}
+    for key, start, n, sequence, offset in packer.placed():
+        by.setdefault(sequence, []).append((offset, key, start, n))
+    rows_ = [(k, s, n) for q in sorted(by) for _, k, s, n in sorted(by[q])]
+    # A sequence that is not full is cut into powers of two afterwards, which may cut a piece, but keeps their order.
+    whole = []
+    for k, s, n in rows_:
+        if whole and whole[-1][0] == k and whole[-1][1] + whole[-1][2] == s:
+            whole[-1] = (k, whole[-1][1], whole[-1][2] + n)
+        else:
+            whole.append((k, s, n))
+    want = []
+    for k, s, n in (p for seq in place_by_hand(examples, limits, 12) for p in seq):
+        if want and want[-1][0] == k and want[-1][1] + want[-1][2] == s:
+            want[-1] = (k, want[-1][1], want[-1][2] + n)
+        else:
+            want.append((k, s, n))
+    assert whole == want
+    lengths = [sum(n for _, _, _, n in by[q]) for q in by]
+    assert all(n == 40 or n & (n - 1) == 0 for n in lengths)
+
+
+def test_instruction_data_meets_all_three_limits(spark, tokenizer):
+    turns = table(spark, SF, "conversations")
+    examples = packing.instruction_examples(turns)
+    limits = packing.Limits(256, 6, 120)
+    out = packing.pack_texts(examples, BYTES, limits, prompt_col="prompt").toPandas()
+    said = {(r.conv_id, r.turn): r for r in turns.collect()}
+    want = {r.doc_id: (r.prompt, r.text) for r in examples.collect()}
+    assert len(want) == sum(r.role == "assistant" for r in said.values())
+    for r in examples.collect():
+        before = said.get((r.conv_id, r.turn - 1))
+        assert r.text == said[r.conv_id, r.turn].text and (before is None or r.prompt == before.text)
+    size = lambda t: len(tokenizer.encode(t or "", add_special_tokens=False).ids)
+    for i, own in out.groupby("doc_id"):
+        prompt, text = want[i]
+        assert own.length.sum() == own.doc_tokens.iloc[0] == size(prompt) + size(text) + 1 and own.loss_tokens.sum() == size(text) + 1
+    seq = out.groupby("sequence_id").agg(tokens=("length", "sum"), loss=("loss_tokens", "sum"), segments=("length", "size"))
+    assert (seq.tokens.max(), seq.segments.max(), seq.loss.max()) <= (256, 6, 120) and (seq.tokens <= 256).all() and (seq.loss <= 120).all() and (seq.segments <= 6).all()
+
+    def bins(limits):
+        packer = packing.Packer(limits)
+        for k, (prompt, text) in enumerate(sorted(want.values(), key=str)):
+            packer.add(k, size(prompt) + size(text) + 1, size(prompt))
+        packer.finish()
+        return packer.bins
+
+    # Each limit binds: without it fewer bins are needed.
+    base, free = (256, 2, 150), 10**6
+    assert all(bins(packing.Limits(*[free if i == k else x for i, x in enumerate(base)])) < bins(packing.Limits(*base)) for k in range(3))
+
+
 def test_packing_awkward(awkward):
     out = packing.pack_texts(awkward, BYTES).toPandas()
     assert (out.length > 0).all() and out[out.start == 0].shape[0] == awkward.count()
