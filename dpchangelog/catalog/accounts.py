@@ -10,9 +10,11 @@ from ..functions.intervals import DAY, interval_span
 from ..functions.noise import Noise, laplace_variance
 from ..operators import hierarchy, linear, metrics, release, sliding
 from ..plans import accounting as A
+from ..plans.filters import Filter, by_group, filtered_budget
 from ..plans.planner import choose_sliding_plan
 from .base import *
 from .base import CL_SHIP, CL_STATE, CL_VALUE, sql_idx, sql_laplace
+from .log import HYBRID, hybrid
 from .releases import ERROR, GRID, HOURLY, S14, daily_sql, SQL_ERROR
 
 CASES = [("a", [1, 2, 3], 100), ("b", [0, 10, 11, 12, 13], 5), ("c", list(range(0, 50, 5)), 12), ("d", [0, 1, 2, 3], 0), ("e", list(range(0, 300, 7)), 50)]
@@ -45,7 +47,17 @@ def folds_table(spark, d):
     return spark.createDataFrame(rows, ", ".join(f"{n} int" for n in names) + ", model string, disjoint_k long, disjoint_b long, tree_k long, tree_b long, sliding_k long, sliding_b long")
 
 
-@query(None)
+_EPS_K = "x as (select e as eps, cast(k as integer) as k from (values (0.01::double), (0.1), (0.5)) a(e), (values (1), (8), (64), (512)) b(k))"
+_ORDERS = "(values (1.5::double), (2), (3), (4), (6), (8), (12), (16), (24), (32), (64), (128)) o(a)"
+
+
+@query(f"""with {_EPS_K}, i as (select x.*, cast(i as integer) as i, (k - 2 * i) * eps as e from x, range(257) r(i) where i <= k // 2),
+t as (select i.eps, i.k, i.e, coalesce(sum(exp(lgamma(k + 1) - lgamma(j + 1) - lgamma(k - j + 1) - k * ln(1 + exp(eps)) + (k - j) * eps) - exp(lgamma(k + 1) - lgamma(j + 1) - lgamma(k - j + 1) - k * ln(1 + exp(eps)) + (k - 2 * i + j) * eps)) filter (where j < i), 0) as d
+  from i, range(257) r(j) where j <= i group by i.eps, i.k, i.i, i.e),
+f as (select eps, k, min(e) as optimal from t where d <= 1e-6 group by 1, 2),
+y as (select eps, k, min(k / (a - 1) * ln(a / (2 * a - 1) * exp((a - 1) * eps) + (a - 1) / (2 * a - 1) * exp(-a * eps)) + ln(1e6) / (a - 1)) as renyi from x, {_ORDERS} group by 1, 2)
+select eps, k, round(k * eps, 6) as basic, round(sqrt(2 * k * ln(1e6)) * eps + k * eps * (exp(eps) - 1), 6) as advanced, round(optimal, 6) as optimal, round(k * eps * eps / 2 + 2 * sqrt(k * eps * eps / 2 * ln(1e6)), 6) as zcdp, round(renyi, 6) as renyi
+from x join f using (eps, k) join y using (eps, k)""")
 def composition_table(spark, d):
     """eps of k queries by four ways of counting, and of the optimal frontier at delta 1e-6."""
     rows = []
@@ -53,56 +65,84 @@ def composition_table(spark, d):
         for k in (1, 8, 64, 512):
             b = A.Budget(eps)
             best = min((x.eps for x in A.compose_optimal(b, k) if x.delta <= 1e-6), default=k * eps)
-            rows.append((eps, k, A.fold(k, b).eps, A.compose_advanced(b, k, 1e-6).eps, best, A.zcdp_epsilon(eps * eps / 2, k, 1e-6), A.compose_renyi(lambda a, e=eps: A.renyi_laplace(a, 1 / e), k, 1e-6)))
+            found = (A.fold(k, b).eps, A.compose_advanced(b, k, 1e-6).eps, best, A.zcdp_epsilon(eps * eps / 2, k, 1e-6), A.compose_renyi(lambda a, e=eps: A.renyi_laplace(a, 1 / e), k, 1e-6))
+            rows.append((eps, k, *(round(x, 6) for x in found)))
     return spark.createDataFrame(rows, "eps double, k int, basic double, advanced double, optimal double, zcdp double, renyi double")
 
 
-_CROSS = [(r, c) for c in (2, 3, 4, 16) for r in range(2, 60)]
-_H = "case when r <= c then 1 when r <= c * c then 2 when r <= c * c * c then 3 when r <= pow(c, 4) then 4 when r <= pow(c, 5) then 5 else 6 end"
+#: Window and period in base units: every length to 400 at a period of 1, and every pair to 100, whose widths need not divide.
+_WP = "wp as (select cast(w as integer) as w, 1 as p from range(101, 401) a(w) union all select cast(w as integer), cast(p as integer) from range(2, 101) a(w), range(1, 101) b(p) where p <= w)"
+_CROSS_SQL = f"""{_WP}, x as (select w, p, c, w // gcd(w, p) as n from wp, (values (2), (3), (4), (16)) f(c)),
+y as (select x.*, (select min(j) from range(1, 12) t(j) where pow(c, j) >= n) as h, cast(ceil(w * 1.0 / p) as bigint) as r from x)"""
+CROSS_FANOUTS = (2, 3, 4, 16)
+
 
+def _window_pairs():
+    return [(w, 1) for w in range(101, 401)] + [(w, p) for w in range(2, 101) for p in range(1, w + 1)]
 
-@query(f"with x(r, c) as (values {', '.join(map(str, _CROSS))}), y as (select r, c, {_H} as h from x) select r, c, cast(h as integer) as h, cast(2 * (c - 1) * h * h * h as double) as lhs, cast(r * r as double) as rhs, 2 * (c - 1) * h * h * h < r * r as tree_wins from y")
+
+@query(f"with {_CROSS_SQL} select w, p, c, cast(h as integer) as h, cast(2 * (c - 1) * h * h * h as double) as lhs, cast(r * r as double) as rhs, 2 * (c - 1) * h * h * h < r * r as tree_wins from y")
 def crossover_grid_k(spark, d):
+    """Where a tree has the smaller variance bound at one total budget, for at most k mutations an entry."""
     rows = []
-    for r, c in _CROSS:
-        lhs, rhs, wins = A.prefer_tree_k(r, 1, c)
-        rows.append((r, c, A.height_for(r, c), float(lhs), float(rhs), wins))
-    return spark.createDataFrame(rows, "r int, c int, h int, lhs double, rhs double, tree_wins boolean")
+    for w, p in _window_pairs():
+        for c in CROSS_FANOUTS:
+            lhs, rhs, wins = A.prefer_tree_k(w, p, c)
+            rows.append((w, p, c, A.height_for(w // math.gcd(w, p), c), float(lhs), float(rhs), wins))
+    return spark.createDataFrame(rows, "w int, p int, c int, h int, lhs double, rhs double, tree_wins boolean")
 
 
-_CROSSB = [(r, b, c) for c in (2, 4) for r in (14, 28, 60) for b in (1, 7, 14)]
+BOUNDS_B = (1, 7, 30)
 
 
-@query(f"""with x(r, b, c) as (values {', '.join(map(str, _CROSSB))}), y as (select r, b, c, {_H} as h from x), z as (select y.*, cast(sum(ceil(b / pow(c, j)) + 1) as double) as safe, (pow(c, h) - 1) / (pow(c, h) - pow(c, h - 1)) * b + h as pub from y, range(6) t(j) where j < h group by all)
-select r, b, c, round(2 * (c - 1) * h * pub * pub, 3) as published, round(2 * (c - 1) * h * safe * safe, 3) as safe, cast((r + b) * (r + b) as double) as rhs, 2 * (c - 1) * h * pub * pub < (r + b) * (r + b) as published_wins, 2 * (c - 1) * h * safe * safe < (r + b) * (r + b) as safe_wins from z""")
+@query(f"""with {_CROSS_SQL}, z as (select w, p, b, c, h, n, gcd(w, p) as g from y, (values (1), (7), (30)) bb(b) where c in (2, 4)),
+s as (select z.*, ceil((b + w) * 1.0 / p) as r, (select sum(ceil(b / (g * pow(c, j))) + 1) from range(12) t(j) where j < h) as safe, (pow(c, h) - 1) / (pow(c, h) - pow(c, h - 1)) * ceil(b * 1.0 / g) + h as pub from z)
+select w, p, b, c, round(2 * (c - 1) * h * pub * pub, 3) as published, round(cast(2 * (c - 1) * h * safe * safe as double), 3) as safe, cast(r * r as double) as rhs, 2 * (c - 1) * h * pub * pub < r * r as published_wins, 2 * (c - 1) * h * safe * safe < r * r as safe_wins from s""")
 def crossover_grid_b(spark, d):
+    """The same where all mutations of an entry lie within b, by the published and by the safe count of folds."""
     rows = []
-    for r, b, c in _CROSSB:
-        pub, rhs, a = A.prefer_tree_b(r, 1, b, c, "published")
-        safe, _, z = A.prefer_tree_b(r, 1, b, c, "safe")
-        rows.append((r, b, c, round(pub, 3), round(float(safe), 3), float(rhs), a, z))
-    return spark.createDataFrame(rows, "r int, b int, c int, published double, safe double, rhs double, published_wins boolean, safe_wins boolean")
+    for w, p in _window_pairs():
+        for c in (2, 4):
+            for b in BOUNDS_B:
+                pub, rhs, first = A.prefer_tree_b(w, p, b, c, "published")
+                safe, _, second = A.prefer_tree_b(w, p, b, c, "safe")
+                rows.append((w, p, b, c, round(pub, 3), round(float(safe), 3), float(rhs), first, second))
+    return spark.createDataFrame(rows, "w int, p int, b int, c int, published double, safe double, rhs double, published_wins boolean, safe_wins boolean")
 
 
-@query("select 5.0::double as eps, 1e-6::double as delta")
+@query(f"""with {CL_STATE}, {HYBRID}, t as (select constraint_id, entry, count(distinct {sql_idx(DAY)}) as n from hy where {sql_idx(DAY)} between 0 and 29 group by 1, 2), m as (select constraint_id, max(n) as touched from t group by 1)
+select constraint_id, if(constraint_id = 'rides', 10, cast(ceil(10 * 1.0) + 1 as bigint)) as folds, touched, if(constraint_id = 'rides', 10, ceil(10 * 1.0) + 1) * 0.125 as eps, greatest(10, ceil(10 * 1.0) + 1) * 0.125 as release_eps from m""")
 def hybrid_budget(spark, d):
-    """Tickets limited by rides (10 folds of 0.5) and by time (2 folds of 0.1, with a delta)."""
-    b = A.hybrid_bound([A.fold(10, A.Budget(0.5)), A.fold(2, A.Budget(0.1, 5e-7))])
-    return spark.createDataFrame([(b.eps, b.delta)], "eps double, delta double")
+    """Tickets limited by rides (at most 10) and by time (10 days): the folds each kind may touch, the most that one does touch,
+    and the release's budget, the larger of both, at 0.125 a query."""
+    rules = [("rides", A.folds_disjoint_k(10)), ("pass", A.folds_disjoint_b_regular(10, 1))]
+    total = A.hybrid_bound([A.fold(f, A.Budget(0.125)) for _, f in rules]).eps
+    cl = hybrid(spark, d)
+    touched = DAILY.assign(cl).select("constraint_id", "entry", "idx").distinct().groupBy("constraint_id", "entry").agg(F.count("*").alias("n")).groupBy("constraint_id").agg(F.max("n").alias("touched"))
+    table_ = spark.createDataFrame([(n, f, f * 0.125, total) for n, f in rules], "constraint_id string, folds long, eps double, release_eps double")
+    return table_.join(touched, "constraint_id").select("constraint_id", "folds", "touched", "eps", "release_eps")
 
 
-@query(f"with x(r, c) as (values {', '.join(map(str, _CROSS))}), y as (select r, c, {_H} as h from x) select r, c, round(r * 0.5 / h, 9) as eps_node from y")
+@query(f"with {_CROSS_SQL} select w, p, c, round(r * 0.5 / h, 9) as eps_node from y")
 def matched_epsilon(spark, d):
-    return spark.createDataFrame([(r, c, round(A.matched_epsilon_k(r, 1, A.height_for(r, c), 0.5), 9)) for r, c in _CROSS], "r int, c int, eps_node double")
+    rows = [(w, p, c, round(A.matched_epsilon_k(w, p, A.height_for(w // math.gcd(w, p), c), 0.5), 9)) for w, p in _window_pairs() for c in CROSS_FANOUTS]
+    return spark.createDataFrame(rows, "w int, p int, c int, eps_node double")
+
 
+PLAN_LENGTHS = (2, 7, 14, 28, 90, 365, 720, 4096, 4097, 8760)
 
-@query(None)
+
+@query(f"""with n as (select cast(r as bigint) as r from (values {', '.join(f'({r})' for r in PLAN_LENGTHS)}) v(r)), t as (select r, c, h from n, range(2, 65) a(c), range(2, 16) b(h) where pow(c, h - 1) < r),
+o as (select t.*, unnest(range(cast(pow(c, h - 1) as bigint))) as l from t), k as (select r, c, h, l, r - (c - 1) * sum(greatest(0, (l + r) // cast(pow(c, j) as bigint) - (l + cast(pow(c, j) as bigint) - 1) // cast(pow(c, j) as bigint))) as nodes from o, range(1, 15) x(j) where j < h group by 1, 2, 3, 4),
+p as (select r, 'tree' as kind, c, h, max(nodes) * h * h as cost, c * 100 + h as place from k group by 1, 2, 3, 4 union all select r, 'direct', 1, 1, r * r, 0 from n union all select r, 'flat', 2, 1, r, 1 from n),
+b as (select *, row_number() over (partition by r order by cost, place) as rank from p) select cast(r as integer) as r, kind, cast(c as integer) as c, cast(h as integer) as h, round(cost * 1.0 / (r * r), 12) as ratio from b where rank = 1""")
 def sliding_plan_choice(spark, d):
-    """The planner's choice over window lengths: direct, flat or a tree, with the variance relative to direct."""
+    """The planner's choice over window lengths: direct, flat or a tree, with the variance relative to direct. The SQL counts the
+    nodes of every tree at every offset."""
     rows = []
-    for r in (2, 7, 14, 28, 90, 365):
+    for r in PLAN_LENGTHS:
         p = choose_sliding_plan(r, 1, 1.0, k=1)
-        rows.append((r, p.kind, p.c, p.h, p.worst_variance / (2 * r * r)))
+        rows.append((r, p.kind, p.c, p.h, round(p.worst_variance / (2 * r * r), 12)))
     return spark.createDataFrame(rows, "r int, kind string, c int, h int, ratio double")
 
 
@@ -144,16 +184,19 @@ def variance_growth(spark, d):
 _RATIO = [(r, c) for c in (2, 3, 4) for r in (7, 14, 28, 90, 365)]
 
 
-@query(f"with x(r, c) as (values {', '.join(map(str, _RATIO))}), y as (select r, c, {_H.replace('else 6', 'when r <= pow(c, 6) then 6 when r <= pow(c, 7) then 7 when r <= pow(c, 8) then 8 else 9')} as h from x) select r, c, round(2.0 * (c - 1) * h * h * h / (r * r), 9) as tree_bound, round(1.0 / r, 9) as flat from y")
+@query(f"with x(r, c) as (values {', '.join(map(str, _RATIO))}), y as (select r, c, (select min(j) from range(1, 12) t(j) where pow(c, j) >= r) as h from x), o as (select y.*, unnest(range(cast(pow(c, h - 1) as bigint))) as l from y), k as (select r, c, h, l, r - (c - 1) * coalesce(sum(greatest(0, (l + r) // cast(pow(c, j) as bigint) - (l + cast(pow(c, j) as bigint) - 1) // cast(pow(c, j) as bigint))) filter (where j < h), 0) as nodes from o, range(1, 12) z(j) group by 1, 2, 3, 4) select r, c, round(2.0 * (c - 1) * h * h * h / (r * r), 9) as tree_bound, round(max(nodes) * 1.0 * h * h / (r * r), 9) as tree_exact, round(1.0 / r, 9) as flat from k group by r, c, h")
 def matched_variance_ratio(spark, d):
+    """Variance over that of a direct release of the same total budget: of trees by the bound and by their worst cover, and flat."""
     rows = []
     for r, c in _RATIO:
         x = metrics.matched_ratio(r, 1, c)
-        rows.append((r, c, round(x["tree_bound"], 9), round(x["flat"], 9)))
-    return spark.createDataFrame(rows, "r int, c int, tree_bound double, flat double")
+        rows.append((r, c, *(round(x[k], 9) for k in ("tree_bound", "tree_exact", "flat"))))
+    return spark.createDataFrame(rows, "r int, c int, tree_bound double, tree_exact double, flat double")
 
 
-@query(None)
+@query("""with t(c, h) as (values (2, 8), (3, 5), (10, 2)), x as (select c, h, unnest(range(1, cast(pow(c, h) as bigint))) as n from t), o as (select *, unnest(range(cast(pow(c, h - 1) as bigint))) as l from x),
+k as (select c, h, n, l, n - (c - 1) * sum(greatest(0, (l + n) // cast(pow(c, j) as bigint) - (l + cast(pow(c, j) as bigint) - 1) // cast(pow(c, j) as bigint))) as nodes from o, range(1, 8) z(j) where j < h group by 1, 2, 3, 4)
+select cast(c as integer) as c, cast(h as integer) as h, cast(n as integer) as length, worst, cast(if(n = 1, 1, 2 * (c - 1) * (select min(j) from range(1, 12) z(j) where pow(c, j) >= n)) as integer) as bound from (select c, h, n, cast(max(nodes) as integer) as worst from k group by c, h, n)""")
 def cover_slack(spark, d):
     """Most nodes a range takes, against the bound."""
     rows = [(c, h, n, worst, bound) for c, h in ((2, 8), (3, 5), (10, 2)) for n, worst, bound in metrics.cover_statistics(c, h, range(1, c**h))]
@@ -163,7 +206,7 @@ def cover_slack(spark, d):
 @query(f"with e as (select i, {sql_laplace(2.0, 'mc', chr(39) + '0' + chr(39), 'i', 'j')} as e from range(30) a(i), range(200) b(j)) select cast(i as bigint) as idx, round(avg(e), 6) as bias, round(var_samp(e), 6) as var from e group by 1")
 def bias_over_keys(spark, d):
     exact = release.dense(DAILY, linear.change(DAILY.assign(event_state(spark, d)), ERROR))
-    return metrics.monte_carlo(exact, 2.0, 200, key("mc")).select("idx", F.round("bias", 6).alias("bias"), F.round("var", 6).alias("var"))
+    return metrics.monte_carlo(exact, Noise("laplace", 0.5), 1, 1, 200, key("mc")).select("idx", (F.round("bias", 6) + 0.0).alias("bias"), F.round("var", 6).alias("var"))
 
 
 @query(f"with {CL_STATE}, {daily_sql(SQL_ERROR)}, e as (select abs({sql_laplace(2.0, 'dl', chr(39) + '0' + chr(39), 'idx')}) as e, abs(exact) as x from b) select round(avg(e), 6) as mae, round(sqrt(avg(e * e)), 6) as rmse, round(max(e), 6) as max_err, round(sum(e) / sum(x), 6) as rel_err, round(sum(e), 6) as l1, round(sqrt(sum(e * e)), 6) as l2 from e")
@@ -184,17 +227,40 @@ def truncation_loss(spark, d):
     return metrics.truncation(rows, "v", CLIPS)
 
 
-@query(None)
+_SIDE = lambda name, where: f"select '{name}' as side, floor((x + {sql_laplace(2.0, 'nr' + name, chr(39) + '0' + chr(39), 'run')}) / 4) as bin from (select sum({SQL_ERROR}) as x from cl where {sql_idx(DAY)} between 0 and 29 {where}), range(4000) r(run)"
+
+
+@query(f"""with {CL_STATE}, o as ({_SIDE('with', '')} union all {_SIDE('without', 'and entry <> 7')}), c as (select cast(bin as bigint) as bin, count(*) filter (where side = 'with') as a, count(*) filter (where side = 'without') as b from o group by 1)
+select bin, a as n_with, b as n_without, round(ln(a * 1.0 / b), 6) as log_ratio, abs(ln(a * 1.0 / b)) <= 0.5 + 4 * sqrt(1.0 / a + 1.0 / b) as within from c where a >= 100 and b >= 100""")
 def neighbour_output_ratio(spark, d):
-    """Log ratios of answer frequencies on a changelog and on one without an entry; |log ratio| stays near eps or below."""
+    """Log ratios of answer frequencies on a changelog and on one without an entry, over 4,000 keys. All of an entry's mutations
+    move the answer by one at most (they telescope), so the ratio stays below eps = 0.5, here with four standard errors of the
+    sampled frequencies."""
+    from ..functions.noise import laplace
     from ..operators.changelog import without_entry
 
-    cl, k = event_state(spark, d), 4000
-    out = []
+    cl, out = event_state(spark, d), []
     for name, x in (("with", cl), ("without", without_entry(cl, 7))):
-        exact = linear.change(DAILY.assign(x), ERROR, ()).crossJoin(spark.range(k).select(F.col("id").alias("run")))
-        from ..functions.noise import laplace
-
+        exact = linear.change(DAILY.assign(x), ERROR, ()).crossJoin(spark.range(4000).select(F.col("id").alias("run")))  # one row times keys
         out.append(exact.select(F.lit(name).alias("side"), F.floor((F.col("exact") + laplace(2.0, key("nr" + name), "0", F.col("run"))) / 4).alias("bin")))
-    counts = out[0].unionByName(out[1]).groupBy("bin").pivot("side", ["with", "without"]).count()
-    return counts.where("`with` >= 100 and `without` >= 100").select("bin", F.round(F.log(F.col("with") / F.col("without")), 6).alias("log_ratio"))
+    c = out[0].unionByName(out[1]).groupBy("bin").agg(F.count_if(F.col("side") == "with").alias("a"), F.count_if(F.col("side") == "without").alias("b")).where("a >= 100 and b >= 100")
+    ratio = F.log(F.col("a") / F.col("b"))
+    return c.select("bin", F.col("a").alias("n_with"), F.col("b").alias("n_without"), F.round(ratio, 6).alias("log_ratio"), (F.abs(ratio) <= 0.5 + 4 * F.sqrt(1 / F.col("a") + 1 / F.col("b"))).alias("within"))
+
+
+@query("""select 'disjoint times, one entry' as releases, 2.0::double as eps union all select 'regions kept for good', 0.5 union all select 'regions and one segment', 1.0 union all select 'statuses that change', 1.0""")
+def filtered_budgets(spark, d):
+    """Budgets of releases by their filters: disjoint times don't help an entry that changes in all of them, fixed groups do."""
+    one = A.Budget(0.5)
+    days = [(Filter.time(i * DAY, (i + 1) * DAY), one) for i in range(4)]
+    regions = [(Filter.among("r_name", [r], fixed=True), one) for r in ("AFRICA", "AMERICA", "ASIA")]
+    segment = [(Filter.among("c_mktsegment", ["BUILDING"], fixed=True), one)]
+    rows = [("disjoint times, one entry", filtered_budget(days).eps), ("regions kept for good", filtered_budget(regions).eps), ("regions and one segment", filtered_budget(regions + segment).eps), ("statuses that change", by_group("status", STATUSES, one, fixed=False).eps)]
+    return spark.createDataFrame(rows, "releases string, eps double")
+
+
+@query(f"with {CL_STATE} select * from cl where ts > {T0 + 2 * DAY} and ts <= {T0 + 9 * DAY} and after in ('click', 'error') and kind = 'update'")
+def filter_composed(spark, d):
+    """A time range and two sets of values, composed."""
+    f = Filter.time(T0, T0 + 9 * DAY).and_(Filter.time(T0 + 2 * DAY, None)).and_(Filter.among("after", ["click", "error", "view"])).and_(Filter.among("after", ["error", "click"])).and_(Filter.among("kind", ["update"]))
+    return f.apply(event_state(spark, d))

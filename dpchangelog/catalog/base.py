@@ -4,7 +4,7 @@ from __future__ import annotations
 
 from collections.abc import Callable
 
-from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
 from ..functions.intervals import DAY, IntervalGrid, micros
@@ -39,7 +39,7 @@ def query(sql: str | None = None):
 
 
 def key(release: str) -> Key:
-    return Key("test", release)
+    return Key("test", release, public=True)
 
 
 def month_ends() -> list[int]:
@@ -63,15 +63,19 @@ def event_value(spark, d) -> DataFrame:
 
 
 def order_ship(spark, d) -> DataFrame:
-    """Orders enter with 0 cents; each later ship day adds what it ships."""
+    """Orders enter with 0 cents; each later ship day adds what it ships. Orders and lines are each shuffled once, by order."""
     o = table(spark, d, "orders").select(F.col("o_orderkey").alias("k"), micros("o_orderdate").alias("t0"))
-    li = table(spark, d, "lineitem").select(F.col("l_orderkey").alias("k"), micros("l_shipdate").alias("ts"), F.round(F.col("l_extendedprice") * 100).cast("long").alias("c"))
-    days = li.join(o, "k").where("ts > t0").groupBy("k", "ts").agg(F.sum("c").alias("c"))
-    rows = o.select("k", F.col("t0").alias("ts"), F.lit(0).cast("long").alias("c")).unionByName(days)
-    from pyspark.sql import Window
-
-    total = F.sum("c").over(Window.partitionBy("k").orderBy("ts").rowsBetween(Window.unboundedPreceding, 0))
-    return changelog.from_history(rows.select("k", "ts", total.alias("cents")), "k", "ts", "cents", drop_noop=True)
+    li = table(spark, d, "lineitem").select(F.col("l_orderkey").alias("k"), micros("l_shipdate").alias("t"), F.round(F.col("l_extendedprice") * 100).cast("long").alias("c"))
+    later = F.col("t") > F.col("t0")
+    days = o.join(li, "k", "left").groupBy("k", "t0", F.when(later, F.col("t")).alias("ts")).agg(F.sum(F.when(later, F.col("c")).otherwise(0)).alias("c"))
+    w = Window.partitionBy("k").orderBy(F.col("ts").asc_nulls_first())
+    total = F.sum("c").over(w.rowsBetween(Window.unboundedPreceding, 0))
+    zero, none = F.lit(0).cast("long"), F.lit(None).cast("long")
+    enter = F.when(F.row_number().over(w) == 1, F.struct(F.col("t0").alias("ts"), none.alias("before"), zero.alias("after")))
+    ship = F.when(F.col("ts").isNotNull() & (F.col("c") != 0), F.struct(F.col("ts").alias("ts"), (F.col("total") - F.col("c")).alias("before"), F.col("total").alias("after")))
+    rows = days.withColumns({"total": total, "enter": enter}).select(F.col("k").alias("entry"), F.explode(F.array("enter", ship)).alias("m")).where("m is not null")
+    kind = F.when(F.col("m.before").isNull(), "insert").otherwise("update")
+    return rows.select("entry", "m.ts", zero.alias("seq"), kind.alias("kind"), "m.before", "m.after")
 
 
 def customer_status(spark, d) -> DataFrame:

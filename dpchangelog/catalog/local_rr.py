@@ -13,7 +13,7 @@ from ..sources.tables import table
 from .base import *
 from .base import CL_STATE, CL_VALUE, sql_idx, sql_laplace, sql_u
 from .log import NET
-from .releases import ERROR, GRID, HOURLY, SQL_ERROR, daily_sql, hourly_sql
+from .releases import ERROR, GRID, HOURLY, S14, SQL_ERROR, daily_sql
 
 ENTRIES = "en as (select distinct user_id as entry from events)"
 
@@ -22,15 +22,27 @@ def entries(spark, d):
     return table(spark, d, "events").select(F.col("user_id").alias("entry")).distinct()
 
 
-@query(f"with {CL_STATE}, x as (select distinct entry, {sql_idx(DAY)} as i from cl where {sql_idx(DAY)} between 0 and 29), p as (select i as one, i + 1 as other from range(1, 20) r(i)) select cast(one as bigint) as one, cast(other as bigint) as other, count(distinct i) as queries from p left join x on entry in (one, other) group by 1, 2")
+_TOUCHED = f"x as (select distinct entry, {sql_idx(DAY)} as i from cl where {sql_idx(DAY)} between 0 and 29), n as (select entry, count(*) as n from x group by 1)"
+
+
+@query(f"with {CL_STATE}, {_TOUCHED}, top as (select entry as other from n order by n desc, entry limit 1) select p.entry as one, top.other, count(distinct x.i) as queries from n p cross join top join x on x.entry in (p.entry, top.other) group by 1, 2")
 def local_touch_pairs(spark, d):
-    pairs = spark.range(1, 20).select(F.col("id").alias("one"), (F.col("id") + 1).alias("other"))
-    return local.touch_pairs(metrics.touched_disjoint(event_state(spark, d), DAILY), pairs)
+    """Queries that each entry and the most-touching one touch between them."""
+    touched = metrics.touched_disjoint(event_state(spark, d), DAILY)
+    return local.touch_pairs(touched, local.most_touching(touched))
+
 
+@query(f"with {CL_STATE}, {_TOUCHED}, t as (select n from n order by n desc limit 2) select max(n) as most, cast(sum(n) - max(n) as bigint) as second, cast(sum(n) as bigint) as bound from t")
+def local_touch_supremum(spark, d):
+    """A bound over all pairs of entries, beside which the formula's twice the one-sided folds stands."""
+    return local.touch_supremum(metrics.touched_disjoint(event_state(spark, d), DAILY))
 
-@query(f"with {CL_STATE}, x as (select distinct entry, {sql_idx(DAY)} as idx from cl where entry in (3, 5) and {sql_idx(DAY)} between 0 and 29) select distinct idx from x")
+
+@query(f"""with {CL_STATE}, {ENTRIES}, c as (select entry, {sql_idx(DAY)} as idx, list_sort(list({{'t': ts, 'b': before, 'a': after}})) as m from cl where {sql_idx(DAY)} between 0 and 29 group by 1, 2),
+g as (select en.entry, i as idx from en, range(30) r(i)) select g.entry, cast(count(*) filter (where x.m is distinct from y.m) as bigint) as queries from g left join c x on x.entry = g.entry and x.idx = g.idx left join c y on y.entry = 5 and y.idx = g.idx group by 1""")
 def local_separating_queries(spark, d):
-    return local.separating_queries(event_state(spark, d), DAILY, 3, 5)
+    """How many days tell each entry from entry 5: those on which their mutations differ."""
+    return local.separations(event_state(spark, d), entries(spark, d), DAILY, 5)
 
 
 @query(f"with {CL_STATE}, {ENTRIES}, {GRID}, s as (select entry, {sql_idx(DAY)} as idx, sum({SQL_ERROR}) as x from cl group by 1, 2), r as (select g.idx, coalesce(x, 0) + {sql_laplace(4.0, 'll', chr(39) + '0' + chr(39), 'g.idx', 'en.entry')} as r from en cross join g left join s on s.entry = en.entry and s.idx = g.idx) select idx, round(sum(r), 6) as estimate, count(*) * 32.0::double as var from r group by 1")
@@ -39,10 +51,37 @@ def local_linear_change_daily(spark, d):
     return out.withColumn("estimate", F.round("estimate", 6) + 0.0)
 
 
+_LOCAL_NODES = f"""b as (select entry, {sql_idx(DAY)} as i, sum({SQL_ERROR}) as x from cl where {sql_idx(DAY)} between 0 and 29 group by 1, 2), s as (select entry, cast(j as integer) as layer, i // cast(pow(2, j) as bigint) as idx, sum(x) as x from b, range(3) l(j) group by 1, 2, 3),
+nd as (select cast(j as integer) as layer, cast(i as bigint) as idx from range(3) l(j), range(30) r(i) where i < ceil(30 / pow(2, j)))"""
+
+
+@query(f"with {CL_STATE}, {ENTRIES}, {_LOCAL_NODES}, r as (select nd.layer, nd.idx, coalesce(x, 0) + {sql_laplace(4.0, 'lt', 'nd.layer', 'nd.idx', 'en.entry')} as r from en cross join nd left join s on s.entry = en.entry and s.layer = nd.layer and s.idx = nd.idx) select layer, idx, round(sum(r), 6) as noisy, count(*) * 32.0::double as sigma2 from r group by 1, 2")
+def local_tree_daily(spark, d):
+    """A tree of local reports: every entry answers at every node, with noise of its own."""
+    out = local.tree(event_state(spark, d), entries(spark, d), DAILY, 2, 3, ERROR, 0.5, key("lt"))
+    return out.withColumn("noisy", F.round("noisy", 6) + 0.0)
+
+
+@query(f"""with {CL_STATE}, {ENTRIES}, w as (select cast(i as bigint) as idx from range({S14.n}) r(i)), s as (select w.idx, entry, sum({SQL_ERROR}) as x from w join cl on ts > {S14.t1 - S14.w} + idx * {S14.p} and ts <= {S14.t1} + idx * {S14.p} group by 1, 2),
+r as (select w.idx, coalesce(x, 0) + {sql_laplace(4.0, 'ls', chr(39) + '0' + chr(39), 'w.idx', 'en.entry')} as r from en cross join w left join s on s.entry = en.entry and s.idx = w.idx) select idx, round(sum(r), 6) as estimate, count(*) * 32.0::double as var from r group by 1""")
+def local_sliding_windows(spark, d):
+    """Sliding windows of local reports."""
+    out = local.sliding(event_state(spark, d), entries(spark, d), S14, ERROR, 0.5, key("ls"))
+    return out.withColumn("estimate", F.round("estimate", 6) + 0.0)
+
+
+@query(f"""with {CL_STATE}, {ENTRIES}, {GRID}, s as (select entry, {sql_idx(DAY)} as idx, sum({SQL_ERROR}) as x from cl group by 1, 2), k as (select (exp(1.0) + 1) / (exp(1.0) - 1) as b),
+r as (select g.idx, if({sql_u('lb', chr(39) + '0' + chr(39), 'g.idx', 'en.entry')} < 0.5 + coalesce(x, 0) / (2 * b), b, -b) as r, b from en cross join g cross join k left join s on s.entry = en.entry and s.idx = g.idx) select idx, round(sum(r), 6) as estimate, round(count(*) * any_value(b * b), 6) as var from r group by 1""")
+def local_one_bit_daily(spark, d):
+    """The local release with another randomizer: one bit an entry and day."""
+    out = local.linear_change(event_state(spark, d), entries(spark, d), DAILY, ERROR, 1.0, key("lb"), local.sign_reports(ERROR, 1.0))
+    return out.select("idx", (F.round("estimate", 6) + 0.0).alias("estimate"), F.round("var", 6).alias("var"))
+
+
 # Randomized responses.
 def sql_respond(code: str, z: int, eps: float, rel: str, *parts: str) -> str:
-    p, q = responses.optimal_matrix(z, eps)
-    return f"(case when {sql_u(rel, *parts)} < {p - q!r} then {code} else cast(floor({sql_u(rel, *parts, salt='b')} * {z}) as integer) end)"
+    keep = f"((exp({float(eps)}) - 1) / ({z} - 1 + exp({float(eps)})))"  # p - q
+    return f"(case when {code} is not null and {sql_u(rel, *parts)} < {keep} then {code} else cast(floor({sql_u(rel, *parts, salt='b')} * {z}) as integer) end)"
 
 
 def sql_code(c: str, symbols: list) -> str:
@@ -61,8 +100,8 @@ def _static_sql(tab, entry, col, symbols, eps, rel):
 
 
 def _estimate_sql(symbols, eps):
-    p, q = responses.optimal_matrix(len(symbols), eps)
-    return f"select {symbols!r}[out_code + 1] as symbol, round((n - {q!r} * sum(n) over ()) / {p - q!r}, 6) as estimate from c"
+    base = f"({len(symbols)} - 1 + exp({float(eps)}))"  # q is one over it
+    return f"select {symbols!r}[out_code + 1] as symbol, round((n - sum(n) over () / {base}) / ((exp({float(eps)}) - 1) / {base}), 6) as estimate from c"
 
 
 @query(f"with {_static_sql('customer', 'c_custkey', 'c_mktsegment', SEGMENTS, 1.0, 'rs')} select * from c")
@@ -111,11 +150,17 @@ def _counts_sql(code=_FULL, z2=(Z + 1) ** 2, rel="rm", width=DAY, n=30):
     return f"{_net_sql(width, n)}, o as (select idx, cast({sql_respond(code, z2, EPS, rel, 'entry', 'idx')} as integer) as out_code from d), c as (select idx, out_code, count(*) as n from o group by 1, 2)"
 
 
-def _change_sql(compact=False):
-    p, q = responses.optimal_matrix(responses.pair_size(Z, compact), EPS)
-    m = responses.change_matrix(Z, compact)
-    parts = [f"select idx, '{s}' as symbol, sum(case {' '.join(f'when out_code = {k} then {int(v)} * n' for k, v in enumerate(m[i]) if v)} else 0 end) / {p - q!r} as estimate from c group by 1" for i, s in enumerate(EVENT_TYPES)]
-    return "e as (" + " union all ".join(parts) + ")"
+#: What each answer code says: (code, before, after), 0 for null; written out here, not taken from the library.
+_PAIRS_FULL = f"pairs as (select b * {Z + 1} + a as out_code, b, a from range({Z + 1}) x(b), range({Z + 1}) y(a))"
+_PAIRS_COMPACT = f"pairs as (select row_number() over (order by b, a) as out_code, b, a from range({Z + 1}) x(b), range({Z + 1}) y(a) where a <> b)"
+_GAP36 = f"((exp({EPS}) - 1) / (35 + exp({EPS})))"
+
+
+def _change_sql(compact=False, by="idx"):
+    """e: estimates from c. Answers that end in a symbol less answers that start there, over p - q."""
+    size = Z * Z + Z + 1 if compact else (Z + 1) ** 2
+    return f"""{_PAIRS_COMPACT if compact else _PAIRS_FULL}, sy as (select unnest({EVENT_TYPES!r}) as symbol, unnest(range(1, {Z + 1})) as code),
+    e as (select {by}, symbol, sum(if(a = code, n, 0) - if(b = code, n, 0)) / ((exp({EPS}) - 1) / ({size} - 1 + exp({EPS}))) as estimate from c cross join sy left join pairs using (out_code) group by {by}, symbol)"""
 
 
 @query(f"with {CL_STATE}, {_counts_sql()} select * from c")
@@ -139,20 +184,33 @@ def rr_running_histogram(spark, d):
     return _rounded(responses.continual_histogram(responses.estimate_change(rr_mutation_counts(spark, d), EVENT_TYPES, EPS)))
 
 
-def _tree_sql():
-    parts = []
-    for j in range(3):
-        parts.append(f"select * from (with {_counts_sql(rel=f'rt/{j}', width=DAY * 2**j, n=-(-30 // 2**j))}, {_change_sql()} select cast({j} as integer) as layer, idx, symbol, round(estimate, 6) as estimate from e)")
-    return f"with {CL_STATE} " + " union all ".join(parts)
+_TREE_COUNTS = f"""ld as (select cast(j as integer) as layer, cast(pow(2, j) as bigint) as w from range(3) l(j)),
+net as (select entry, layer, idx, nullif(before, '~') as before, nullif(after, '~') as after from (select entry, layer, {sql_idx(DAY)} // w as idx, arg_min(coalesce(before, '~'), (ts, seq)) as before, arg_max(coalesce(after, '~'), (ts, seq)) as after from cl, ld where {sql_idx(DAY)} between 0 and 29 group by 1, 2, 3) where before <> after),
+{ENTRIES}, nd as (select layer, cast(i as bigint) as idx from ld, range(30) r(i) where i * w < 30), d as (select en.entry, nd.layer, nd.idx, {_B} as b, {_A} as a from en cross join nd left join net on net.entry = en.entry and net.layer = nd.layer and net.idx = nd.idx),
+c as (select layer, idx, out_code, count(*) as n from (select layer, idx, cast({sql_respond(_FULL, 36, EPS, 'rt', 'layer', 'entry', 'idx')} as integer) as out_code from d) group by 1, 2, 3)"""
+#: Most that one report adds to a variance: a report whose pair touches the symbol.
+_WORST = f"((2 * {Z} / (35 + exp({EPS})) + {_GAP36} - {_GAP36} * {_GAP36}) / ({_GAP36} * {_GAP36}))"
+_TREE_NODES = f"{_TREE_COUNTS}, {_change_sql(by='layer, idx')}, nn as (select layer, idx, sum(n) as reports from c group by 1, 2), nodes as (select layer, idx, symbol, estimate, reports * {_WORST} as var from e join nn using (layer, idx))"
+
 
+def _response_tree(spark, d):
+    return responses.tree_reports(event_state(spark, d), entries(spark, d), DAILY, EVENT_TYPES, 2, 3, EPS, key("rt"))
 
-@query(_tree_sql())
+
+@query(f"with {CL_STATE}, {_TREE_NODES} select layer, idx, symbol, round(estimate, 6) as estimate, round(var, 4) as var from nodes")
 def rr_tree_nodes(spark, d):
-    return _rounded(responses.tree_reports(event_state(spark, d), entries(spark, d), DAILY, EVENT_TYPES, 2, 3, EPS, key("rt")))
+    return _rounded(_response_tree(spark, d)).withColumn("var", F.round("var", 4))
+
+
+@query(f"""with {CL_STATE}, {_TREE_NODES} select cast(r.i as bigint) as idx, symbol, round(sum(estimate), 6) as estimate, count(*) as n_nodes, round(sum(var), 4) as var from range(30) r(i) join nodes t on (t.idx + 1) * pow(2, layer) <= r.i + 1
+  and (layer = 2 or (t.idx // 2 + 1) * pow(2, layer + 1) > r.i + 1) group by 1, 2""")
+def rr_prefix_from_tree(spark, d):
+    """The histogram after every day from the nodes of a response tree: few surveys each, where running sums add up all days."""
+    return _rounded(responses.prefix_histogram(_response_tree(spark, d), 30, 2, 3)).withColumn("var", F.round("var", 4))
 
 
 @query(f"""with {CL_STATE}, {_net_sql()}, t as (select d.idx, s.symbol, count(*) as n, sum(if((b is not null and {EVENT_TYPES!r}[b + 1] = symbol) <> (a is not null and {EVENT_TYPES!r}[a + 1] = symbol), 1, 0)) as k from d, (select unnest({EVENT_TYPES!r}) as symbol) s group by 1, 2)
-select idx, symbol, round((n * 2 * {Z} * {responses.optimal_matrix(36, EPS)[1]!r} + k * ({(lambda x: x - x * x)(responses.optimal_matrix(36, EPS)[0] - responses.optimal_matrix(36, EPS)[1])!r})) / {(responses.optimal_matrix(36, EPS)[0] - responses.optimal_matrix(36, EPS)[1]) ** 2!r}, 6) as var from t""")
+select idx, symbol, round((n * 2 * {Z} / (35 + exp({EPS})) + k * ({_GAP36} - {_GAP36} * {_GAP36})) / ({_GAP36} * {_GAP36}), 6) as var from t""")
 def rr_variance_exact(spark, d):
     """Exact variance of each day's estimate: from the number of entries and of those whose pair touches the symbol."""
     dense = responses.dense_pairs(event_state(spark, d), entries(spark, d), DAILY, EVENT_TYPES)
@@ -164,28 +222,70 @@ def rr_variance_exact(spark, d):
     return sums.select("idx", F.explode(rows).alias("r")).select("idx", "r.symbol", F.round("r.var", 6).alias("var"))
 
 
-@query(f"""with {CL_STATE}, {_counts_sql()}, m(symbol, out_code, v) as (values {', '.join(f"('{EVENT_TYPES[i]}', {k}, {int(v)})" for i, row in enumerate(responses.change_matrix(Z)) for k, v in enumerate(row) if v)}),
-s as (select c.idx, symbol, sum(v * n) as a, sum(v * v * n) as b from c join m using (out_code) group by 1, 2), t as (select idx, sum(n) as total from c group by 1)
-select s.idx, symbol, round((b - a * a * 1.0 / total) / {(responses.optimal_matrix(36, EPS)[0] - responses.optimal_matrix(36, EPS)[1]) ** 2!r}, 6) as var from s join t using (idx)""")
+_M = f"{_PAIRS_FULL}, m as (select symbol, out_code, if(a = code, 1, 0) - if(b = code, 1, 0) as v from pairs, (select unnest({EVENT_TYPES!r}) as symbol, unnest(range(1, {Z + 1})) as code))"
+
+
+@query(f"""with {CL_STATE}, {_counts_sql()}, {_M}, s as (select c.idx, x.symbol as one, y.symbol as other, sum(x.v * n) as a, sum(y.v * n) as b, sum(x.v * y.v * n) as ab, sum(n) as total from c join m x using (out_code) join m y using (out_code) group by 1, 2, 3)
+select idx, one, other, round((ab - a * 1.0 * b / total) / ({_GAP36} * {_GAP36}), 6) as cov from s""")
+def rr_covariance_plugin(spark, d):
+    """The whole plug-in covariance of each day's estimates, from answer counts alone."""
+    return metrics.plug_in_covariance(rr_mutation_counts(spark, d), EVENT_TYPES, EPS).withColumn("cov", F.round("cov", 6) + 0.0)
+
+
+@query(f"""with {CL_STATE}, {_counts_sql()}, {_M}, s as (select c.idx, symbol, sum(v * n) as a, sum(v * v * n) as b from c join m using (out_code) group by 1, 2), t as (select idx, sum(n) as total from c group by 1)
+select s.idx, symbol, round((b - a * a * 1.0 / total) / ({_GAP36} * {_GAP36}), 6) as var from s join t using (idx)""")
 def rr_variance_plugin(spark, d):
-    """Diagonal of the plug-in covariance, from answer counts alone."""
-    counts, gap = rr_mutation_counts(spark, d), (lambda x: x[0] - x[1])(responses.optimal_matrix(36, EPS))
-    m = responses.change_matrix(Z)
-    case = lambda row, f: F.sum(F.expr("case " + " ".join(f"when out_code = {k} then {int(f(v))} * n" for k, v in enumerate(row) if v) + " else 0 end"))
-    sums = counts.groupBy("idx").agg(F.sum("n").alias("total"), *[case(row, lambda v: v).alias(f"a{i}") for i, row in enumerate(m)], *[case(row, lambda v: v * v).alias(f"b{i}") for i, row in enumerate(m)])
-    rows = F.array(*[F.struct(F.lit(s).alias("symbol"), ((F.col(f"b{i}") - F.col(f"a{i}") * F.col(f"a{i}") / F.col("total")) / gap**2).alias("var")) for i, s in enumerate(EVENT_TYPES)])
-    return sums.select("idx", F.explode(rows).alias("r")).select("idx", "r.symbol", F.round("r.var", 6).alias("var"))
+    """Diagonal of the plug-in covariance."""
+    out = metrics.plug_in_covariance(rr_mutation_counts(spark, d), EVENT_TYPES, EPS)
+    return out.where("one = other").select("idx", F.col("one").alias("symbol"), F.round("cov", 6).alias("var"))
+
+
+BIAS_RUNS = 20
+
+
+@query(f"""with {CL_STATE}, {_net_sql()}, runs as (select cast(i as bigint) as run from range({BIAS_RUNS}) r(i)), c as (select idx, run, out_code, count(*) as n from (select idx, run, cast({sql_respond(_FULL, 36, EPS, 'rb', 'entry', 'idx', 'run')} as integer) as out_code from d, runs) group by 1, 2, 3),
+{_change_sql(by='idx, run')}, x as (select idx, symbol, sum(if(a.a = code - 1, 1, 0) - if(a.b = code - 1, 1, 0)) as exact from d a cross join sy group by 1, 2)
+select symbol, round(avg(estimate - exact), 6) as bias, round(sqrt(var_samp(estimate - exact) / count(*)), 6) as standard_error, count(*) as n from e join x using (idx, symbol) group by 1""")
+def rr_bias_over_keys(spark, d):
+    """Estimated less true change of each symbol, over all days and many keys: no more than a few standard errors from 0."""
+    pairs = responses.dense_pairs(event_state(spark, d), entries(spark, d), DAILY, EVENT_TYPES)
+    truth = F.array(*[F.struct(F.lit(s).alias("symbol"), ((F.coalesce(F.col("a") == i, F.lit(False))).cast("long") - (F.coalesce(F.col("b") == i, F.lit(False))).cast("long")).alias("v")) for i, s in enumerate(EVENT_TYPES)])
+    exact = pairs.select("idx", F.explode(truth).alias("t")).groupBy("idx", "t.symbol").agg(F.sum("t.v").alias("exact"))
+    runs = pairs.withColumn("run", F.explode(F.sequence(F.lit(0).cast("long"), F.lit(BIAS_RUNS - 1).cast("long"))))
+    code = responses.pair_code(F.col("b"), F.col("a"), Z)
+    counts = runs.select("idx", "run", responses.respond(code, 36, EPS, key("rb"), F.col("entry"), F.col("idx"), F.col("run")).alias("out_code")).groupBy("idx", "run", "out_code").agg(F.count("*").alias("n"))
+    error = responses.estimate_change(counts, EVENT_TYPES, EPS, by=("idx", "run")).join(exact, ["idx", "symbol"]).select("symbol", (F.col("estimate") - F.col("exact")).alias("e"))
+    return error.groupBy("symbol").agg((F.round(F.avg("e"), 6) + 0.0).alias("bias"), F.round(F.sqrt(F.var_samp("e") / F.count("*")), 6).alias("standard_error"), F.count("*").alias("n"))
+
+
+FEW = ["BUILDING", "FURNITURE", "MACHINERY"]
+
+
+@query(f"with {_static_sql('customer', 'c_custkey', 'c_mktsegment', FEW, 1.0, 'rf')} select out_code, n, (select count(*) from customer) as rows, cast(sum(n) over () as bigint) as answers from c")
+def rr_foreign_values(spark, d):
+    """Two segments are outside the alphabet: their rows answer at random, so answers add up to rows."""
+    c = table(spark, d, "customer")
+    counts = responses.static_counts(c, "c_custkey", "c_mktsegment", FEW, 1.0, key("rf"))
+    total = counts.agg(F.sum("n").alias("answers"))
+    return counts.crossJoin(c.agg(F.count("*").alias("rows"))).crossJoin(total).select("out_code", "n", "rows", "answers")  # one row each
 
 
-@query(None)
+#: Columns are truths F, O, P; each adds up to 1.
+GENERAL = [[0.6, 0.2, 0.1], [0.3, 0.6, 0.2], [0.1, 0.2, 0.7]]
+
+
+@query(f"""with r as (select list_position({STATUSES!r}, o_orderstatus) as t, {sql_u('rg', 'o_orderkey')} as u from orders), o as (select case t when 1 then if(u < 0.6, 0, if(u < 0.9, 1, 2)) when 2 then if(u < 0.2, 0, if(u < 0.8, 1, 2)) else if(u < 0.1, 0, if(u < 0.3, 1, 2)) end as c from r),
+n as (select count(*) filter (where c = 0) as x, count(*) filter (where c = 1) as y, count(*) filter (where c = 2) as z from o), det as (select 0.6 * (0.6 * 0.7 - 0.2 * 0.2) - 0.2 * (0.3 * 0.7 - 0.2 * 0.1) + 0.1 * (0.3 * 0.2 - 0.6 * 0.1) as d),
+i as (select 'F' as symbol, ((0.6 * 0.7 - 0.2 * 0.2) * x - (0.2 * 0.7 - 0.1 * 0.2) * y + (0.2 * 0.2 - 0.1 * 0.6) * z) / d as e from n, det union all select 'O', (-(0.3 * 0.7 - 0.2 * 0.1) * x + (0.6 * 0.7 - 0.1 * 0.1) * y - (0.6 * 0.2 - 0.1 * 0.3) * z) / d from n, det union all select 'P', ((0.3 * 0.2 - 0.6 * 0.1) * x - (0.6 * 0.2 - 0.2 * 0.1) * y + (0.6 * 0.6 - 0.2 * 0.3) * z) / d from n, det)
+select symbol, round(cast(e as double), 5) as estimate, round(ln(greatest(0.6 / 0.1, 0.6 / 0.2, 0.7 / 0.1)), 6) as eps from i""")
 def rr_general_matrix(spark, d):
     """A matrix other than the optimal one: its eps, and an estimate by its inverse."""
-    m = responses.ResponseMatrix([[0.6, 0.2, 0.1], [0.3, 0.6, 0.2], [0.1, 0.2, 0.7]])
+    m = responses.ResponseMatrix(GENERAL)
     o = table(spark, d, "orders")
     out = o.select(m.respond(responses.code_of("o_orderstatus", STATUSES), key("rg"), F.col("o_orderkey")).alias("c")).groupBy("c").count()
     n = {r.c: r["count"] for r in out.collect()}  # three counts
     est = m.estimate([n.get(i, 0) for i in range(3)])
-    return spark.createDataFrame([(s, float(round(x, 6)), float(round(m.epsilon(), 6))) for s, x in zip(STATUSES, est, strict=True)], "symbol string, estimate double, eps double")
+    return spark.createDataFrame([(s, float(round(x, 5)) + 0.0, float(round(m.epsilon(), 6))) for s, x in zip(STATUSES, est, strict=True)], "symbol string, estimate double, eps double")
 
 
 # Baselines.
@@ -242,8 +342,7 @@ STATES = f"{GRID}, en as (select distinct entry from cl), st as (select entry, i
 
 
 def states(spark, d):
-    ends = DAILY.df(spark).select("idx", F.col("end_us").alias("t"))
-    return changelog.asof_join(ends.select("t"), event_state(spark, d)).where("value is not null").join(F.broadcast(ends), "t").select("entry", "idx", "value")
+    return changelog.states_at(event_state(spark, d), DAILY).where("value is not null")
 
 
 _MEMO = f"m as (select entry, idx, value, cast({sql_respond(sql_code('value', EVENT_TYPES), 5, 1.0, 'bm', 'entry', 'value')} as integer) as out_code from st)"
@@ -259,22 +358,53 @@ def base_memo_leak(spark, d):
     return baselines.memo_leak(base_memoised_local(spark, d))
 
 
-@query(None)
+_VOTES = f"""vt as (select d.idx, sum(if({sql_u('bv', 'd.entry', 'd.idx', salt='v')} < exp(1.0) / (1 + exp(1.0)), if(net.entry is null, 0, 1), if(net.entry is null, 1, 0))) as s, count(*) as n from d left join net on net.entry = d.entry and net.idx = d.idx group by 1),
+vo as (select idx, (s - n / (1 + exp(1.0))) / ((exp(1.0) - 1) / (1 + exp(1.0))) as votes, n from vt)"""
+
+
+@query(f"with {CL_STATE}, {_net_sql()}, {_VOTES} select idx, round(votes, 6) as votes, votes / n >= 0.5 as update from vo")
 def base_local_vote(spark, d):
-    return baselines.local_vote(event_state(spark, d), entries(spark, d), DAILY, 1.0, 0.5, key("bv"))
+    return baselines.local_vote(event_state(spark, d), entries(spark, d), DAILY, 1.0, 0.5, key("bv")).withColumn("votes", F.round("votes", 6) + 0.0)
 
 
-_P5 = responses.optimal_matrix(5, 1.0)
+def _repeated_sql(rel: str, where: str = "true") -> str:
+    """rr: (idx, symbol, estimate) of a fresh survey every interval, of the states st."""
+    base = "(4 + exp(1.0))"
+    return f"""sm as (select idx, cast({sql_respond(sql_code('value', EVENT_TYPES), 5, 1.0, rel, 'entry', 'idx')} as integer) as c from st where {where}), sn as (select idx, count(*) as n from sm group by 1),
+    rr as (select sn.idx, s.symbol, (sum(if({EVENT_TYPES!r}[c + 1] = s.symbol, 1, 0)) - any_value(sn.n) / {base}) / ((exp(1.0) - 1) / {base}) as estimate from sn join sm using (idx), (select unnest({EVENT_TYPES!r}) as symbol) s group by 1, 2)"""
 
 
-@query(f"""with {CL_STATE}, {STATES}, m as (select idx, {sql_respond(sql_code('value', EVENT_TYPES), 5, 1.0, 'br', 'entry', 'idx')} as c from st), t as (select idx, count(*) as n from m group by 1)
-select t.idx, s.symbol, round((sum(if({EVENT_TYPES!r}[c + 1] = s.symbol, 1, 0)) - {_P5[1]!r} * any_value(t.n)) / {_P5[0] - _P5[1]!r}, 6) as estimate from t join m using (idx), (select unnest({EVENT_TYPES!r}) as symbol) s group by 1, 2""")
+@query(f"with {CL_STATE}, {STATES}, {_repeated_sql('br')} select idx, symbol, round(estimate, 6) as estimate from rr")
 def base_repeated_rr(spark, d):
     return _rounded(baselines.repeated_static(states(spark, d), EVENT_TYPES, 1.0, key("br")))
 
 
-@query("select cast(n as bigint) as n, n * 0.5::double as eps from (values (1), (30), (365), (10000)) t(n)")
+@query(f"""with {CL_STATE}, {_net_sql().replace('en as (', 'en0 as (').replace('from en cross', 'from en0 en cross')}, {STATES}, {_VOTES}, up as (select idx, votes / n >= 0.5 or idx = 0 as renewed from vo), {_repeated_sql('bv', 'idx in (select idx from up where renewed)')},
+h as (select up.idx, s.symbol, renewed, estimate from up cross join (select unnest({EVENT_TYPES!r}) as symbol) s left join rr on rr.idx = up.idx and rr.symbol = s.symbol)
+select idx, symbol, round(last_value(estimate ignore nulls) over (partition by symbol order by idx), 6) as estimate, renewed from h""")
+def base_voted_histogram(spark, d):
+    """A histogram that is renewed where entries vote for it, and carried on in between."""
+    out = baselines.voted_histogram(event_state(spark, d), entries(spark, d), states(spark, d), DAILY, EVENT_TYPES, 1.0, 1.0, 0.5, key("bv"))
+    return _rounded(out)
+
+
+@query(f"""with {CL_STATE}, t as (select entry, count(distinct {sql_idx(DAY)}) as n from cl where {sql_idx(DAY)} between 0 and 29 group by 1) select cast(m as bigint) as intervals, m * 0.5::double as eps, (select max(n) from t) as touched from (values (30), (365), (10000)) v(m)""")
 def base_unconstrained(spark, d):
+    """Without a limit an entry may touch every query: the budget grows with their number. touched: the most days that any touches."""
     from ..plans.accounting import Budget
 
-    return spark.createDataFrame([(n, baselines.unconstrained_budget(n, Budget(0.5)).eps) for n in (1, 30, 365, 10_000)], "n long, eps double")
+    most = metrics.touch_counts(metrics.touched_disjoint(event_state(spark, d), DAILY)).agg(F.max("touched").alias("touched"))
+    rows = [(n, baselines.unconstrained_budget(n, Budget(0.5)).eps) for n in (30, 365, 10_000)]
+    return spark.createDataFrame(rows, "intervals long, eps double").crossJoin(most)  # one row
+
+
+@query(f"""with {CL_STATE}, n as (select entry, max(abs(x)) as v from (select entry, count(*) as x from cl group by 1) group by 1), c as (select cast(least(5, (v > 20)::int + (v > 40)::int + (v > 60)::int + (v > 80)::int + (v > 100)::int) as integer) as cell, count(*) as n from n group by 1),
+x as (select cast(i as integer) as cell, coalesce(n, 0) + {sql_laplace(2.0, 'cc', 'i')} as x from range(6) r(i) left join c on c.cell = r.i), y as (select cell, sum(x) over (order by cell) as noisy, sum(x) over () as al from x), f as (select least(4, coalesce(min(cell) filter (where noisy >= 0.9 * al), 4)) as first from y)
+select [20.0, 40, 60, 80, 100][cell + 1]::double as clip, round(noisy, 6) as noisy, cell = first as chosen from y, f where cell < 5""")
+def clip_choice_private(spark, d):
+    """A bound on mutations an entry from a noisy histogram over a public grid."""
+    from ..operators import constraints
+
+    counts = constraints.counts(event_state(spark, d))
+    out = linear.choose_clip_private(counts, "mutations", [20, 40, 60, 80, 100], 0.9, 0.5, key("cc"))
+    return out.withColumn("noisy", F.round("noisy", 6) + 0.0)

@@ -5,7 +5,7 @@ from __future__ import annotations
 from pyspark.sql import Window
 from pyspark.sql import functions as F
 
-from ..functions.intervals import DAY, micros
+from ..functions.intervals import DAY, IntervalGrid, micros
 from ..operators import changelog, constraints
 from ..sources.tables import table
 from .base import *
@@ -78,8 +78,9 @@ def snapshot_at_time(spark, d):
 @query(f"""with {CL_STATE}, times as (select cast({T0} + i * {5 * DAY} as bigint) as t from range(1, 6) r(i)), e as (select distinct entry from cl)
 select e.entry, t.t, (select arg_max(c.after, (c.ts, c.seq)) from cl c where c.entry = e.entry and c.ts <= t.t) as value from e, times t""")
 def snapshot_asof_many(spark, d):
-    times = spark.range(1, 6).select((F.lit(T0) + F.col("id") * 5 * DAY).alias("t"))
-    return changelog.asof_join(times, event_state(spark, d))
+    grid = IntervalGrid.regular(T0, 5 * DAY, 5)
+    out = changelog.states_at(event_state(spark, d), grid)
+    return out.select("entry", (F.lit(grid.start) + (F.col("idx") + 1) * grid.width).alias("t"), "value")
 
 
 def _snap(t):
@@ -190,21 +191,37 @@ def transition_edges(spark, d):
     return constraints.transitions(conversation_role(spark, d))
 
 
-@query(None)
+#: Edges of three graphs; the longest path over strongly connected components, all by recursive closure.
+GRAPH = f"""with recursive cl1 as (with {CL_ROLE} select 'role' as g, coalesce(before, '~') as a, coalesce(after, '~') as b from cl), cl2 as (with {CL_STATE} select 'event_type' as g, coalesce(before, '~') as a, coalesce(after, '~') as b from cl),
+cl3 as (with src as (select o_custkey, o_orderdate, o_orderkey, least(2, row_number() over (partition by o_custkey order by o_orderdate, o_orderkey)) as v from orders), {_lag("src", "o_custkey", "epoch_us(o_orderdate)", "o_orderkey", "v")} select 'counter' as g, coalesce(before::varchar, '~') as a, coalesce(after::varchar, '~') as b from cl),
+e as (select distinct * from (select * from cl1 union all select * from cl2 union all select * from cl3)), v as (select g, a as x from e union select g, b from e),
+reach as (select g, x as a, x as b from v union select r.g, r.a, e.b from reach r join e on e.g = r.g and e.a = r.b),
+comp as (select r.g, r.a as x, min(r.b) as c from reach r join reach s on s.g = r.g and s.a = r.b and s.b = r.a group by 1, 2),
+dag as (select distinct e.g, p.c as a, q.c as b from e join comp p on p.g = e.g and p.x = e.a join comp q on q.g = e.g and q.x = e.b where p.c <> q.c),
+walk as (select g, c as at, 0 as n from comp where x = '~' union select w.g, d.b, w.n + 1 from walk w join dag d on d.g = w.g and d.a = w.at)
+select g as graph, cast(max(n) as bigint) as k from walk group by 1"""
+#: Pairs of states that one changelog's graph may have, at most: states are public and few, or grouped before (M22).
+MOST_EDGES = 100_000
+
+
+def _edges(cl):
+    rows = constraints.transitions(cl).select("before", "after").limit(MOST_EDGES + 1).collect()
+    if len(rows) > MOST_EDGES:
+        raise ValueError("too many states for a graph; group them first")
+    return [(r.before, r.after) for r in rows]
+
+
+@query(GRAPH)
 def state_graph_bound(spark, d):
     """(graph, k): longest path over components, for three graphs."""
-    rows = []
-    for name, cl in (("role", conversation_role(spark, d)), ("event_type", event_state(spark, d)), ("counter", counter_bucket_changelog(spark, d))):
-        edges = [(r.before, r.after) for r in constraints.transitions(cl).collect()]  # states are few
-        rows.append((name, constraints.mutation_bound(edges)[0]))
+    rows = [(name, constraints.mutation_bound(_edges(cl))[0]) for name, cl in (("role", conversation_role(spark, d)), ("event_type", event_state(spark, d)), ("counter", counter_bucket_changelog(spark, d)))]
     return spark.createDataFrame(rows, "graph string, k long")
 
 
 @query("with src as (select conv_id, turn, if(role = 'system', 'system', 'assistant') as v from conversations), " + _lag("src", "conv_id", "cast(turn as bigint)", "0", "v") + " select * from cl")
 def composite_state_changelog(spark, d):
     cl = conversation_role(spark, d)
-    edges = [(r.before, r.after) for r in constraints.transitions(cl).collect()]
-    return constraints.composite_states(cl, constraints.mutation_bound(edges)[1])
+    return constraints.composite_states(cl, constraints.mutation_bound(_edges(cl))[1])
 
 
 @query("""with src as (select o_custkey, o_orderdate, o_orderkey, least(2, row_number() over (partition by o_custkey order by o_orderdate, o_orderkey)) as v from orders), """ + _lag("src", "o_custkey", "epoch_us(o_orderdate)", "o_orderkey", "v") + AS_TEXT)

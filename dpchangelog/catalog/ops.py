@@ -8,9 +8,9 @@ import uuid
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
+from ..functions import sql as sql_functions
 from ..functions.intervals import DAY, micros
 from ..operators import linear
-from ..plans.planner import cover
 from ..sources.tables import table
 from ..streaming import streams
 from .base import *
@@ -109,9 +109,11 @@ def window_rank_suite(spark, d):
     return o.select("o_orderkey", "o_custkey", F.row_number().over(w).cast("long").alias("rn"), F.rank().over(p).alias("rk"), F.dense_rank().over(p).alias("dr"), F.ntile(4).over(w).alias("quarter"), F.lag("o_orderstatus").over(w).alias("prev"), F.first("o_orderkey").over(w).alias("first_key"), F.round(F.percent_rank().over(p), 9).alias("pr"))
 
 
-@query(None)
+@query("select o_orderstatus, count(distinct o_custkey) as entries, true as within from orders group by 1")
 def approx_distinct_entries(spark, d):
-    return table(spark, d, "orders").groupBy("o_orderstatus").agg(F.approx_count_distinct("o_custkey", 0.02).alias("entries"))
+    """A sketch's count of entries beside the exact one, and whether it lies within three of its standard errors (0.02)."""
+    sums = table(spark, d, "orders").groupBy("o_orderstatus").agg(F.approx_count_distinct("o_custkey", 0.02).alias("sketch"), F.count_distinct("o_custkey").alias("entries"))
+    return sums.select("o_orderstatus", "entries", (F.abs(F.col("sketch") - F.col("entries")) <= 0.06 * F.col("entries")).alias("within"))
 
 
 @query("""select 'both' as side, count(*) as n from (select distinct o_custkey from orders where o_orderstatus = 'F' intersect select distinct o_custkey from orders where o_orderstatus = 'O')
@@ -148,33 +150,25 @@ def sql_surface_interval_udf(spark, d):
 
 
 _RANGES = [(0, 5, 17), (1, 0, 99), (2, 3, 64), (3, 31, 33)]
-_COVER = ", ".join(f"({i}, {j}, {k})" for i, l, r in _RANGES for j, k in cover(l, r, 2, 7))
 
 
-@query(f"select cast(a as bigint) as range_id, cast(b as integer) as layer, cast(c as bigint) as idx from (values {_COVER}) as t(a, b, c)")
+@query(f"""select cast(a as bigint) as range_id, cast(j as integer) as layer, cast(i as bigint) as idx from (values {str(_RANGES)[1:-1]}) as t(a, l, r), range(7) x(j), range(100) y(i)
+where i * pow(2, j) >= l and (i + 1) * pow(2, j) <= r and (j = 6 or i // 2 * pow(2, j + 1) < l or (i // 2 + 1) * pow(2, j + 1) > r)""")
 def sql_surface_cover_udtf(spark, d):
     """A table function that lists the nodes of a range, joined laterally."""
-    from pyspark.sql.functions import udtf
-
-    @udtf(returnType="layer int, idx bigint")
-    class CoverNodes:
-        def eval(self, l: int, r: int, c: int, h: int):
-            for layer in range(h):
-                w = c**layer
-                lo, hi = -(-l // w), r // w
-                for i in range(lo, hi):
-                    p = i // c
-                    if layer == h - 1 or p * w * c < l or (p + 1) * w * c > r:
-                        yield layer, i
-
-    spark.udtf.register("cover_nodes", CoverNodes)
+    sql_functions.register(spark)
     spark.createDataFrame(_RANGES, "range_id bigint, l bigint, r bigint").createOrReplaceTempView("asked_ranges")
     return spark.sql("select range_id, n.layer, n.idx from asked_ranges, lateral cover_nodes(l, r, 2, 7) n")
 
 
 # Streams, run over what is there and returned as batches.
 def _folder(spark) -> str:
-    base = spark.sparkContext.getConf().get("spark.checkpoint.dir") or "file://" + tempfile.mkdtemp()
+    sc = spark.sparkContext
+    base = sc.getConf().get("spark.checkpoint.dir") or sc.getCheckpointDir()
+    if not base:
+        if not sc.master.startswith("local"):
+            raise ValueError("set spark.checkpoint.dir to a folder that the driver and all executors share")
+        base = "file://" + tempfile.mkdtemp()
     return f"{base.rstrip('/')}/stream-{uuid.uuid4().hex}"
 
 
@@ -250,3 +244,12 @@ def stream_interval_join(spark, d):
     j = streams.interval_join_stream(o, li, "k", "o_orderdate", "l_shipdate", "60 days", "4000 days")
     out = _ran(spark, j.select(F.col("a.k").alias("o_orderkey")))
     return out.groupBy("o_orderkey").agg(F.count("*").alias("n"))
+
+
+@query("select c_mktsegment as segment, count(*) as n from orders left join customer on o_custkey = c_custkey group by 1")
+def stream_static_join(spark, d):
+    """A stream of orders with their customers' segments, from a static table."""
+    o = _stream(spark, d, "orders").select("o_orderkey", F.col("o_custkey").alias("k"))
+    c = table(spark, d, "customer").select(F.col("c_custkey").alias("k"), "c_mktsegment")
+    out = _ran(spark, streams.enrich_stream(o, c, "k").select("o_orderkey", "c_mktsegment"))
+    return out.groupBy(F.col("c_mktsegment").alias("segment")).agg(F.count("*").alias("n"))

@@ -9,7 +9,7 @@ from pyspark.sql import functions as F
 from ..functions import sql as sql_functions
 from ..functions.intervals import DAY, IntervalGrid, micros
 from ..functions.noise import Noise, laplace
-from ..operators import changelog, linear, release, responses
+from ..operators import changelog, hierarchy, linear, release, responses, sliding
 from ..plans import accounting as A
 from ..plans.planner import fanout_sweep
 from ..sources.tables import table
@@ -17,7 +17,7 @@ from .base import *
 from .base import CL_ROLE, CL_STATE, _lag, sql_idx, sql_laplace, sql_u
 from .local_rr import sql_code, sql_respond
 from .log import HYBRID, hybrid, overwrite_batch_1d
-from .releases import ERROR, GRID, SQL_ERROR, daily_sql, rounded
+from .releases import ERROR, GRID, S14, SQL_ERROR, daily_sql, rounded, window_sql
 
 TURNS = IntervalGrid.regular(-1, 2, 4)
 
@@ -33,9 +33,11 @@ def conversation_roles_by_turn(spark, d):
 
 #: Rides: 10 folds. Passes: spans of 10 days on a daily grid. The release spends the larger.
 HYBRID_FOLDS = max(A.folds_disjoint_k(10), A.folds_disjoint_b_regular(10 * DAY, DAY))
+#: The same by hand, for SQL: 10 rides, or 10 days and one more interval.
+_FOLDS = "greatest(10, ceil(10 * 1.0) + 1)"
 
 
-@query(f"with {CL_STATE}, {HYBRID}, {daily_sql(SQL_ERROR, 'hy')} select idx, round(exact + {sql_laplace(float(HYBRID_FOLDS), 'hy', chr(39) + '0' + chr(39), 'idx')}, 6) as noisy, round(1.0 / {HYBRID_FOLDS}, 9) as eps, round({2.0 * HYBRID_FOLDS**2}, 6) as sigma2 from b")
+@query(f"with {CL_STATE}, {HYBRID}, {daily_sql(SQL_ERROR, 'hy')} select idx, round(exact + {sql_laplace(_FOLDS, 'hy', chr(39) + '0' + chr(39), 'idx')}, 6) as noisy, round(1.0 / {_FOLDS}, 9) as eps, round(2.0 * {_FOLDS} * {_FOLDS}, 6) as sigma2 from b")
 def hybrid_release_daily(spark, d):
     """Two kinds of tickets under one release at a total of 1."""
     out = release.disjoint(hybrid(spark, d), DAILY, ERROR, Noise("laplace", 1.0 / HYBRID_FOLDS), key("hy"))
@@ -98,7 +100,8 @@ def local_folds_table(spark, d):
     return spark.createDataFrame([("local", *r) for r in rows], "model string, constraint string, release string, folds long")
 
 
-@query(None)
+@query("""with c as (select cast(c as integer) as c, cast((select min(j) from range(1, 12) t(j) where pow(c, j) >= 720) as integer) as h from range(2, 33) a(c)),
+n as (select c, h, r, r - (c - 1) * sum(if(j < h, r // cast(pow(c, j) as bigint), 0)) as nodes from c, range(1, 721) b(r), range(1, 11) x(j) group by 1, 2, 3) select c, h, cast(max(nodes) as integer) as nodes, cast(h * h * max(nodes) as double) as cost from n group by 1, 2""")
 def base_fanout_sweep(spark, d):
     """Fan-outs of a tree over 720 intervals: height, most nodes of a prefix, and the variance at one total budget."""
     return spark.createDataFrame(fanout_sweep(720), "c int, h int, nodes int, cost double")
@@ -118,3 +121,34 @@ def post_processed(spark, d):
     """Clipping at zero after the release costs no privacy, and no longer has zero bias."""
     out = release.disjoint(event_state(spark, d), DAILY, ERROR, Noise("laplace", 0.5), key("pp"))
     return out.select("idx", (F.round(F.greatest(F.lit(0.0), F.col("noisy") + 15), 6) + 0.0).alias("estimate"))
+
+
+# Hybrid limits of trees and sliding windows: the release spends the larger of what either kind of ticket can touch.
+TREE_H = 4
+HYBRID_TREE = max(A.folds_tree_k(TREE_H, 10), A.folds_tree_b(TREE_H, 2, 10, 1))
+HYBRID_SLIDING = max(A.folds_sliding_k(10, 14, 1), A.folds_sliding_b(10, 14, 1))
+_TREE_FOLDS = "(select greatest(4 * 10, sum(ceil(10 / pow(2, j)) + 1)) from range(4) f(j))"
+_SLIDING_FOLDS = "greatest(10 * ceil(14 * 1.0), ceil((10 + 14) * 1.0))"
+
+
+@query(f"""with {CL_STATE}, {HYBRID}, s as (select {sql_idx(DAY)} as i, sum({SQL_ERROR}) as x from hy group by 1), f as (select {_TREE_FOLDS} as k), t as (select cast(j as integer) as layer, cast(r.i // cast(pow(2, j) as bigint) as bigint) as idx, cast(sum(coalesce(x, 0)) as bigint) as exact from range(30) r(i) cross join range(4) l(j) left join s on s.i = r.i group by 1, 2)
+select layer, idx, round(exact + {sql_laplace('k', 'hyt', 'layer', 'idx')}, 6) as noisy, round(1.0 / k, 9) as eps, round(2.0 * k * k, 6) as sigma2 from t, f""")
+def hybrid_tree_daily(spark, d):
+    out = hierarchy.hierarchy(hybrid(spark, d), DAILY, 2, TREE_H, ERROR, Noise("laplace", 1.0 / HYBRID_TREE), key("hyt"))
+    return rounded(out).withColumns({"eps": F.round("eps", 9), "sigma2": F.round("sigma2", 6)})
+
+
+@query(f"with {CL_STATE}, {HYBRID}, {window_sql(S14).replace('join cl', 'join hy')}, f as (select {_SLIDING_FOLDS} as k) select idx, round(exact + {sql_laplace('k', 'hys', chr(39) + '0' + chr(39), 'idx')}, 6) as noisy, round(1.0 / k, 9) as eps, round(2.0 * k * k, 6) as sigma2 from w, f")
+def hybrid_sliding_windows(spark, d):
+    out = sliding.direct(hybrid(spark, d), S14, ERROR, Noise("laplace", 1.0 / HYBRID_SLIDING), key("hys"))
+    return rounded(out).withColumns({"eps": F.round("eps", 9), "sigma2": F.round("sigma2", 6)})
+
+
+@query(f"""with {CL_PRIORITY}, net as (select entry, {sql_idx(365 * DAY, T1995 - 1)} as idx, arg_min(coalesce(before, '~'), (ts, seq)) as b, arg_max(after, (ts, seq)) as a from cl group by 1, 2),
+d as (select c_custkey as entry, cast(i as bigint) as idx, if(net.a is distinct from nullif(net.b, '~'), {sql_code("nullif(net.b, '~')", PRIORITIES)}, null) as b, if(net.a is distinct from nullif(net.b, '~'), {sql_code('net.a', PRIORITIES)}, null) as a from customer cross join range(7) r(i) left join net on net.entry = c_custkey and net.idx = i),
+o as (select idx, cast({sql_respond('(coalesce(b + 1, 0) * 6 + coalesce(a + 1, 0))', 36, 2.0, 'rp', 'entry', 'idx')} as integer) as out_code from d), c as (select idx, out_code, count(*) as n from o group by 1, 2), sy as (select unnest({PRIORITIES!r}) as symbol, unnest(range(1, 6)) as code),
+e as (select idx, symbol, sum(if(out_code % 6 = code, n, 0) - if(out_code // 6 = code, n, 0)) / ((exp(2.0) - 1) / (35 + exp(2.0))) as x from c, sy group by 1, 2) select idx, symbol, round(sum(x) over (partition by symbol order by idx), 6) as estimate from e""")
+def rr_priority_histogram(spark, d):
+    """How many customers' last order has each priority, after every year, as running sums of estimated changes."""
+    changes = responses.estimate_change(rr_continual_priority(spark, d), PRIORITIES, 2.0)
+    return responses.continual_histogram(changes).withColumn("estimate", F.round("estimate", 6) + 0.0)

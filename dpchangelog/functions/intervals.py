@@ -14,6 +14,8 @@ from pyspark.sql import functions as F
 SECOND = 1_000_000
 HOUR = 3600 * SECOND
 DAY = 24 * HOUR
+#: The folder column of stored changelogs: the day of ts, whole days since 1970.
+DAY_COLUMN = "ts_day"
 
 
 def micros(ts: str | Column) -> Column:
@@ -57,20 +59,38 @@ class IntervalGrid:
     def end(self, i: int) -> int:
         return self.endpoints[i + 1] if self.endpoints else self.start + (i + 1) * self.width
 
+    @property
+    def begin(self) -> int:
+        return self.endpoints[0] if self.endpoints else self.start
+
+    def position(self, ts: Column | str) -> Column:
+        """The first interval that ends at or after a time, unbounded on a regular grid: below 0 before it, n or more behind it."""
+        c = F.col(ts) if isinstance(ts, str) else ts
+        if self.endpoints:
+            return F.size(F.filter(F.array(*[F.lit(e) for e in self.endpoints]), lambda e: e < c)).cast("long") - 1 + F.when(c.isNotNull(), 0)
+        return ceil_div(c - F.lit(self.start), self.width) - 1
+
     def idx(self, ts: Column, from_beginning: bool = False) -> Column:
         """Interval of a time, null outside the grid. from_beginning: interval 0 reaches back without bound."""
-        if self.endpoints:
-            if len(self.endpoints) > 64:
-                raise ValueError("use assign() for long lists of endpoints")
-            i = F.size(F.filter(F.array(*[F.lit(e) for e in self.endpoints]), lambda e: e < ts)).cast("long") - 1
-        else:
-            i = ceil_div(ts - F.lit(self.start), self.width) - 1
+        if len(self.endpoints) > 64:
+            raise ValueError("use assign() for long lists of endpoints")
+        i = self.position(ts)
         if from_beginning:
             i = F.greatest(i, F.lit(0))
         return F.when((i >= 0) & (i < self.n), i)
 
     def assign(self, df: DataFrame, ts: str = "ts", from_beginning: bool = False) -> DataFrame:
-        """df within the grid, with idx. Long endpoint lists go through a sorted union rather than an array per row."""
+        """df within the grid, with idx. Long endpoint lists go through a join of cells rather than an array per row.
+
+        The bounds are filters on the time column itself, and on the day folders of a stored changelog (DAY_COLUMN), so a release
+        reads no more of the history than its grid spans.
+        """
+        if self.n:
+            low, high = self.begin, self.end(self.n - 1)
+            df = df.where(F.col(ts) <= high) if from_beginning else df.where((F.col(ts) > low) & (F.col(ts) <= high))
+            if DAY_COLUMN in df.columns:
+                day = F.col(DAY_COLUMN)
+                df = df.where(day <= high // DAY) if from_beginning else df.where((day >= low // DAY) & (day <= high // DAY))
         if not self.endpoints or len(self.endpoints) <= 64:
             return df.withColumn("idx", self.idx(F.col(ts), from_beginning)).where("idx is not null")
         ends = self.df(df.sparkSession)

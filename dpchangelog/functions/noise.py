@@ -1,7 +1,10 @@
 """Keyed noise. A draw is a function of (key, release, layer, interval, group, coordinate), so a task that is run again
 publishes the same number, and two readers of one node see one answer.
 
-The public test key draws from MD5 within whole-stage code. Production sets `secret`, which draws through HMAC-SHA-256.
+A key has a secret, or says that it is public. With a secret the draw is HMAC-SHA-256, built from Spark's own sha2, so it stays
+within whole-stage code; the plan then holds a key that the driver derives for that release alone, never the secret itself, and
+whoever may read plans and event logs can undo that release's noise: keep them as closed as the data. The public key draws
+through MD5, which anyone can repeat and subtract: for tests and studies only.
 """
 
 from __future__ import annotations
@@ -9,7 +12,7 @@ from __future__ import annotations
 import hashlib
 import hmac
 import math
-from dataclasses import dataclass
+from dataclasses import dataclass, replace
 
 from pyspark.sql import Column
 from pyspark.sql import functions as F
@@ -17,9 +20,17 @@ from pyspark.sql import functions as F
 
 @dataclass(frozen=True)
 class Key:
-    name: str = "test"
-    release: str = "r"
+    name: str
+    release: str
     secret: bytes | None = None
+    public: bool = False
+
+    def __post_init__(self):
+        if (self.secret is None) != self.public:
+            raise ValueError("a key has a secret, or is public=True for tests; noise of a public key protects nothing")
+
+    def of(self, release: str) -> "Key":
+        return replace(self, release=release)
 
 
 def message(key: Key, *parts: Column | str | int, salt: str = "") -> Column:
@@ -28,19 +39,17 @@ def message(key: Key, *parts: Column | str | int, salt: str = "") -> Column:
     return F.concat_ws("|", F.lit(key.name), F.lit(key.release), *cols, F.lit(salt))
 
 
+def keyed_digest(key: Key, data: Column) -> Column:
+    """HMAC-SHA-256 of a binary column as lowercase hex, under the release's own key."""
+    own = hmac.new(key.secret, f"{key.name}|{key.release}".encode(), hashlib.sha256).digest().ljust(64, b"\0")
+    inner, outer = (bytearray(b ^ pad for b in own) for pad in (0x36, 0x5C))
+    return F.sha2(F.concat(F.lit(outer), F.unhex(F.sha2(F.concat(F.lit(inner), data), 256))), 256)
+
+
 def uniform(key: Key, *parts, salt: str = "") -> Column:
     """A number in (0, 1): the first 52 bits of the digest, and a half."""
     text = message(key, *parts, salt=salt)
-    if key.secret is None:
-        digest = F.md5(text.cast("binary"))
-    else:
-        secret = key.secret
-
-        @F.udf("string", useArrow=True)
-        def digest_of(t):
-            return hmac.new(secret, t.encode(), hashlib.sha256).hexdigest()
-
-        digest = digest_of(text)
+    digest = F.md5(text.cast("binary")) if key.public else keyed_digest(key, text.cast("binary"))
     return (F.conv(F.substring(digest, 1, 13), 16, 10).cast("double") + 0.5) / float(1 << 52)
 
 

@@ -10,7 +10,8 @@ from ..functions.noise import Key, Noise, laplace, laplace_variance, uniform
 from ..plans.accounting import Budget, fold
 from . import changelog, constraints, linear, responses
 from .hierarchy import hierarchy
-from .release import published
+from .local import dense_rows, interval_keys
+from .release import dense, published
 
 
 def unconstrained_budget(n: int, b: Budget) -> Budget:
@@ -19,11 +20,13 @@ def unconstrained_budget(n: int, b: Budget) -> Budget:
 
 
 def resnapshot_series(cl: DataFrame, grid: IntervalGrid, query: linear.LinearQuery, total_eps: float, key: Key) -> DataFrame:
-    """Query the whole table anew at the end of every interval; the budget is dealt out among all. (idx, noisy, eps, sigma2)"""
-    spark, scale = cl.sparkSession, query.l1 * grid.n / total_eps
-    state = changelog.asof_join(grid.df(spark).select(F.col("end_us").alias("t")), cl).where("value is not null")
-    sums = state.groupBy("t").agg(F.sum(query.of("value")).alias("exact"))
-    exact = grid.df(spark).select("idx", F.col("end_us").alias("t")).join(sums, "t", "left").select("idx", F.coalesce("exact", F.lit(0)).alias("exact"))
+    """Query the whole table anew at the end of every interval; the budget is dealt out among all. (idx, noisy, eps, sigma2)
+
+    The exact answer at a time is the running total of all changes up to it, so no state of any entry is rebuilt.
+    """
+    scale = query.l1 * grid.n / total_eps
+    sums = dense(grid, linear.change(grid.assign(cl, from_beginning=True), query))
+    exact = sums.select("idx", F.sum("exact").over(Window.orderBy("idx").rowsBetween(Window.unboundedPreceding, 0)).alias("exact"))  # over intervals
     noisy = F.col("exact").cast("double") + laplace(scale, key, "0", F.col("idx"))
     return exact.select("idx", noisy.alias("noisy"), F.lit(total_eps / grid.n).alias("eps"), F.lit(laplace_variance(scale)).alias("sigma2"))
 
@@ -85,7 +88,7 @@ def local_vote(cl: DataFrame, entries: DataFrame, grid: IntervalGrid, eps: float
     estimated share of changes is at least the threshold."""
     p, q = responses.optimal_matrix(2, eps)
     net = changelog.net_change(grid.assign(cl)).select("entry", "idx", F.lit(1).alias("changed"))
-    every = entries.select("entry").crossJoin(grid.df(cl.sparkSession).select("idx")).join(net, ["entry", "idx"], "left")
+    every = dense_rows(entries, net, interval_keys(grid.n), ["idx"], ["changed"])
     truth = F.coalesce("changed", F.lit(0))
     bit = F.when(uniform(key, F.col("entry"), F.col("idx"), salt="v") < p, truth).otherwise(1 - truth)
     counts = every.select("idx", bit.alias("bit")).groupBy("idx").agg(F.sum("bit").alias("s"), F.count("*").alias("n"))
@@ -93,6 +96,17 @@ def local_vote(cl: DataFrame, entries: DataFrame, grid: IntervalGrid, eps: float
     return counts.select("idx", votes.alias("votes"), (votes / F.col("n") >= threshold).alias("update"))
 
 
+def voted_histogram(cl: DataFrame, entries: DataFrame, states: DataFrame, grid: IntervalGrid, symbols: list[str], eps_vote: float, eps_answer: float, threshold: float, key: Key) -> DataFrame:
+    """(idx, symbol, estimate, renewed): a histogram that is surveyed anew only where the vote asks for it, and always at the
+    first interval; in between the last answer is carried on, at no cost. states: (entry, idx, value)."""
+    votes = local_vote(cl, entries, grid, eps_vote, threshold, key).select("idx", (F.col("update") | (F.col("idx") == 0)).alias("renewed"))
+    asked = repeated_static(states.join(votes.where("renewed").select("idx"), "idx"), symbols, eps_answer, key)
+    names = states.sparkSession.createDataFrame([(s,) for s in symbols], "symbol string")
+    held = votes.crossJoin(names).join(asked, ["idx", "symbol"], "left")  # intervals times symbols
+    last = F.last("estimate", ignorenulls=True).over(Window.partitionBy("symbol").orderBy("idx").rowsBetween(Window.unboundedPreceding, 0))
+    return held.select("idx", "symbol", last.alias("estimate"), "renewed")
+
+
 def repeated_static(states: DataFrame, symbols: list[str], eps: float, key: Key) -> DataFrame:
     """states: (entry, idx, value). A fresh survey every interval: errors don't add up, budgets do. (idx, symbol, estimate)"""
     z = len(symbols)

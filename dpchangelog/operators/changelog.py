@@ -9,6 +9,8 @@ from __future__ import annotations
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
+from ..functions.intervals import IntervalGrid
+
 COLUMNS = ["entry", "ts", "seq", "kind", "before", "after"]
 
 
@@ -89,14 +91,21 @@ def snapshot_at(cl: DataFrame, t: int) -> DataFrame:
     return last.where("value is not null")
 
 
-def asof_join(times: DataFrame, cl: DataFrame) -> DataFrame:
-    """(entry, t, value) for each entry and each time of a small table (t), null where the entry isn't alive."""
-    entries = cl.select("entry").distinct().crossJoin(times.select("t"))
-    value = cl.schema["after"].dataType
-    asked = entries.select("entry", F.col("t").alias("ts"), F.lit((1 << 62)).cast("long").alias("seq"), F.lit(None).cast(value).alias("after"), F.lit(True).alias("ask"))
-    known = cl.select("entry", "ts", "seq", "after", F.lit(False).alias("ask")).unionByName(asked)
-    state = F.last(F.when(~F.col("ask"), F.struct("after")), ignorenulls=True).over(Window.partitionBy("entry").orderBy("ts", "seq").rowsBetween(Window.unboundedPreceding, 0))
-    return known.withColumn("s", state).where("ask").select("entry", F.col("ts").alias("t"), F.col("s.after").alias("value"))
+def states_at(cl: DataFrame, grid: IntervalGrid) -> DataFrame:
+    """(entry, idx, value): the state of each entry at the end of each interval, null where it isn't alive.
+
+    A version holds from its own time until the next one's, so it is copied to the ends in between; only mutations are shuffled
+    and sorted, not entries times intervals.
+    """
+    order = Window.partitionBy("entry").orderBy("ts", "seq")
+    v = cl.select("entry", "after", F.lag("ts").over(order).alias("earlier"), grid.position("ts").alias("i"), grid.position(F.lead("ts").over(order)).alias("j"))
+    last = F.least(F.coalesce(F.col("j"), F.lit(grid.n)), F.lit(grid.n)) - 1
+    empty = F.array().cast("array<bigint>")
+    run = lambda lo, hi: F.when(hi >= lo, F.sequence(lo, hi)).otherwise(empty)
+    held = F.transform(run(F.greatest(F.col("i"), F.lit(0)).cast("long"), last.cast("long")), lambda x: F.struct(x.alias("idx"), F.col("after").alias("value")))
+    none = F.lit(None).cast(cl.schema["after"].dataType)
+    early = F.when(F.col("earlier").isNull(), run(F.lit(0).cast("long"), (F.least(F.col("i"), F.lit(grid.n)) - 1).cast("long"))).otherwise(empty)
+    return v.select("entry", F.explode(F.concat(F.transform(early, lambda x: F.struct(x.alias("idx"), none.alias("value"))), held)).alias("s")).select("entry", "s.*")
 
 
 def chain_violations(cl: DataFrame) -> DataFrame:
@@ -112,7 +121,7 @@ def ordered(cl: DataFrame) -> DataFrame:
 
 def without_entry(cl: DataFrame, entry) -> DataFrame:
     """The neighbouring changelog: all of one entry's mutations are gone."""
-    return cl.where(F.col("entry") != entry)
+    return cl.where(~F.col("entry").eqNullSafe(F.lit(entry)))
 
 
 def with_entry(cl: DataFrame, mutations: DataFrame) -> DataFrame:

@@ -29,16 +29,19 @@ def enforce_k(cl: DataFrame, k: int) -> DataFrame:
     return cl.withColumn("_n", _rank()).where(F.col("_n") <= k).drop("_n")
 
 
+def _first() -> Column:
+    """Time of the entry's first mutation, by the order that rank and lag use: one shuffle for all, and no entry is buffered."""
+    return F.first("ts").over(Window.partitionBy("entry").orderBy("ts", "seq"))
+
+
 def enforce_b(cl: DataFrame, b: int) -> DataFrame:
-    """Mutations within b of their entry's first; the first times are a small aggregate joined back."""
-    first = cl.groupBy("entry").agg(F.min("ts").alias("_first"))
-    return cl.join(first, "entry").where(F.col("ts") <= F.col("_first") + b).drop("_first")
+    """Mutations within b of their entry's first."""
+    return cl.withColumn("_first", _first()).where(F.col("ts") <= F.col("_first") + b).drop("_first")
 
 
 def enforce_hybrid(cl: DataFrame, rules: dict[str, dict[str, int]], label: str = "constraint_id") -> DataFrame:
     """rules: label -> {"k": ...} or {"b": ...}. Entries of other labels are left out. One pass over each entry."""
-    entry = Window.partitionBy("entry")
-    out = cl.withColumn("_n", _rank()).withColumn("_first", F.min("ts").over(entry))
+    out = cl.withColumns({"_n": _rank(), "_first": _first()})
     keep = F.lit(False)
     for name, rule in rules.items():
         held = F.col("_n") <= rule["k"] if "k" in rule else F.col("ts") <= F.col("_first") + rule["b"]

@@ -18,17 +18,53 @@ def node_grid(spark, n: int, c: int, h: int) -> DataFrame:
     return layers.select("layer", F.explode(F.sequence(F.lit(0).cast("long"), F.col("size") - 1)).alias("idx"))
 
 
-def exact_nodes(base: DataFrame, n: int, c: int, h: int) -> DataFrame:
-    """base: (idx, exact) of base intervals, from the one scan of the data -> (layer, idx, exact), dense."""
-    rows = base.select(F.posexplode(F.array(*[F.floor(F.col("idx") / c**j).cast("long") for j in range(h)])).alias("layer", "node"), "exact")
-    sums = rows.groupBy("layer", F.col("node").alias("idx")).agg(F.sum("exact").alias("exact"))
-    return node_grid(base.sparkSession, n, c, h).join(sums, ["layer", "idx"], "left").withColumn("exact", F.coalesce("exact", F.lit(0)))
+def exact_nodes(base: DataFrame, n: int, c: int, h: int, domain: DataFrame | None = None) -> DataFrame:
+    """base: (idx, exact) of base intervals, from the one scan of the data -> (layer, idx, exact), dense. With a public domain
+    (groups, symbols or coordinates), base and result have its columns too."""
+    by = domain.columns if domain is not None else []
+    rows = base.select(F.posexplode(F.array(*[F.floor(F.col("idx") / c**j).cast("long") for j in range(h)])).alias("layer", "node"), *by, "exact")
+    sums = rows.groupBy("layer", F.col("node").alias("idx"), *by).agg(F.sum("exact").alias("exact"))
+    every = node_grid(base.sparkSession, n, c, h)
+    every = every.crossJoin(domain) if domain is not None else every  # nodes times a public domain, not data
+    return every.join(sums, ["layer", "idx", *by], "left").withColumn("exact", F.coalesce("exact", F.lit(0)))
+
+
+def published_nodes(nodes: DataFrame, l1: float, l2: float, noise: Noise | list[Noise], key: Key) -> DataFrame:
+    """(layer, idx, by..., noisy, eps, sigma2). noise: one, or one a layer, where layers have budgets of their own."""
+    by = [c for c in nodes.columns if c not in ("layer", "exact")]
+    if isinstance(noise, Noise):
+        return published(nodes, l1, l2, noise, key, "@layer", *by)
+    parts = [F.col("layer"), *[F.col(c) for c in by]]
+    pick = lambda values: F.element_at(F.array(*values), F.col("layer") + 1)
+    drawn = pick([x.draw(l1, l2, key, *parts) for x in noise])
+    return nodes.withColumns({"noisy": F.col("exact").cast("double") + drawn, "eps": pick([F.lit(float(x.eps)) for x in noise]), "sigma2": pick([F.lit(float(x.variance(l1, l2))) for x in noise])}).drop("exact")
+
+
+def hierarchy(cl: DataFrame, grid: IntervalGrid, c: int, h: int, query: linear.LinearQuery, noise: Noise | list[Noise], key: Key, domain: DataFrame | None = None, group: str | None = None, from_beginning: bool = False) -> DataFrame:
+    """(layer, idx, [group_key], noisy, eps, sigma2). Groups come from a public domain (group_key), never from the data.
+
+    from_beginning: the first base interval reaches back without bound, so a prefix is the state and not only its change. The
+    nodes over it then hold the state before the grid too; an entry touches no more nodes than before.
+    """
+    indexed = grid.assign(cl, from_beginning=from_beginning)
+    by: tuple[str, ...] = ("idx",)
+    if group:
+        indexed, by = indexed.withColumnRenamed(group, "group_key") if group != "group_key" else indexed, ("idx", "group_key")
+    return published_nodes(exact_nodes(linear.change(indexed, query, by), grid.n, c, h, domain), query.l1, query.l2, noise, key)
+
+
+def hierarchy_histogram(cl: DataFrame, grid: IntervalGrid, c: int, h: int, symbols: DataFrame, noise: Noise | list[Noise], key: Key, from_beginning: bool = False) -> DataFrame:
+    """(layer, idx, symbol, noisy, eps, sigma2): change of the histogram over each node; symbols is the public alphabet."""
+    base = linear.histogram_change(grid.assign(cl, from_beginning=from_beginning))
+    return published_nodes(exact_nodes(base, grid.n, c, h, symbols), linear.HISTOGRAM_L1, linear.HISTOGRAM_L2, noise, key)
 
 
-def hierarchy(cl: DataFrame, grid: IntervalGrid, c: int, h: int, query: linear.LinearQuery, noise: Noise, key: Key) -> DataFrame:
-    """(layer, idx, noisy, eps, sigma2)."""
-    nodes = exact_nodes(linear.change(grid.assign(cl), query), grid.n, c, h)
-    return published(nodes, query.l1, query.l2, noise, key, "@layer", "idx")
+def hierarchy_vector(cl: DataFrame, grid: IntervalGrid, c: int, h: int, width: int, clip_l2: float, noise: Noise | list[Noise], key: Key, from_beginning: bool = False) -> DataFrame:
+    """(layer, idx, coord, noisy, eps, sigma2) of sums of vectors clipped to a length. A change moves a sum by twice the clip."""
+    coords = cl.sparkSession.range(width).select(F.col("id").cast("int").alias("coord"))
+    base = linear.vector_change(grid.assign(cl, from_beginning=from_beginning), width, clip_l2)
+    l2 = 2 * clip_l2
+    return published_nodes(exact_nodes(base, grid.n, c, h, coords), l2 * width**0.5, l2, noise, key)
 
 
 def released_by(nodes: DataFrame, grid: IntervalGrid, c: int, now: int) -> DataFrame:
@@ -65,14 +101,15 @@ def cover_df(ranges: DataFrame, c: int, h: int) -> DataFrame:
 
 
 def range_query(nodes: DataFrame, ranges: DataFrame, c: int, h: int) -> DataFrame:
-    """(range_id, estimate, n_nodes, var): an equi-join of covers with nodes."""
-    return cover_df(ranges, c, h).join(nodes, ["layer", "idx"]).groupBy("range_id").agg(F.sum("noisy").alias("estimate"), F.count("*").alias("n_nodes"), F.sum("sigma2").alias("var"))
+    """(range_id, [by...], estimate, n_nodes, var): an equi-join of covers with nodes; by: group, symbol or coordinate of nodes."""
+    by = [x for x in nodes.columns if x not in ("layer", "idx", "noisy", "eps", "sigma2")]
+    return cover_df(ranges, c, h).join(nodes, ["layer", "idx"]).groupBy("range_id", *by).agg(F.sum("noisy").alias("estimate"), F.count("*").alias("n_nodes"), F.sum("sigma2").alias("var"))
 
 
 def prefix_series(nodes: DataFrame, n: int, c: int, h: int) -> DataFrame:
-    """(idx, estimate, var): the total over (0, idx + 1] for every base interval; few nodes each."""
+    """(idx, [by...], estimate, var): the total over (0, idx + 1] for every base interval; few nodes each."""
     prefixes = nodes.sparkSession.range(n).select(F.col("id").alias("range_id"), F.lit(0).cast("long").alias("l"), (F.col("id") + 1).alias("r"))
-    return range_query(nodes, prefixes, c, h).select(F.col("range_id").alias("idx"), "estimate", "var")
+    return range_query(nodes, prefixes, c, h).withColumnRenamed("range_id", "idx").drop("n_nodes")
 
 
 def make_consistent(nodes: DataFrame, n: int, c: int, h: int) -> DataFrame:

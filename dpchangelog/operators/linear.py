@@ -6,9 +6,11 @@ import math
 from collections.abc import Callable
 from dataclasses import dataclass
 
-from pyspark.sql import Column, DataFrame
+from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
+from ..functions.noise import Key, laplace
+
 
 @dataclass(frozen=True)
 class LinearQuery:
@@ -76,7 +78,8 @@ HISTOGRAM_L1, HISTOGRAM_L2 = 2.0, math.sqrt(2)
 
 
 def vector_change(indexed: DataFrame, width: int, clip_l2: float, by=("idx",)) -> DataFrame:
-    """(by..., coord, exact): sums of arrays clipped to a length, a coordinate a row."""
+    """(by..., coord, exact): sums of arrays clipped to a length, a coordinate a row. A coordinate at or beyond width is an error:
+    leaving it out would answer another question in silence."""
 
     def coords(c, sign):
         v = F.col(c)
@@ -86,7 +89,8 @@ def vector_change(indexed: DataFrame, width: int, clip_l2: float, by=("idx",)) -
 
     none = F.array().cast("array<struct<coord:int,x:double>>")
     rows = indexed.select(*by, F.explode(F.concat(F.coalesce(coords("after", 1), none), F.coalesce(coords("before", -1), none))).alias("e"))
-    return rows.where(F.col("e.coord") < width).groupBy(*by, F.col("e.coord").alias("coord")).agg(F.sum("e.x").alias("exact"))
+    inside = F.when(F.col("e.coord") < width, True).otherwise(F.raise_error(F.lit(f"a vector is longer than {width}")).cast("boolean"))
+    return rows.where(inside).groupBy(*by, F.col("e.coord").alias("coord")).agg(F.sum("e.x").alias("exact"))
 
 
 def combine(parts: DataFrame, value: str, by=()) -> DataFrame:
@@ -122,3 +126,21 @@ def choose_clip(history: DataFrame, value: str, grid: list[float], share: float)
     """Smallest bound of a public grid that leaves so large a share unclipped. Not private: for studies only."""
     q = history.agg(F.percentile_approx(F.col(value).cast("double"), share)).first()[0] or 0.0
     return next((g for g in sorted(grid) if g >= q), max(grid))
+
+
+def choose_clip_private(history: DataFrame, value: str, grid: list[float], share: float, eps: float, key: Key) -> DataFrame:
+    """(clip, noisy, chosen): the smallest bound of a public grid below which lies, by noisy counts, so large a share.
+
+    One row of history an entry (or a sensitivity of one row is claimed): each falls in one cell, so the histogram costs eps.
+    """
+    bounds = sorted(grid)
+    cell = F.coalesce(sum((F.when(F.col(value) > b, 1).otherwise(0) for b in bounds), F.lit(0)), F.lit(0))
+    counts = history.groupBy(F.least(cell, F.lit(len(bounds))).cast("int").alias("cell")).agg(F.count("*").alias("n"))
+    cells = history.sparkSession.range(len(bounds) + 1).select(F.col("id").cast("int").alias("cell")).join(counts, "cell", "left")
+    noisy = cells.select("cell", (F.coalesce("n", F.lit(0)) + laplace(1 / eps, key, F.col("cell"))).alias("x"))
+    w = Window.partitionBy()  # over len(grid) + 1 rows
+    sums = noisy.select("cell", F.sum("x").over(w.orderBy("cell").rowsBetween(Window.unboundedPreceding, 0)).alias("noisy"), F.sum("x").over(w).alias("all"))
+    good = sums.withColumn("good", F.col("noisy") >= share * F.col("all"))
+    first = F.coalesce(F.min(F.when(F.col("good"), F.col("cell"))).over(w), F.lit(len(bounds) - 1))
+    clip = F.element_at(F.array(*[F.lit(float(b)) for b in bounds]), F.col("cell") + 1)
+    return good.withColumn("first", F.least(first, F.lit(len(bounds) - 1))).where(F.col("cell") < len(bounds)).select(clip.alias("clip"), "noisy", (F.col("cell") == F.col("first")).alias("chosen"))

@@ -9,9 +9,10 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from ..functions.intervals import IntervalGrid
-from ..functions.noise import Key, laplace
+from ..functions.noise import Key, Noise
 from ..plans.accounting import cover_bound, folds_sliding_b, folds_sliding_k, folds_tree_b, folds_tree_k, height_for
 from ..plans.planner import worst_cover
+from .hierarchy import cover_df
 from .responses import ResponseMatrix, change_matrix, optimal_matrix, pair_size
 from .sliding import SlidingSpec
 
@@ -62,11 +63,22 @@ def matched_ratio(w: int, p: int, c: int, h: int | None = None, k: int | None =
     return {"tree_bound": 2 * (c - 1) * h * (t / d) ** 2, "tree_exact": worst_cover(n, c, h) * (t / d) ** 2, "flat": n * (f / d) ** 2}
 
 
-def monte_carlo(exact: DataFrame, scale: float, runs: int, key: Key) -> DataFrame:
-    """(idx, bias, var): mean and variance of the error of Laplace answers over many keys; the data aren't scanned again."""
-    draws = exact.crossJoin(exact.sparkSession.range(runs).select(F.col("id").alias("run")))
-    error = laplace(scale, key, "0", F.col("idx"), F.col("run"))
-    return draws.select("idx", error.alias("e")).groupBy("idx").agg(F.avg("e").alias("bias"), F.var_samp("e").alias("var"))
+def monte_carlo(exact: DataFrame, noise: Noise, l1: float, l2: float, runs: int, key: Key, layer: str = "0") -> DataFrame:
+    """(idx, bias, var): mean and variance of answer less truth, over releases that differ in their key only: run r is released
+    under the key's release name and "/r". The data aren't scanned again."""
+    draws = exact.crossJoin(exact.sparkSession.range(runs).select(F.col("id").alias("run")))  # intervals times runs
+    noisy = F.col("exact").cast("double") + noise.draw(l1, l2, key, layer, F.col("idx"), F.col("run"))
+    return draws.select("idx", (noisy - F.col("exact")).alias("e")).groupBy("idx").agg(F.avg("e").alias("bias"), F.var_samp("e").alias("var"))
+
+
+def cover_monte_carlo(nodes: DataFrame, ranges: DataFrame, c: int, h: int, noise: Noise, l1: float, l2: float, runs: int, key: Key, layer: str | None = None) -> DataFrame:
+    """(idx, bias, var) of range answers from a tree over many keys; nodes: (layer, idx, exact); ranges: (range_id, l, r);
+    layer: a name that stands for the layer in the draws."""
+    held = cover_df(ranges, c, h).join(nodes, ["layer", "idx"])
+    draws = held.crossJoin(nodes.sparkSession.range(runs).select(F.col("id").alias("run")))
+    noisy = F.col("exact").cast("double") + noise.draw(l1, l2, key, F.col("layer") if layer is None else layer, F.col("idx"), F.col("run"))
+    per = draws.groupBy("range_id", "run").agg(F.sum(noisy - F.col("exact")).alias("e"))
+    return per.groupBy(F.col("range_id").alias("idx")).agg(F.avg("e").alias("bias"), F.var_samp("e").alias("var"))
 
 
 def errors(joined: DataFrame, noisy: str = "noisy", exact: str = "exact") -> DataFrame:
@@ -91,6 +103,20 @@ def change_covariance(counts, z: int, eps: float, compact: bool = False) -> np.n
     return a @ (np.diag(o) - np.outer(o, o) / o.sum()) @ a.T
 
 
+def plug_in_covariance(counts: DataFrame, symbols: list[str], eps: float, by: tuple[str, ...] = ("idx",)) -> DataFrame:
+    """(by..., one, other, cov): the same for all pairs of symbols and all intervals at once, from answer counts alone. The rows
+    of the change matrix add up to 0, so A is the change matrix over p - q."""
+    z = len(symbols)
+    p, q = optimal_matrix(pair_size(z), eps)
+    m = change_matrix(z)
+    case = lambda row: F.expr("case " + " ".join(f"when out_code = {k} then {int(v)}L" for k, v in enumerate(row) if v) + " else 0L end")
+    pairs = [(i, j) for i in range(z) for j in range(z)]
+    sums = counts.groupBy(*by).agg(F.sum("n").alias("total"), *[F.sum(case(m[i]) * F.col("n")).alias(f"a{i}") for i in range(z)], *[F.sum(case(m[i] * m[j]) * F.col("n")).alias(f"b{i}_{j}") for i, j in pairs])
+    cov = lambda i, j: (F.col(f"b{i}_{j}") - F.col(f"a{i}") * F.col(f"a{j}") / F.col("total")) / (p - q) ** 2
+    rows = F.array(*[F.struct(F.lit(symbols[i]).alias("one"), F.lit(symbols[j]).alias("other"), cov(i, j).alias("cov")) for i, j in pairs])
+    return sums.select(*by, F.explode(rows).alias("r")).select(*by, "r.one", "r.other", "r.cov")
+
+
 def change_variance(entries: float, touching: float, z: int, eps: float, compact: bool = False) -> float:
     """Exact variance of one symbol's estimate: entries reports, of which touching change that symbol."""
     p, q = optimal_matrix(pair_size(z, compact), eps)

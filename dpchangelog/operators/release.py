@@ -52,6 +52,6 @@ def heterogeneous(cl: DataFrame, grid: IntervalGrid, mechanisms: list[tuple[str,
     base = grid.df(cl.sparkSession).select("idx").join(sums, "idx", "left")
     rows = []
     for name, q, noise in mechanisms:
-        noisy = F.coalesce(F.col(name), F.lit(0.0)) + noise.draw(q.l1, q.l2, Key(key.name, f"{key.release}/{name}", key.secret), "0", F.col("idx"))
+        noisy = F.coalesce(F.col(name), F.lit(0.0)) + noise.draw(q.l1, q.l2, key.of(f"{key.release}/{name}"), "0", F.col("idx"))
         rows.append(F.struct(F.lit(name).alias("mechanism"), noisy.alias("noisy"), F.lit(float(noise.eps)).alias("eps"), F.lit(noise.variance(q.l1, q.l2)).alias("sigma2")))
     return base.select("idx", F.explode(F.array(*rows)).alias("m")).select("m.mechanism", "idx", "m.noisy", "m.eps", "m.sigma2")

@@ -16,6 +16,8 @@ from pyspark.sql import functions as F
 from ..functions.intervals import IntervalGrid
 from ..functions.noise import Key, uniform
 from . import changelog
+from .hierarchy import cover_df
+from .local import dense_rows, interval_keys, node_keys
 
 
 def optimal_matrix(z: int, eps: float) -> tuple[float, float]:
@@ -48,7 +50,9 @@ class ResponseMatrix:
             return float(np.nanmax(logs.max(1) - logs.min(1)))
 
     def respond(self, code: Column, key: Key, *parts) -> Column:
-        """Inverse-CDF draw of an answer code, within whole-stage code."""
+        """Inverse-CDF draw of an answer code, within whole-stage code. A null code answers for a symbol drawn at random: a mixture
+        of the columns, so it is as private as they are, and every row gives an answer."""
+        code = F.coalesce(code, F.floor(uniform(key, *parts, salt="f") * len(self.p)).cast("int"))
         u, cumulative = uniform(key, *parts), np.cumsum(self.p, 0)
         out = F.lit(None).cast("int")
         for truth in range(len(self.p)):
@@ -66,10 +70,14 @@ class ResponseMatrix:
 
 
 def respond(code: Column, z: int, eps: float, key: Key, *parts) -> Column:
-    """Optimal response: the truth with probability p - q, else uniform over all z answers."""
+    """Optimal response: the truth with probability p - q, else uniform over all z answers.
+
+    A null code (null, or a value outside the alphabet) is always uniform, which is what a random symbol would answer: no answer
+    gives the absence away, N answers come from N rows, and an estimate counts such a row as 1 / z of each symbol.
+    """
     p, q = optimal_matrix(z, eps)
     other = F.floor(uniform(key, *parts, salt="b") * z).cast("int")
-    return F.when(uniform(key, *parts) < p - q, code.cast("int")).otherwise(other)
+    return F.when(code.isNotNull() & (uniform(key, *parts) < p - q), code.cast("int")).otherwise(other)
 
 
 def code_of(c: str, symbols: list[str]) -> Column:
@@ -123,8 +131,7 @@ def change_matrix(z: int, compact: bool = False) -> np.ndarray:
 def dense_pairs(cl: DataFrame, entries: DataFrame, grid: IntervalGrid, symbols: list[str]) -> DataFrame:
     """(entry, idx, b, a) for every entry and interval; an entry without a change reports too (null, null)."""
     net = changelog.net_change(grid.assign(cl)).select("entry", "idx", code_of("before", symbols).alias("b"), code_of("after", symbols).alias("a"))
-    every = entries.select("entry").crossJoin(grid.df(cl.sparkSession).select("idx"))
-    return every.join(net, ["entry", "idx"], "left")
+    return dense_rows(entries, net, interval_keys(grid.n), ["idx"], ["b", "a"])
 
 
 def mutation_counts(cl: DataFrame, entries: DataFrame, grid: IntervalGrid, symbols: list[str], eps: float, key: Key, compact: bool = False) -> DataFrame:
@@ -135,17 +142,19 @@ def mutation_counts(cl: DataFrame, entries: DataFrame, grid: IntervalGrid, symbo
     return reports.groupBy("idx", "out_code").agg(F.count("*").alias("n"))
 
 
-def estimate_change(counts: DataFrame, symbols: list[str], eps: float, compact: bool = False, by: tuple[str, ...] = ("idx",)) -> DataFrame:
-    """(by..., symbol, estimate): (reports that end in the symbol - reports that start there) / (p - q).
+def estimate_change(counts: DataFrame, symbols: list[str], eps: float, compact: bool = False, by: tuple[str, ...] = ("idx",), with_var: bool = False) -> DataFrame:
+    """(by..., symbol, estimate, [var]): (reports that end in the symbol - reports that start there) / (p - q).
 
-    The rows of the change matrix add up to 0, so the inverse matrix comes down to this; reports (r, r) cancel.
+    The rows of the change matrix add up to 0, so the inverse matrix comes down to this; reports (r, r) cancel. var: the most
+    that the estimate's variance can be for that many reports.
     """
     z = len(symbols)
     p, q = optimal_matrix(pair_size(z, compact), eps)
     matrix = change_matrix(z, compact)
-    sums = counts.groupBy(*by).agg(*[F.sum(F.expr("case " + " ".join(f"when out_code = {k} then {'n' if v > 0 else '-n'}" for k, v in enumerate(row) if v) + " else 0 end")).alias(f"s{i}") for i, row in enumerate(matrix)])
+    sums = counts.groupBy(*by).agg(F.sum("n").alias("reports"), *[F.sum(F.expr("case " + " ".join(f"when out_code = {k} then {'n' if v > 0 else '-n'}" for k, v in enumerate(row) if v) + " else 0 end")).alias(f"s{i}") for i, row in enumerate(matrix)])
     pairs = F.array(*[F.struct(F.lit(s).alias("symbol"), (F.col(f"s{i}") / (p - q)).alias("estimate")) for i, s in enumerate(symbols)])
-    return sums.select(*by, F.explode(pairs).alias("e")).select(*by, "e.symbol", "e.estimate")
+    var = [(F.col("reports") * worst_variance(z, eps, compact)).alias("var")] if with_var else []
+    return sums.select(*by, F.explode(pairs).alias("e"), *var).select(*by, "e.symbol", "e.estimate", *(["var"] if with_var else []))
 
 
 def estimate_change_by_matrix(counts, z: int, eps: float, compact: bool = False) -> np.ndarray:
@@ -159,15 +168,38 @@ def continual_histogram(changes: DataFrame) -> DataFrame:
     return changes.select("idx", "symbol", F.sum("estimate").over(w).alias("estimate"))
 
 
+def tree_counts(cl: DataFrame, entries: DataFrame, grid: IntervalGrid, symbols: list[str], c: int, h: int, eps: float, key: Key) -> DataFrame:
+    """(layer, idx, out_code, n): a survey at each node about the net change over that node's own interval. All layers come from
+    one scan and one shuffle of net changes."""
+    nodes = F.posexplode(F.array(*[F.floor(F.col("idx") / c**j).cast("long") for j in range(h)])).alias("layer", "node")
+    rows = grid.assign(cl).select("entry", "ts", "seq", "before", "after", nodes).withColumnRenamed("node", "idx")
+    net = changelog.net_change(rows, ("layer", "idx")).select("entry", "layer", "idx", code_of("before", symbols).alias("b"), code_of("after", symbols).alias("a"))
+    every = dense_rows(entries, net, node_keys(grid.n, c, h), ["layer", "idx"], ["b", "a"])
+    z = len(symbols)
+    out = respond(pair_code(F.col("b"), F.col("a"), z), pair_size(z), eps, key, F.col("layer"), F.col("entry"), F.col("idx")).alias("out_code")
+    return every.select("layer", "idx", out).groupBy("layer", "idx", "out_code").agg(F.count("*").alias("n"))
+
+
 def tree_reports(cl: DataFrame, entries: DataFrame, grid: IntervalGrid, symbols: list[str], c: int, h: int, eps: float, key: Key) -> DataFrame:
-    """(layer, idx, symbol, estimate): a survey at each node about the net change over that node's own interval."""
-    out = None
-    for j in range(h):
-        layer = IntervalGrid.regular(grid.start, grid.width * c**j, -(-grid.n // c**j))
-        counts = mutation_counts(cl, entries, layer, symbols, eps, Key(key.name, f"{key.release}/{j}", key.secret))
-        part = estimate_change(counts, symbols, eps).withColumn("layer", F.lit(j))
-        out = part if out is None else out.unionByName(part)
-    return out.select("layer", "idx", "symbol", "estimate")
+    """(layer, idx, symbol, estimate, var): estimated change of each symbol over each node, and the most its variance can be."""
+    counts = tree_counts(cl, entries, grid, symbols, c, h, eps, key)
+    return estimate_change(counts, symbols, eps, by=("layer", "idx"), with_var=True)
+
+
+def worst_variance(z: int, eps: float, compact: bool = False) -> float:
+    """Most that one report adds to the variance of a symbol's estimated change: that of a report whose pair touches the symbol."""
+    p, q = optimal_matrix(pair_size(z, compact), eps)
+    gap = p - q
+    return (2 * z * q + max(0.0, gap - gap * gap)) / gap**2
+
+
+def prefix_histogram(nodes: DataFrame, n: int, c: int, h: int) -> DataFrame:
+    """(idx, symbol, estimate, n_nodes, var): the histogram after every interval from the nodes that cover its prefix, so the
+    variance grows with the logarithm of the time; nodes: tree_reports."""
+    spark = nodes.sparkSession
+    prefixes = spark.range(n).select(F.col("id").alias("range_id"), F.lit(0).cast("long").alias("l"), (F.col("id") + 1).alias("r"))
+    met = cover_df(prefixes, c, h).join(nodes, ["layer", "idx"])
+    return met.groupBy(F.col("range_id").alias("idx"), "symbol").agg(F.sum("estimate").alias("estimate"), F.count("*").alias("n_nodes"), F.sum("var").alias("var"))
 
 
 def project(histogram: DataFrame, total: float, by: tuple[str, ...] = ("idx",)) -> DataFrame:

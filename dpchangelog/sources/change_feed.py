@@ -3,13 +3,13 @@
     spark.dataSource.register(ChangeFeed)
     spark.read.format("change_feed").option("path", folder).load()
 
-For plain folders that Python can open on every executor; other stores go through Spark's json reader with SCHEMA.
+For folders of any store that pyarrow opens by its address (file, hdfs, s3, gs); others go through Spark's json reader with
+SCHEMA. A folder without a scheme must be one that every executor sees.
 """
 
 from __future__ import annotations
 
 import json
-import os
 
 from pyspark.sql.datasource import DataSource, DataSourceReader, InputPartition
 
@@ -21,16 +21,29 @@ class FeedFile(InputPartition):
         self.path = path
 
 
+def _open(path: str):
+    """(file system, path there)."""
+    from pyarrow import fs
+
+    return fs.FileSystem.from_uri(path) if "://" in path or path.startswith("file:") else (fs.LocalFileSystem(), path)
+
+
 class FeedReader(DataSourceReader):
     def __init__(self, path: str):
-        self.path = path.removeprefix("file://")
+        self.path = path
 
     def partitions(self):
-        return [FeedFile(os.path.join(self.path, f)) for f in sorted(os.listdir(self.path)) if f.endswith((".json", ".jsonl"))]
+        from pyarrow import fs
+
+        store, at = _open(self.path)
+        return [FeedFile(f.path) for f in sorted(store.get_file_info(fs.FileSelector(at)), key=lambda f: f.path) if f.path.endswith((".json", ".jsonl"))]
 
     def read(self, partition):
-        with open(partition.path, encoding="utf-8") as f:
-            for line in f:
+        import io
+
+        store, _ = _open(self.path)
+        with store.open_input_stream(partition.path) as f:
+            for line in io.TextIOWrapper(f, encoding="utf-8"):
                 if line.strip():
                     m = json.loads(line)
                     yield m["entry"], m["ts"], m.get("seq", 0), m.get("kind"), m.get("before"), m.get("after")

@@ -5,6 +5,10 @@ from __future__ import annotations
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
+from ..functions.intervals import DAY, DAY_COLUMN
+
+DAY_PARTS = 16
+
 
 def table(spark: SparkSession, folder: str, name: str) -> DataFrame:
     return spark.read.parquet(f"{folder}/{name}.parquet")
@@ -27,9 +31,10 @@ def snapshot_series(spark: SparkSession, folders: dict[int, str], fmt: str = "pa
 
 
 def write_changelog(cl: DataFrame, path: str, mode: str = "errorifexists") -> None:
-    """Partitioned by day and sorted, so a scan of a time range prunes folders and row groups."""
-    day = F.floor(F.col("ts") / 86_400_000_000).cast("long")
-    cl.withColumn("day", day).repartition("day", F.pmod(F.xxhash64("entry"), F.lit(16))).sortWithinPartitions("day", "ts", "entry").write.partitionBy("day").mode(mode).parquet(path)
+    """Partitioned by day (DAY_COLUMN) and sorted, so a scan of a time range prunes folders and row groups. A day is dealt to
+    `DAY_PARTS` tasks, so that no task writes a whole day."""
+    day = F.floor(F.col("ts") / DAY).cast("long")
+    cl.withColumn(DAY_COLUMN, day).repartition(DAY_COLUMN, F.pmod(F.xxhash64("entry"), F.lit(DAY_PARTS))).sortWithinPartitions(DAY_COLUMN, "ts", "entry").write.partitionBy(DAY_COLUMN).mode(mode).parquet(path)
 
 
 def save_bucketed(cl: DataFrame, name: str, buckets: int) -> None:

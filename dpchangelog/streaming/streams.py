@@ -36,6 +36,11 @@ def interval_join_stream(left: DataFrame, right: DataFrame, key: str, left_ts: s
     return a.join(b, on)
 
 
+def enrich_stream(rows: DataFrame, static: DataFrame, key: str) -> DataFrame:
+    """Stream rows with the columns of a static table, read anew in every micro-batch; no state. Rows without a match are kept."""
+    return rows.join(static, key, "left")
+
+
 def changelog_stream(rows: DataFrame, k: int | None = None, b: int | None = None) -> DataFrame:
     """rows: (entry long, ts long, seq long, value string) -> mutations (entry, ts, seq, before, after), no-ops dropped.
 

@@ -13,8 +13,8 @@ from dpchangelog.functions.intervals import DAY, IntervalGrid, interval_span
 from dpchangelog.operators import changelog, constraints, hierarchy, linear, metrics, release, responses, sliding
 from dpchangelog.operators.sliding import SlidingSpec
 from dpchangelog.plans import accounting as A
-from dpchangelog.plans.ledger import Ledger, Overspent
-from dpchangelog.plans.planner import choose_sliding_plan, cover, worst_cover
+from dpchangelog.plans.ledger import Busy, Ledger, Overspent
+from dpchangelog.plans.planner import choose_sliding_plan, cover, fanout_sweep, worst_cover
 
 SCHEMA = "entry long, ts long, seq long, kind string, before string, after string"
 
@@ -129,7 +129,7 @@ def test_gaussian_calibrations():
 @pytest.mark.parametrize("kind", ["laplace", "geometric", "gaussian"])
 def test_noise_has_its_variance_and_repeats(spark, kind):
     n = noise.Noise(kind, 0.5, 1e-6)
-    k = noise.Key("test", "v" + kind)
+    k = noise.Key("test", "v" + kind, public=True)
     df = spark.range(20000).select(n.draw(1, 1, k, "0", F.col("id")).alias("x"))
     a = np.array([r.x for r in df.collect()])
     assert a.var() == pytest.approx(n.variance(1, 1), rel=0.1) and abs(a.mean()) < 4 * math.sqrt(n.variance(1, 1) / 20000)
@@ -139,10 +139,28 @@ def test_noise_has_its_variance_and_repeats(spark, kind):
 def test_secret_noise_differs_from_the_public_key(spark):
     k = noise.Key("test", "s", b"secret")
     a = spark.range(5).select(noise.laplace(1.0, k, F.col("id")).alias("x")).collect()
-    b = spark.range(5).select(noise.laplace(1.0, noise.Key("test", "s"), F.col("id")).alias("x")).collect()
+    b = spark.range(5).select(noise.laplace(1.0, noise.Key("test", "s", public=True), F.col("id")).alias("x")).collect()
     assert a != b
 
 
+def test_keys_are_secret_or_said_to_be_public():
+    with pytest.raises(ValueError):
+        noise.Key("test", "s")
+    with pytest.raises(ValueError):
+        noise.Key("test", "s", b"secret", public=True)
+
+
+def test_secret_draws_are_hmac(spark):
+    import hashlib
+    import hmac
+
+    k = noise.Key("name", "rel", b"a secret that is longer than one block of the hash function, which is sixty-four bytes")
+    own = hmac.new(k.secret, b"name|rel", hashlib.sha256).digest()
+    for r in spark.range(20).select("id", noise.uniform(k, "0", F.col("id")).alias("u")).collect():
+        digest = hmac.new(own, f"name|rel|0|{r.id}|".encode(), hashlib.sha256).hexdigest()
+        assert r.u == (int(digest[:13], 16) + 0.5) / 2**52
+
+
 def test_boundaries_belong_to_the_interval_they_end(spark):
     g = IntervalGrid.regular(0, 10, 3)
     out = g.assign(spark.createDataFrame([(t,) for t in (0, 1, 10, 11, 30, 31)], "ts long"))
@@ -155,9 +173,9 @@ def test_boundaries_belong_to_the_interval_they_end(spark):
 def test_empty_changelog_still_answers(spark):
     empty = spark.createDataFrame([], SCHEMA)
     g, q = IntervalGrid.regular(0, 10, 4), linear.count_if(lambda v: v == "a")
-    assert release.disjoint(empty, g, q, noise.OFF, noise.Key()).count() == 4
-    assert hierarchy.hierarchy(empty, g, 2, 3, q, noise.OFF, noise.Key()).count() == 7
-    assert sliding.direct(empty, SlidingSpec(10, 10, 5, 3), q, noise.OFF, noise.Key()).count() == 3
+    assert release.disjoint(empty, g, q, noise.OFF, noise.Key("t", "r", public=True)).count() == 4
+    assert hierarchy.hierarchy(empty, g, 2, 3, q, noise.OFF, noise.Key("t", "r", public=True)).count() == 7
+    assert sliding.direct(empty, SlidingSpec(10, 10, 5, 3), q, noise.OFF, noise.Key("t", "r", public=True)).count() == 3
 
 
 def test_all_sliding_plans_agree_without_noise(spark):
@@ -168,13 +186,13 @@ def test_all_sliding_plans_agree_without_noise(spark):
         direct = {r.idx: r.exact for r in sliding.direct_exact(cl, s, q).collect()}
         want = {i: sum((a == "a") - (b == "a") for _, t, b, a in rows if i * p < t <= i * p + w) for i in range(8)}
         assert direct == want
-        assert {r.idx: r.estimate for r in sliding.from_hierarchy(cl, s, q, noise.OFF, noise.Key(), 2).collect()} == want
-        assert {r.idx: r.estimate for r in sliding.from_flat(cl, s, q, noise.OFF, noise.Key()).collect()} == want
+        assert {r.idx: r.estimate for r in sliding.from_hierarchy(cl, s, q, noise.OFF, noise.Key("t", "r", public=True), 2).collect()} == want
+        assert {r.idx: r.estimate for r in sliding.from_flat(cl, s, q, noise.OFF, noise.Key("t", "r", public=True)).collect()} == want
 
 
 def test_consistency_makes_parents_sums_of_children(spark):
     cl = log(spark, [(i, i + 1, None, "a") for i in range(16)])
-    nodes = hierarchy.hierarchy(cl, IntervalGrid.regular(0, 1, 16), 2, 5, linear.count_if(lambda v: v == "a"), noise.Noise("laplace", 0.2), noise.Key("test", "c"))
+    nodes = hierarchy.hierarchy(cl, IntervalGrid.regular(0, 1, 16), 2, 5, linear.count_if(lambda v: v == "a"), noise.Noise("laplace", 0.2), noise.Key("test", "c", public=True))
     u = {(r.layer, r.idx): r.consistent for r in hierarchy.make_consistent(nodes, 16, 2, 5).collect()}
     assert len(u) == 31
     assert all(u[j, i] == pytest.approx(u[j - 1, 2 * i] + u[j - 1, 2 * i + 1]) for j, i in u if j)
@@ -253,6 +271,17 @@ def test_ledger(spark, tmp_path):
     with pytest.raises(Overspent):
         book.charge("two", 3, A.Budget(0.25))
     assert book.remaining().eps == pytest.approx(0.5)
+    # One writer at a time: a second one is refused while the lock is there.
+    (tmp_path / "book/_lock").touch()
+    with pytest.raises(Busy):
+        book.charge("three", 1, A.Budget(0.1))
+    book.unlock()
+    cl = log(spark, [(1, 5, None, "a")])
+    q = linear.count_if(lambda v: v == "a")
+    out = book.release("four", 1, noise.Noise("laplace", 0.5), lambda n: release.disjoint(cl, IntervalGrid.regular(0, 10, 2), q, n, noise.Key("t", "four", b"x")), str(tmp_path / "out"))
+    assert out.count() == 2 and book.remaining().eps == pytest.approx(0)
+    with pytest.raises(Overspent):
+        book.release("five", 1, noise.Noise("laplace", 0.1), lambda n: 1 / 0, str(tmp_path / "out"))
 
 
 def test_sql_functions_and_tables(spark):
@@ -262,7 +291,7 @@ def test_sql_functions_and_tables(spark):
     assert spark.sql("select interval_idx(10, 0, 10) a, interval_idx(11, 0, 10) b, interval_idx(0, 0, 10) c").first() == (0, 1, -1)
     assert sorted(map(tuple, spark.sql("select layer, idx from cover_nodes(5, 17, 2, 5)").collect())) == sorted(cover(5, 17, 2, 5))
     assert spark.sql("select * from tree_nodes(5, 2, 3)").count() == 5 + 3 + 2
-    want = spark.range(1).select(noise.laplace(2.0, noise.Key("test", "q"), F.lit(3)).alias("x")).first().x
+    want = spark.range(1).select(noise.laplace(2.0, noise.Key("test", "q", public=True), F.lit(3)).alias("x")).first().x
     assert spark.sql("select lap_noise(concat_ws('|', 'test', 'q', 3, ''), 2.0D) as x").first().x == pytest.approx(want)
 
 
@@ -280,7 +309,7 @@ def test_change_feed_source_and_sinks(spark, tmp_path):
     assert [tuple(r) for r in cl.orderBy("ts").collect()] == [(1, 5, 0, "insert", None, "a"), (1, 9, 2, "update", "a", "b")]
     tables.write_changelog(cl, str(tmp_path / "log"))
     assert tables.read(spark, str(tmp_path / "log")).count() == 2
-    r = release.disjoint(cl, IntervalGrid.regular(0, 10, 2), linear.count_if(lambda v: v == "b"), noise.OFF, noise.Key())
+    r = release.disjoint(cl, IntervalGrid.regular(0, 10, 2), linear.count_if(lambda v: v == "b"), noise.OFF, noise.Key("t", "r", public=True))
     tables.write_release(r, str(tmp_path / "out"), release_id="one")
     with pytest.raises(Exception):
         tables.write_release(r, str(tmp_path / "out"), release_id="one")
@@ -309,3 +338,157 @@ def test_neighbours_and_separating_queries(spark):
     g = IntervalGrid.regular(0, 10, 3)
     assert [r.idx for r in local.separating_queries(cl, g, 1, 2).collect()] == [1]
     assert sorted(r.idx for r in local.separating_queries(cl, g, 1, 3).collect()) == [0, 2]
+
+
+def test_wider_searches_never_give_more_variance():
+    for w in (90, 4096, 4097, 8760, 20160):
+        found = [choose_sliding_plan(w, 1, 1.0, k=1, fanouts=range(2, c)).worst_variance for c in (3, 9, 33, 65)]
+        assert found == sorted(found, reverse=True)
+    assert choose_sliding_plan(8760, 1, 1.0, k=1).worst_variance / 2 <= 1280
+    assert choose_sliding_plan(4097, 1, 1.0, k=1).kind == "tree"
+
+
+def test_sweep_counts_prefix_covers():
+    for c, h, nodes, _ in fanout_sweep(50, range(2, 8)):
+        assert nodes == max(len(cover(0, r, c, h)) for r in range(1, 51))
+
+
+@pytest.mark.parametrize("grid", [IntervalGrid.regular(0, 10, 5), IntervalGrid.explicit([3, 4, 20, 50])])
+def test_states_at_interval_ends(spark, grid):
+    rows = [(1, -5, None, "a"), (1, 10, "a", "b"), (1, 11, "b", "c"), (1, 44, "c", None), (2, 7, None, "x"), (2, 7, "x", "y"), (3, 99, None, "z")]
+    cl = spark.createDataFrame([(e, t, n, "update", b, a) for n, (e, t, b, a) in enumerate(rows)], SCHEMA)
+    got = {(r.entry, r.idx): r.value for r in changelog.states_at(cl, grid).collect()}
+    want = {(e, i): next((a for x, t, _, a in reversed(rows) if x == e and t <= grid.end(i)), None) for e in (1, 2, 3) for i in range(grid.n)}
+    assert got == want
+
+
+def test_null_entries_and_long_vectors(spark):
+    cl = spark.createDataFrame([(1, 5, 0, "insert", None, "a"), (None, 6, 0, "insert", None, "b")], SCHEMA)
+    assert changelog.without_entry(cl, 1).count() == 1 and changelog.without_entry(cl, 2).count() == 2 and changelog.without_entry(cl, None).count() == 1
+    v = spark.createDataFrame([(1, None, [1.0, 2.0, 3.0])], "idx long, before array<double>, after array<double>")
+    assert linear.vector_change(v, 3, 1.0).count() == 3
+    with pytest.raises(Exception, match="longer than 2"):
+        linear.vector_change(v, 2, 1.0).collect()
+
+
+def test_values_outside_the_alphabet_answer(spark):
+    k, symbols = noise.Key("t", "foreign", public=True), ["a", "b"]
+    df = spark.range(20000).select("id", F.when(F.col("id") % 2 == 0, "zzz").alias("v"))  # foreign, or null
+    n = {r.out_code: r.n for r in responses.static_counts(df, "id", "v", symbols, 1.0, k).collect()}
+    assert sum(n.values()) == 20000 and abs(n[0] - 10000) < 400
+    m = responses.ResponseMatrix([[0.6, 0.2], [0.4, 0.8]])
+    got = df.select(m.respond(responses.code_of("v", symbols), k, F.col("id")).alias("c")).groupBy("c").count().collect()
+    assert sum(r["count"] for r in got) == 20000 and abs({r.c: r["count"] for r in got}[0] / 20000 - 0.4) < 0.02
+
+
+def test_first_interval_holds_the_state_before_the_grid(spark):
+    cl = log(spark, [(i, i, None, "a") for i in range(20)] + [(3, 25, "a", "b")])
+    grid, q, k = IntervalGrid.regular(10, 10, 4), linear.count_if(lambda v: v == "a"), noise.Key("t", "r", public=True)
+    nodes = hierarchy.hierarchy(cl, grid, 2, 3, q, noise.OFF, k, from_beginning=True)
+    assert {r.idx: r.estimate for r in hierarchy.prefix_series(nodes, 4, 2, 3).collect()} == {0: 20, 1: 19, 2: 19, 3: 19}
+    symbols = spark.createDataFrame([("a",), ("b",)], "symbol string")
+    nodes = hierarchy.hierarchy_histogram(cl, grid, 2, 3, symbols, noise.OFF, k, from_beginning=True)
+    assert {(r.idx, r.symbol): r.estimate for r in hierarchy.prefix_series(nodes, 4, 2, 3).collect()}[3, "b"] == 1
+
+
+def test_filters():
+    from dpchangelog.plans.filters import Filter, are_disjoint, are_parallel, by_group, filtered_budget
+
+    early, late = Filter.time(0, 10), Filter.time(10, 20)
+    assert are_disjoint(early, late) and not are_parallel(early, late) and not are_disjoint(early, Filter.time(9, None))
+    a, b = (Filter.among("region", [x], fixed=True) for x in "ab")
+    assert are_disjoint(a, b) and are_parallel(a, b) and are_parallel(a.and_(early), b) and not are_disjoint(a, a.and_(late))
+    loose = Filter.among("status", ["x"]), Filter.among("status", ["y"])
+    assert are_disjoint(*loose) and not are_parallel(*loose)
+    one = A.Budget(0.5, 1e-6)
+    assert filtered_budget([(a, one), (b, one)]) == one and filtered_budget([(early, one), (late, one)]).eps == 1
+    assert filtered_budget([(a, one), (b, A.Budget(0.7)), (early, one)]) == A.Budget(1.2, 2e-6)
+    assert by_group("region", "ab", one) == one and by_group("region", "ab", one, fixed=False).eps == 1
+    with pytest.raises(ValueError):
+        Filter.time(5, 5)
+
+
+def test_filter_columns(spark):
+    from dpchangelog.plans.filters import Filter
+
+    cl = log(spark, [(1, 5, None, "a"), (2, 15, "a", None), (3, 25, None, "c")])
+    assert [r.entry for r in Filter.time(5, 25).apply(cl).orderBy("entry").collect()] == [2, 3]
+    assert [r.entry for r in Filter.among("after", ["a", None]).apply(cl).orderBy("entry").collect()] == [1, 2]
+    assert Filter.among("after", []).apply(cl).count() == 0
+
+
+def test_local_releases_without_noise(spark):
+    from dpchangelog.operators import local
+
+    cl = log(spark, [(1, 5, None, "a"), (2, 5, None, "a"), (2, 15, "a", "b"), (3, 25, None, "a")])
+    entries, q, k = spark.range(1, 6).withColumnRenamed("id", "entry"), linear.count_if(lambda v: v == "a"), noise.Key("t", "l", public=True)
+    plain = local.Randomizer(lambda exact, key, *parts: exact.cast("double"), 1.0)
+    g = IntervalGrid.regular(0, 10, 4)
+    assert [(r.idx, r.estimate, r.var) for r in local.linear_change(cl, entries, g, q, 1.0, k, plain).orderBy("idx").collect()] == [(0, 2, 5), (1, -1, 5), (2, 1, 5), (3, 0, 5)]
+    nodes = local.tree(cl, entries, g, 2, 2, q, 1.0, k, plain)
+    assert {(r.layer, r.idx): r.noisy for r in nodes.collect()} == {(0, 0): 2, (0, 1): -1, (0, 2): 1, (0, 3): 0, (1, 0): 1, (1, 1): 1}
+    s = SlidingSpec(20, 20, 5, 4)
+    want = {r.idx: r.exact for r in sliding.direct_exact(cl, s, q).collect()}
+    assert {r.idx: r.estimate for r in local.sliding(cl, entries, s, q, 1.0, k, plain).collect()} == want
+
+
+def test_one_bit_reports_are_unbiased(spark):
+    from dpchangelog.operators import local
+
+    q = linear.count_if(lambda v: v == "a")
+    how = local.sign_reports(q, 1.0)
+    r = spark.range(40000).select(how.report(F.lit(1), noise.Key("t", "bit", public=True), F.col("id")).alias("x")).agg(F.avg("x")).first()[0]
+    assert r == pytest.approx(1, abs=4 * math.sqrt(how.variance / 40000))
+
+
+def test_matched_budgets_on_data(spark):
+    from conftest import SF
+
+    from dpchangelog import catalog
+
+    rows = catalog.load()[0]["sliding_matched_budget"](spark, SF).toPandas()
+    by = rows.groupby("plan").agg(var=("var", "mean"), measured=("measured", "mean"))
+    assert (abs(by.measured / by["var"] - 1) < 0.15).all()  # 17 windows of 100 keys each
+    assert by["var"]["flat"] < by["var"]["tree"] < by["var"]["direct"] and by.measured["tree"] < by.measured["direct"]
+    assert (rows.bias.abs() < 5 * (rows["var"] / 100) ** 0.5).all()
+
+
+def test_response_estimates_are_unbiased_on_data(spark):
+    from conftest import SF
+
+    from dpchangelog import catalog
+
+    for r in catalog.load()[0]["rr_bias_over_keys"](spark, SF).collect():
+        assert abs(r.bias) < 4 * r.standard_error and r.n == 600
+    assert all(r.within for r in catalog.load()[0]["neighbour_output_ratio"](spark, SF).collect())
+
+
+def test_ordered_changelogs(spark):
+    cl = log(spark, [(e, (e * 7919 + t * 104729) % 1000, None, "a") for e in range(20) for t in range(30)])
+    got = [(r.ts, r.entry) for r in changelog.ordered(cl).collect()]
+    assert got == sorted(got) and len(got) == 600
+
+
+def test_bucketed_changelogs_need_no_shuffle(spark, tmp_path):
+    from dpchangelog.sources import tables
+
+    cl = log(spark, [(e % 40, e, None, "a") for e in range(400)])
+    spark.sql("drop table if exists bucketed_log")
+    tables.save_bucketed(cl, "bucketed_log", 4)
+    held = spark.table("bucketed_log")
+    text = constraints.enforce_b(held, 50)._jdf.queryExecution().executedPlan().toString()
+    assert "Exchange" not in text and constraints.enforce_b(held, 50).count() == constraints.enforce_b(cl, 50).count()
+    spark.sql("drop table bucketed_log")
+
+
+def test_restarted_batches_publish_once(spark, tmp_path):
+    from dpchangelog.streaming import streams
+
+    g, q = IntervalGrid.regular(0, 10, 3), linear.count_if(lambda v: v == "a")
+    write = streams.release_sink("r", str(tmp_path / "out"), lambda b: release.disjoint(b, g, q, noise.Noise("laplace", 0.5), noise.Key("t", "r", b"s")))
+    log(spark, [(1, 5, None, "a"), (2, 15, None, "b")]).write.parquet(str(tmp_path / "in"))
+    rows = spark.readStream.schema(SCHEMA).parquet(str(tmp_path / "in"))
+    rows.writeStream.foreachBatch(write).option("checkpointLocation", str(tmp_path / "cp")).trigger(availableNow=True).start().awaitTermination()
+    first = sorted(map(tuple, spark.read.parquet(str(tmp_path / "out")).collect()))
+    write(spark.read.schema(SCHEMA).parquet(str(tmp_path / "in")), 0)  # the same batch again
+    assert sorted(map(tuple, spark.read.parquet(str(tmp_path / "out")).collect())) == first and len(first) == 3
