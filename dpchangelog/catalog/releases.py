@@ -506,3 +506,12 @@ def tree_lineitem_days(spark, d):
     """Shipped lines over 2,500 days, each line an entry: a tree of fan-out 10 and height 4."""
     li = table(spark, d, "lineitem").select(micros("l_shipdate").alias("ts"), F.lit(1).alias("entry"), F.lit(None).cast("string").alias("before"), F.lit("1").alias("after"))
     return rounded(hierarchy.hierarchy(li, LINE_DAYS, 10, 4, linear.count_if(lambda v: v.isNotNull()), Noise("laplace", 0.25), key("tl10")))
+
+
+NOW = T0 + 10 * DAY + 5 * HOUR
+
+
+@query(f"with {CL_STATE}, {tree_noisy()} select layer, idx, round(noisy, 6) as noisy, eps, sigma2 from n where {T0} + (idx + 1) * {HOUR} * cast(pow(2, layer) as bigint) <= {NOW}")
+def tree_released_by(spark, d):
+    """What a live release has published at a time: the nodes whose intervals have ended, and no padded one."""
+    return rounded(hierarchy.released_by(tree_nodes(spark, d), HOURLY, 2, NOW))

@@ -100,7 +100,7 @@ def local_folds_table(spark, d):
     return spark.createDataFrame([("local", *r) for r in rows], "model string, constraint string, release string, folds long")
 
 
-@query("""with c as (select cast(c as integer) as c, cast((select min(j) from range(1, 12) t(j) where pow(c, j) >= 720) as integer) as h from range(2, 33) a(c)),
+@query("""with c as (select cast(c as integer) as c, cast((select min(j) from range(1, 12) t(j) where pow(c, j) >= 720) as integer) as h from range(2, 65) a(c)),
 n as (select c, h, r, r - (c - 1) * sum(if(j < h, r // cast(pow(c, j) as bigint), 0)) as nodes from c, range(1, 721) b(r), range(1, 11) x(j) group by 1, 2, 3) select c, h, cast(max(nodes) as integer) as nodes, cast(h * h * max(nodes) as double) as cost from n group by 1, 2""")
 def base_fanout_sweep(spark, d):
     """Fan-outs of a tree over 720 intervals: height, most nodes of a prefix, and the variance at one total budget."""

@@ -10,6 +10,7 @@ from pyspark.sql import functions as F
 from ..functions.noise import Noise
 from ..sources.tables import write_release
 from .accounting import Budget
+from .planner import ReleaseSpec
 
 SCHEMA = "release_id string, folds long, per_query_eps double, per_query_delta double, total_eps double, total_delta double, method string, constraint_id string"
 
@@ -66,6 +67,13 @@ class Ledger:
         finally:
             self.unlock()
 
+    def charge_spec(self, spec: ReleaseSpec, per_query: Budget, folds: int | None, method: str = "basic", slack: float = 0.0) -> Budget:
+        """Charge what a release promises under its name: its folds, or all its queries where nothing bounds them. An endless
+        release without folds, and optimal composition of an adaptive one, are refused before anything is charged."""
+        total = spec.budget(per_query, folds, method, slack)
+        self.charge(spec.name, 1, total, method)
+        return total
+
     def release(self, release_id: str, folds: int, noise: Noise, publish: Callable[[Noise], DataFrame], path: str, constraint: str = "") -> DataFrame:
         """Charge, then publish and write under path; nothing is computed that isn't paid for. publish(noise) is the release."""
         self.charge(release_id, folds, Budget(noise.eps, noise.delta), constraint=constraint)

@@ -83,7 +83,7 @@ def explain_release(name: str, folds: int, per_query: Budget, variance: float) -
     return f"{name}: {folds} folds; each query ({per_query.eps:g}, {per_query.delta:g}); in all ({folds * per_query.eps:g}, {folds * per_query.delta:g}); variance of a node {variance:g}"
 
 
-def fanout_sweep(n: int, fanouts=range(2, 33)) -> list[tuple[int, int, int, float]]:
+def fanout_sweep(n: int, fanouts=range(2, 65)) -> list[tuple[int, int, int, float]]:
     """(c, h, worst nodes of a prefix or range, h^2 times it): the variance of a tree over n intervals at one total budget."""
     out = []
     for c in fanouts:
@@ -94,7 +94,7 @@ def fanout_sweep(n: int, fanouts=range(2, 33)) -> list[tuple[int, int, int, floa
     return out
 
 
-def best_fanout(n: int, fanouts=range(2, 33)) -> int:
+def best_fanout(n: int, fanouts=range(2, 65)) -> int:
     return min(fanout_sweep(n, fanouts), key=lambda x: x[3])[0]
 
 
