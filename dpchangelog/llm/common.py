@@ -94,6 +94,25 @@ def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
 SALTS = 32
 
 
+def forest(n: int, links) -> np.ndarray:
+    """Root of each of n rows, by union of the links; the root is the smallest row."""
+    up = np.arange(n)
+
+    def root(i):
+        while up[i] != i:
+            up[i] = up[up[i]]
+            i = up[i]
+        return i
+
+    for a, b in links:
+        a, b = root(a), root(b)
+        if a != b:
+            up[max(a, b)] = min(a, b)
+    while (up != up[up]).any():
+        up = up[up]
+    return up
+
+
 def star_links(root: np.ndarray, ids: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
     """(child, parent) ids: each row but the smallest of a root, linked to the smallest."""
     order = np.lexsort((ids, root))

@@ -16,8 +16,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from .common import components, cut, prepare, quoted, star_links
-from .simhash import forest
+from .common import components, cut, forest, prepare, quoted, star_links
 
 TABLES, PROBES, ROWS = 10, 2, 4096
 #: Share of the pairs at the threshold that are to meet in a table, for any number of vectors.

@@ -8,11 +8,12 @@ is added to bitwise counters with carry-save adders, and a group is abandoned on
 A bucket above ROWS is cut into parts and its pairs of parts are dealt out, so no task holds more than two parts.
 Only the links of a spanning forest of a bucket leave it, never more than its rows.
 
-Near copies by similarity (`similar_groups`): the same comparison on wide fingerprints over the sets of five-word shingles. A text
+Near copies by similarity (`similar_classes`): the same comparison on wide fingerprints over the sets of five-word shingles. A text
 whose set has a Jaccard similarity of 0.8 or more to another's differs from it in about 15 % of the bits, so no choice of blocks
-finds it; buckets are samples of bits instead, of as many bits as keep buckets small and in as many tables as the wanted recall
-takes, and the radius is wide. What is within the radius is a candidate; groups of candidates compare their shingle sets, so a
-link is never below the similarity.
+finds it. The sums of which a fingerprint keeps the signs are a vector each; two such texts have vectors at a cosine of 0.889 or
+more, and the signed axes nearest to a vector after random rotations (as in operator 6) are its buckets, in as many tables as the
+wanted recall takes at that cosine. The radius is wide. What is within it is a candidate; groups of candidates compare their
+shingle sets, so a link is never below the similarity.
 """
 
 from __future__ import annotations
@@ -25,7 +26,8 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
-from .common import SALTS, components, cut, prepare, quoted, star_links
+from .common import SALTS, components, cut, forest, prepare, quoted, star_links
+from .embedding_dedup import axes_for, probe_codes, tables_for
 
 BITS = 64
 #: Fingerprints of a part of a bucket.
@@ -49,14 +51,17 @@ def shingle_hashes(text: str | None, words: int = 4, seed: int = 42) -> np.ndarr
     return np.fromiter([h(line[a:b], seed) for a, b in zip(starts[: n - words + 1].tolist(), ends[words - 1 :].tolist(), strict=True)], np.uint64, n - words + 1)
 
 
+def ones(hashes: np.ndarray) -> np.ndarray:
+    """In how many hashes each bit is set."""
+    out = np.zeros(BITS, np.int64)
+    for k in range(0, len(hashes), 1 << 16):
+        out += np.unpackbits(hashes[k : k + (1 << 16)].astype("<u8").view(np.uint8).reshape(-1, 8), axis=1, bitorder="little").sum(0, dtype=np.int64)
+    return out
+
+
 def fingerprint(hashes: np.ndarray) -> int:
     """A bit is set if it is set in over half of the hashes; none: 0."""
-    if not len(hashes):
-        return 0
-    ones = np.zeros(BITS, np.int64)
-    for k in range(0, len(hashes), 1 << 16):
-        ones += np.unpackbits(hashes[k : k + (1 << 16)].astype("<u8").view(np.uint8).reshape(-1, 8), axis=1, bitorder="little").sum(0, dtype=np.int64)
-    return int(np.packbits(2 * ones > len(hashes), bitorder="little").view("<u8")[0])
+    return int(np.packbits(2 * ones(hashes) > len(hashes), bitorder="little").view("<u8")[0])
 
 
 def planes_of(fps: np.ndarray) -> np.ndarray:
@@ -116,25 +121,6 @@ def above(counters: list[np.ndarray], radius: int) -> np.ndarray:
     return greater
 
 
-def forest(n: int, links) -> np.ndarray:
-    """Root of each of n rows, by union of the links; the root is the smallest row."""
-    up = np.arange(n)
-
-    def root(i):
-        while up[i] != i:
-            up[i] = up[up[i]]
-            i = up[i]
-        return i
-
-    for a, b in links:
-        a, b = root(a), root(b)
-        if a != b:
-            up[max(a, b)] = min(a, b)
-    while (up != up[up]).any():
-        up = up[up]
-    return up
-
-
 def bucket_roots(rows: np.ndarray, left: np.ndarray, right: np.ndarray, radius: int, same=None) -> np.ndarray:
     """Root of each row, by the links between the rows left and right. same(i, j): whether a pair within the radius is a link;
     pairs that are joined already are not asked."""
@@ -276,19 +262,37 @@ def _groups(docs, radius, id_col, text_col, words, seed):
 
 #: Bits of a wide fingerprint, and how many of its words a bucket compares.
 WIDE, COMPARED = 256, 2
-#: Rows that evenly spread buckets of wide fingerprints hold, and share of the texts at the similarity that are to meet.
-BUCKET, RECALL = 512, 0.97
+#: Buckets of a text in each table, and share of the pairs at the similarity that are to meet in a table, for any number of texts.
+PROBES, RECALL = 3, 0.98
 #: Texts whose shingle sets one task holds at a time.
 SETS = 1024
 
 
-def wide_fingerprint(hashes: np.ndarray) -> np.ndarray:
-    """WIDE bits over a set of hashes, as words; each word from a mix of its own."""
+def wide_sums(hashes: np.ndarray) -> np.ndarray:
+    """For each of WIDE bits, in how many more hashes of a set it is set than not; each word of bits from a mix of its own."""
     out = []
     for k in range(WIDE // BITS):
         x = (hashes ^ np.uint64((0x632BE59BD9B4E019 * (k + 1)) & (2**64 - 1))) * np.uint64(0x9E3779B97F4A7C15)
-        out.append(fingerprint(x ^ (x >> np.uint64(32))))
-    return np.array(out, np.uint64)
+        out.append(2 * ones(x ^ (x >> np.uint64(32))) - len(hashes))
+    return np.concatenate(out)
+
+
+def wide_fingerprint(sums: np.ndarray) -> np.ndarray:
+    """Words of the compared bits: the signs of the sums."""
+    return np.packbits(sums[: COMPARED * BITS] > 0, bitorder="little").view("<u8")
+
+
+def rounded(sums: np.ndarray) -> np.ndarray:
+    """Sums as bytes, in proportion to the largest: equal sets give equal bytes."""
+    return np.rint(sums * (127 / max(1, np.abs(sums).max(initial=0)))).astype(np.int8)
+
+
+def bucket_plan(n: int, similarity: float) -> tuple[int, int]:
+    """(rotations a code, tables) for n texts. Vectors of WIDE sums show the cosine of two sets with an error, of which two standard
+    deviations are allowed for."""
+    cosine = 2 * similarity / (1 + similarity)
+    axes = axes_for(n, WIDE)
+    return axes, tables_for(axes, WIDE, cosine - 2 * (1 - cosine**2) / math.sqrt(WIDE), 1, PROBES, RECALL)
 
 
 def differing(similarity: float) -> float:
@@ -310,18 +314,6 @@ def radius_for(similarity: float, bits: int = COMPARED * BITS, recall: float = 0
     return bits
 
 
-def tables_for(n: int, similarity: float, recall: float = RECALL) -> tuple[int, int]:
-    """(bits of a sample, tables) for n texts: buckets of about BUCKET texts, and enough tables that pairs at the similarity meet
-    with the wanted chance. Any n has the same chance; the tables grow with about the fourth root of n."""
-    bits = min(32, max(4, math.ceil(math.log2(max(1, n) / BUCKET))))
-    spread = _binomial(WIDE, differing(similarity))
-    meet = [math.comb(WIDE - k, bits) / math.comb(WIDE, bits) for k in range(WIDE + 1)]
-    tables = 1
-    while sum(x * (1 - m) ** tables for x, m in zip(spread, meet, strict=True)) > 1 - recall:
-        tables += 1 + tables // 16
-    return bits, tables
-
-
 def similar(a: np.ndarray, b: np.ndarray, similarity: float) -> bool:
     """Whether two sorted sets have that Jaccard similarity; two empty ones do."""
     if not min(len(a), len(b)):
@@ -432,7 +424,7 @@ def similar_classes(docs: DataFrame, words: int = 5, similarity: float = 0.8, id
     of shingles have the similarity or more.
 
     Equal texts are one class. Null texts are equal to each other; texts without words are alike, whatever they are; a text of
-    fewer words than a shingle is one shingle. Pairs at the very similarity are found with a chance of RECALL, more similar ones
+    fewer words than a shingle is one shingle. Pairs at the very similarity meet with a chance of RECALL or more, more similar ones
     nearly always; none below it is linked. An empty table gives no rows; other columns are not read.
     """
     prepare(docs.sparkSession)
@@ -440,25 +432,24 @@ def similar_classes(docs: DataFrame, words: int = 5, similarity: float = 0.8, id
 
     def sign(batches):
         for b in batches:
-            fps = np.array([wide_fingerprint(np.unique(shingle_hashes(t, words))) for t in b.column(1).to_pylist()], np.uint64).reshape(-1, WIDE // BITS).view(np.int64)
-            yield pa.RecordBatch.from_arrays([b.column(0), *[pa.array(f) for f in np.ascontiguousarray(fps.T)]], ["h", *names])
+            sums = [wide_sums(np.unique(shingle_hashes(t, words))) for t in b.column(1).to_pylist()]
+            fps = np.array([wide_fingerprint(s) for s in sums], np.uint64).reshape(-1, COMPARED).view(np.int64)
+            yield pa.RecordBatch.from_arrays([b.column(0), *[pa.array(f) for f in np.ascontiguousarray(fps.T)], pa.array([rounded(s).tobytes() for s in sums], pa.binary())], ["h", "f0", "f1", "sums"])
 
-    names = [f"f{k}" for k in range(WIDE // BITS)]
-    signed = texts.mapInArrow(sign, "h long, " + ", ".join(f"{f} long" for f in names))
-    classes = cut(signed.groupBy("h").agg(*[F.first(f).alias(f) for f in names]))
-    bits, tables = tables_for(classes.count(), similarity)
-    spots = np.stack([np.random.default_rng([29, t]).choice(WIDE, bits, replace=False) for t in range(tables)])
+    signed = texts.mapInArrow(sign, "h long, f0 long, f1 long, sums binary")
+    classes = cut(signed.groupBy("h").agg(*[F.first(c).alias(c) for c in ("f0", "f1", "sums")]))
+    axes, tables = bucket_plan(classes.count(), similarity)
 
     def deal(batches):
-        weight = 1 << np.arange(bits, dtype=np.int64)
         for b in batches:
-            fps = np.stack([b.column(1 + k).to_numpy(zero_copy_only=False) for k in range(len(names))], 1).astype("<i8")
-            planes = np.unpackbits(np.ascontiguousarray(fps).view(np.uint8).reshape(len(fps), -1), axis=1, bitorder="little")
-            codes = np.stack([planes[:, s] @ weight for s in spots], 1)
-            yield pa.RecordBatch.from_arrays([b.column(0), b.column(1), b.column(2), pa.array(codes.tolist(), pa.list_(pa.int64()))], ["h", "f0", "f1", "codes"])
-
-    dealt = classes.mapInArrow(deal, "h long, f0 long, f1 long, codes array<long>")
-    keyed = dealt.select(F.posexplode("codes").alias("t", "code"), "h", "f0", "f1")
+            for part in (b.slice(k, 1000) for k in range(0, b.num_rows, 1000)):
+                x = np.frombuffer(b"".join(part.column(3).to_pylist()), np.int8).reshape(-1, WIDE).astype(float)
+                codes = probe_codes(x, tables, PROBES, axes)
+                buckets = [[[t, c] for t, cs in enumerate(row) for c in cs] for row in codes.tolist()]
+                yield pa.RecordBatch.from_arrays([*part.columns[:3], pa.array(buckets, pa.list_(pa.list_(pa.int64())))], ["h", "f0", "f1", "buckets"])
+
+    dealt = classes.mapInArrow(deal, "h long, f0 long, f1 long, buckets array<array<long>>")
+    keyed = dealt.select(F.explode("buckets").alias("b"), "h", "f0", "f1").select(F.col("b")[0].alias("t"), F.col("b")[1].alias("code"), "h", "f0", "f1")
     radius = radius_for(similarity)
     near = components(group_links(keyed, ["t", "code"], radius, None, ROWS)).select(F.col("node").alias("h"), F.col("component").alias("near"))
 
