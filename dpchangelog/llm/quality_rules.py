@@ -123,7 +123,7 @@ def fit(stats: DataFrame) -> DataFrame:
     levels = F.array(F.struct("lk", "sk"), F.struct("lk", F.lit("*").alias("sk")), F.struct(F.lit("*").alias("lk"), F.lit("*").alias("sk")))
     v = cut(stats.select("lk", "sk", *VECTOR))
     every = v.select(F.explode(levels).alias("g"), *VECTOR).select(F.col("g.lk").alias("gl"), F.col("g.sk").alias("gs"), *VECTOR)
-    quartiles = {f"q{j}": F.percentile_approx(f"x{j}", [0.25, 0.5, 0.75], 10000) for j in range(P)}
+    quartiles = {f"q{j}": F.percentile_approx(f"x{j}", [0.25, 0.5, 0.75], 1000) for j in range(P)}
     start = cut(every.groupBy("gl", "gs").agg(*[c.alias(k) for k, c in quartiles.items()], *[F.avg(f"x{j}").alias(f"a{j}") for j in range(P)], *[F.var_pop(f"x{j}").alias(f"v{j}") for j in range(P)]))
     zero = {f"c{i}{j}": F.lit(0.0) for i, j in PAIRS if i != j}
     a = start.withColumns(zero | {f"m{j}": F.expr(f"q{j}[1]") for j in range(P)} | {f"c{j}{j}": F.expr(f"pow((q{j}[2] - q{j}[0]) / 1.349D, 2) + {FLOOR[j] ** 2}D") for j in range(P)})
@@ -150,10 +150,10 @@ def fit(stats: DataFrame) -> DataFrame:
 def _drawn(own: DataFrame, values: list[str]) -> DataFrame:
     """(lk, sk, means, covariances): estimates drawn toward those of the level above; one row a group, language and corpus."""
     level = lambda where, keys, tag: own.where(where).select(*keys, *[F.col(c).alias(f"{tag}_{c}") for c in ("total", *values)])
+    corpus = own.where("gl = '*'").first()  # one row, none of an empty table
     mixed = lambda n, low, high: F.expr(f"({n} * {low} + {float(SHRINK)}D * {high}) / ({n} + {float(SHRINK)}D)")
-    all_ = level("gl = '*'", [], "all").withColumn("one", F.lit(1))
-    language = level("gl <> '*' and gs = '*'", ["gl"], "lang").withColumn("one", F.lit(1)).join(all_, "one")  # the corpus is one row
-    language = language.select("gl", *[mixed("lang_total", f"lang_{c}", f"all_{c}").alias(f"l_{c}") for c in values])
+    language = level("gl <> '*' and gs = '*'", ["gl"], "lang")
+    language = language.select("gl", *[mixed("lang_total", f"lang_{c}", f"{(corpus[c] if corpus else 0.0)!r}D").alias(f"l_{c}") for c in values])
     groups = level("gl <> '*' and gs <> '*'", ["gl", "gs"], "own").join(language, "gl")
     return groups.select(F.col("gl").alias("lk"), F.col("gs").alias("sk"), *[mixed("own_total", f"own_{c}", f"l_{c}").alias(c) for c in values])
 
