@@ -41,9 +41,10 @@ class Packer:
     prompt bear loss. placed() rows: (key, start, length, sequence, offset)."""
 
     def __init__(self, limits: Limits):
-        self.limits, self.cap = limits, np.array([limits.tokens, limits.segments, limits.loss], float)
-        self.demand, self.items, self.free = np.zeros((WINDOW, 3)), [None] * WINDOW, list(range(WINDOW))
-        self.live = np.zeros(WINDOW, bool)
+        self.limits = limits
+        #: Tokens and loss tokens of what waits in each slot; every piece is one segment. An empty slot fits nowhere.
+        self.tokens, self.bearing = np.full(WINDOW, np.inf), np.full(WINDOW, np.inf)
+        self.items, self.free = [None] * WINDOW, list(range(WINDOW))
         #: Sequences so far, and bins: a bin that isn't full becomes several sequences.
         self.sequence, self.bins, self.rows = 0, 0, []
 
@@ -62,7 +63,7 @@ class Packer:
             if not self.free:
                 self.fill()
             k = self.free.pop()
-            self.items[k], self.live[k], self.demand[k] = (key, at, n, prompt), True, (n, 1, self.loss(at, n, prompt))
+            self.items[k], self.tokens[k], self.bearing[k] = (key, at, n, prompt), n, self.loss(at, n, prompt)
             at += n
 
     @staticmethod
@@ -79,26 +80,28 @@ class Packer:
 
     def fill(self) -> None:
         """Close one sequence from the waiting pieces, or what a limit leaves of one."""
-        room, pieces = self.cap.copy(), []
+        cap = (self.limits.tokens, self.limits.segments, self.limits.loss)
+        room, pieces = list(cap), []
         self.bins += 1
-        while room.min() >= 1 and self.live.any():
-            fits = self.live & (self.demand <= room).all(1)
-            product = (self.demand / self.cap) @ (room / self.cap)
-            if fits.any():
-                k = int(np.where(fits, product, -1).argmax())
+        while min(room) >= 1 and len(self.free) < WINDOW:
+            fits = (self.tokens <= room[0]) & (self.bearing <= room[2])
+            # The segments' share of the product is the same for all.
+            product = self.tokens * (room[0] / cap[0] ** 2) + self.bearing * (room[2] / cap[2] ** 2)
+            k = int(np.where(fits, product, -1).argmax())
+            if fits[k]:
                 piece = self.items[k]
-                self.live[k], self.items[k] = False, None
+                self.items[k], self.tokens[k], self.bearing[k] = None, np.inf, np.inf
                 self.free.append(k)
             else:
-                k = int(np.where(self.live, product, -1).argmax())
+                k = int(np.where(np.isfinite(self.tokens), product, -1).argmax())
                 key, start, n, prompt = self.items[k]
                 take = min(n, self.most(start, room[0], room[2], prompt))
                 if not take:
                     break
                 piece, rest = (key, start, take, prompt), (key, start + take, n - take, prompt)
-                self.items[k], self.demand[k] = rest, (n - take, 1, self.loss(start + take, n - take, prompt))
+                self.items[k], self.tokens[k], self.bearing[k] = rest, n - take, self.loss(start + take, n - take, prompt)
             pieces.append(piece)
-            room -= (piece[2], 1, self.loss(*piece[1:]))
+            room = [room[0] - piece[2], room[1] - 1, room[2] - self.loss(*piece[1:])]
         total = sum(p[2] for p in pieces)
         if total == self.limits.tokens:
             return self.close(pieces)
@@ -117,11 +120,8 @@ class Packer:
                     pieces[0] = (key, start + take, n - take, prompt)
             self.close(part)
 
-    def waiting(self) -> float:
-        return self.demand[self.live, 0].sum()
-
     def finish(self) -> None:
-        while self.live.any():
+        while len(self.free) < WINDOW:
             self.fill()
 
     def placed(self) -> list:
