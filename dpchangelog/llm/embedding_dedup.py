@@ -6,7 +6,8 @@ probes are the next nearest. It is dealt to all its probes' buckets, so two clas
 In a bucket all pairs are compared by matrix products in double precision and only those at or above the threshold are
 links. A pair that meets in several buckets counts in the first of them, which each side's probes tell, so links need no
 distinct. What leaves a bucket is, for each row, the weight of its links, and a spanning forest: never more than its rows.
-A bucket above ROWS is cut into parts, and its pairs of parts are dealt out as jobs.
+A bucket above ROWS is cut into parts, and its pairs of parts are dealt out as jobs. What goes to a bucket is the vector in the width
+of its own type and its codes in as few bytes as they take; unit vectors are made where they are compared.
 """
 
 from __future__ import annotations
@@ -100,28 +101,35 @@ def unit(rows: list) -> tuple[np.ndarray, np.ndarray]:
     return np.isfinite(x).all(1), x
 
 
-def classes(vectors: DataFrame, id_col: str, vector_col: str) -> DataFrame:
-    """(vec_id, vec binary or null): the vector as doubles; null if it can't link."""
+def number_kind(vectors: DataFrame, vector_col: str) -> str:
+    """Width in which a column's components are kept, without loss: 4 bytes for floats, else 8."""
+    return "<f4" if vectors.select(F.col(quoted(vector_col))).schema[0].dataType.simpleString() == "array<float>" else "<f8"
+
+
+def classes(vectors: DataFrame, id_col: str, vector_col: str, kind: str) -> DataFrame:
+    """(vec_id, vec binary or null): the vector's components; null if it can't link."""
 
     def run(batches):
         for b in batches:
             out = []
             for v in b.column(1).to_pylist():
                 a = np.array([np.nan if e is None else e for e in v] if v is not None else [], np.float64) + 0.0
-                out.append(a.tobytes() if len(a) and np.isfinite(a).all() and a.any() else None)
+                out.append(a.astype(kind).tobytes() if len(a) and np.isfinite(a).all() and a.any() else None)
             yield pa.RecordBatch.from_arrays([b.column(0), pa.array(out, pa.binary())], ["vec_id", "vec"])
 
     return vectors.select(F.col(quoted(id_col)).cast("long").alias("vec_id"), F.col(quoted(vector_col)).alias("v")).mapInArrow(run, "vec_id long, vec binary")
 
 
-def verified_links(distinct: DataFrame, n: int, width: int, threshold: float, tables: int, probes: int) -> DataFrame:
+def verified_links(distinct: DataFrame, n: int, width: int, threshold: float, tables: int, probes: int, kind: str = "<f8") -> DataFrame:
     """(u, v, weight) from distinct (rep, n, vec): rows with v null carry weights of links, the others make up a forest."""
     axes = axes_for(n, width)
     tables = tables_for(axes, width, threshold, tables, probes)
+    most = (2 * max(2, 1 << (width - 1).bit_length())) ** axes
+    code_kind = next(k for k in ("<u1", "<u2", "<u4", "<i8") if most - 1 <= np.iinfo(k).max)
 
     def deal(batches):
         for b in batches:
-            vecs = [np.frombuffer(v, np.float64) for v in b.column(2).to_pylist()]
+            vecs = [np.frombuffer(v, kind) for v in b.column(2).to_pylist()]
             for d in sorted({len(v) for v in vecs}):
                 at = [i for i, v in enumerate(vecs) if len(v) == d]
                 ok, x = unit([vecs[i] for i in at])
@@ -131,7 +139,7 @@ def verified_links(distinct: DataFrame, n: int, width: int, threshold: float, ta
                     codes = probe_codes(xs, tables, probes, axes)
                     rows = b.take(pa.array(own, pa.int64()))
                     yield pa.RecordBatch.from_arrays(
-                        [rows.column(0), rows.column(1), pa.array([v.tobytes() for v in xs], pa.binary()), pa.array([c.tobytes() for c in codes], pa.binary()), pa.array([[[t, c] for t, cs in enumerate(code) for c in cs] for code in codes.tolist()], pa.list_(pa.list_(pa.int64()))), pa.array([d] * len(own), pa.int64())],
+                        [*rows.columns[:3], pa.array([c.tobytes() for c in codes.astype(code_kind)], pa.binary()), pa.array([[[t, c] for t, cs in enumerate(code) for c in cs] for code in codes.tolist()], pa.list_(pa.list_(pa.int64()))), pa.array([d] * len(own), pa.int64())],
                         ["rep", "n", "vec", "codes", "keys", "d"],
                     )
 
@@ -146,8 +154,8 @@ def verified_links(distinct: DataFrame, n: int, width: int, threshold: float, ta
         """Links of one job."""
         d, t, code, a, b = rows[0][:5]
         mine, rep, weight = (np.array([r[k] for r in rows], np.int64) for k in (5, 6, 7))
-        x = np.frombuffer(b"".join(r[8] for r in rows), np.float64).reshape(len(rows), d)
-        codes = np.frombuffer(b"".join(r[9] for r in rows), np.int64).reshape(len(rows), tables, probes)
+        x = unit(np.frombuffer(b"".join(r[8] for r in rows), kind).reshape(len(rows), d))[1]
+        codes = np.frombuffer(b"".join(r[9] for r in rows), code_kind).astype(np.int64).reshape(len(rows), tables, probes)
         left = np.flatnonzero(mine != b) if a != b else np.arange(len(rows))
         right = np.flatnonzero(mine == b)
         sums, root = np.zeros(len(rows), np.int64), np.arange(len(rows))
@@ -205,12 +213,14 @@ def near_vectors(vectors: DataFrame, threshold: float = 0.9, id_col: str = "vec_
     not read.
     """
     prepare(vectors.sparkSession)
-    rows = cut(classes(vectors, id_col, vector_col))
+    kind = number_kind(vectors, vector_col)
+    rows = cut(classes(vectors, id_col, vector_col, kind))
     # rep: a number of the class, not an id, so that null and repeated ids do no harm.
     groups = rows.where("vec is not null").groupBy("vec").agg(F.count("*").alias("n"), F.min("vec_id").alias("least"))
     groups = cut(groups.withColumn("rep", F.monotonically_increasing_id()))
-    width = (groups.agg(F.max(F.octet_length("vec"))).first()[0] or 16) // 8
-    found = cut(verified_links(groups.select("rep", "n", "vec"), groups.count(), width, threshold, tables, probes))
+    size = np.dtype(kind).itemsize
+    width = (groups.agg(F.max(F.octet_length("vec"))).first()[0] or 2 * size) // size
+    found = cut(verified_links(groups.select("rep", "n", "vec"), groups.count(), width, threshold, tables, probes, kind))
     weights = found.where("v is null").groupBy(F.col("u").alias("rep")).agg(F.sum("weight").alias("weight"))
     member = components(found.where("v is not null").select("u", "v")).select(F.col("node").alias("rep"), "component")
     named = cut(groups.join(weights, "rep", "left").join(member, "rep", "left").select("vec", "n", "least", F.coalesce("weight", F.lit(0)).alias("weight"), F.coalesce("component", "rep").alias("component")))
