@@ -26,12 +26,12 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
-from .common import SALTS, components, cut, forest, prepare, quoted, star_links
+from .common import SALTS, components, cut, prepare, quoted, star_links
 from .embedding_dedup import axes_for, probe_codes, tables_for
 
 BITS = 64
 #: Fingerprints of a part of a bucket.
-ROWS = 8192
+ROWS = 4096
 #: Queries compared together.
 GROUP = 64
 
@@ -130,9 +130,12 @@ def bucket_roots(rows: np.ndarray, left: np.ndarray, right: np.ndarray, radius:
         q, r = left[k : k + GROUP][q], right[r]
         differ = root[q] != root[r]
         if same is None:
-            if differ.any():
-                pairs = np.unique(np.sort(np.stack([root[q[differ]], root[r[differ]]], 1), axis=1), axis=0)
-                root = forest(len(rows), pairs.tolist())[root]
+            starts = np.searchsorted(q, left[k : k + GROUP])
+            for i, lo, hi in zip(left[k : k + GROUP].tolist(), starts.tolist(), [*starts[1:].tolist(), len(q)], strict=True) if differ.any() else ():
+                met = root[r[lo:hi]]
+                if (met != root[i]).any():
+                    names = np.unique(np.append(met, root[i]))
+                    root[np.isin(root, names)] = names[0]
             continue
         for i in np.unique(q[differ]).tolist():
             others = r[q == i]
