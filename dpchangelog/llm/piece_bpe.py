@@ -6,7 +6,7 @@ outside the vocabulary become byte pieces.
 
 No piece of such a vocabulary holds a newline, or the space mark after another character (checked at load), so nothing
 merges across those places: a text is the sequence of its words, each distinct word is encoded once and kept in a bounded
-cache. New words of every Arrow batch are checked against the sentencepiece library, ids and decoded text. A text whose own ids
+cache. The new words of an Arrow batch are encoded side by side, their agendas in arrays. New words of every Arrow batch are checked against the sentencepiece library, ids and decoded text. A text whose own ids
 or decoded text differ from the library's gets the library's, and says so in by_library; it never stops the job.
 """
 
@@ -16,6 +16,7 @@ import hashlib
 import heapq
 import re
 
+import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
@@ -33,39 +34,139 @@ class Agenda:
     def __init__(self, pieces: list[tuple[str, float, bool]], unknown: int, byte_ids: list[int]):
         """pieces: (text, score, may take part in merges) by id."""
         self.ids = {t: i for i, (t, _, ok) in enumerate(pieces) if ok}
-        self.cost = {t: -s for t, s, ok in pieces if ok}
+        place = {s: r for r, s in enumerate(sorted({s for _, s, ok in pieces if ok}, reverse=True))}
+        #: Text -> place of its score, the best 0; equal scores share one.
+        self.cost = {t: place[s] for t, s, ok in pieces if ok}
         self.unknown, self.byte_ids = unknown, byte_ids
 
-    def encode(self, word: str) -> list[int]:
-        cost, symbols, n = self.cost, list(word), len(word)
+    def symbols(self, word: str) -> list[str]:
+        """The word cut into the pieces and characters that are left when nothing merges any more."""
+        n, get = len(word), self.cost.get
+        #: Place of the pair that starts at each symbol, -1 for none. The agenda has place * n + position of these, and of pairs
+        #: that have changed since; only what still stands here is merged.
+        want = [get(word[i : i + 2], -1) for i in range(n - 1)]
+        agenda = [r * n + i for i, r in enumerate(want) if r >= 0]
+        symbols = list(word)
+        if not agenda:
+            return symbols
+        want.append(-1)
         before, after = list(range(-1, n - 1)), list(range(1, n + 1))
-        agenda = [(cost[t], i, i + 1, t) for i in range(n - 1) if (t := symbols[i] + symbols[i + 1]) in cost]
         heapq.heapify(agenda)
         pop, push = heapq.heappop, heapq.heappush
         while agenda:
-            _, i, j, t = pop(agenda)
-            if symbols[i] is None or symbols[j] is None or len(symbols[i]) + len(symbols[j]) != len(t) or after[i] != j:
-                continue  # one of the two has since been merged
-            symbols[i], symbols[j] = t, None
+            r, i = divmod(pop(agenda), n)
+            if want[i] != r:
+                continue
+            j = after[i]
+            t = symbols[i] = symbols[i] + symbols[j]
+            symbols[j], want[i], want[j] = "", -1, -1
             k = after[i] = after[j]
             if k < n:
                 before[k] = i
-                if (u := t + symbols[k]) in cost:
-                    push(agenda, (cost[u], i, k, u))
-            if (h := before[i]) >= 0 and (u := symbols[h] + t) in cost:
-                push(agenda, (cost[u], h, i, u))
+                if (r := get(t + symbols[k], -1)) >= 0:
+                    want[i] = r
+                    push(agenda, r * n + i)
+            if (h := before[i]) >= 0:
+                r = want[h] = get(symbols[h] + t, -1)
+                if r >= 0:
+                    push(agenda, r * n + h)
+        return [s for s in symbols if s]
+
+    def encode(self, word: str) -> list[int]:
+        return self.numbers(self.symbols(word))
+
+    def numbers(self, symbols: list[str]) -> list[int]:
         out = []
         for s in symbols:
-            if s is not None:
-                if (k := self.ids.get(s)) is not None:
-                    out.append(k)
-                elif self.byte_ids:
-                    out.extend(self.byte_ids[b] for b in s.encode())
-                else:
-                    out.append(self.unknown)
+            if (k := self.ids.get(s)) is not None:
+                out.append(k)
+            elif self.byte_ids:
+                out.extend(self.byte_ids[b] for b in s.encode())
+            else:
+                out.append(self.unknown)
         return out
 
 
+class BatchAgenda:
+    """The same agenda for many words side by side, in arrays: each round takes the best pair of every word, leftmost on ties,
+    merges it, and puts its neighbours' new pairs in. A word leaves once it has no pair. Words with characters that are no
+    pieces, and words of more than LONGEST characters, which would keep the others' rounds going, are left out."""
+
+    LONGEST, WORDS = 64, 50_000
+    NONE = 1 << 30
+
+    def __init__(self, one: Agenda):
+        names = list(one.ids)
+        at = {t: i for i, t in enumerate(names)}
+        self.piece = np.array([one.ids[t] for t in names], np.int64)
+        self.chars = np.full(0x110000, -1, np.int64)
+        for t, i in at.items():
+            if len(t) == 1:
+                self.chars[ord(t)] = i
+        self.size = max(len(names), 1)
+        pairs = sorted((at[t[:k]] * self.size + at[t[k:]], one.cost[t], i) for t, i in at.items() for k in range(1, len(t)) if t[:k] in at and t[k:] in at)
+        self.keys, self.ranks, self.joint = (np.array(x, np.int64) for x in zip(*[*pairs, (1 << 62, self.NONE, 0)], strict=True))
+
+    def _pairs(self, left: np.ndarray, right: np.ndarray) -> np.ndarray:
+        """Place of each pair among the known ones; the last stands for none."""
+        key = left * self.size + right
+        k = np.searchsorted(self.keys, key)
+        return np.where(self.keys[k] == key, k, len(self.keys) - 1)
+
+    def encode(self, words: list[str]) -> list[list[int] | None]:
+        """Ids of each word; None for those left out."""
+        out: list = [None] * len(words)
+        for a in range(0, len(words), self.WORDS):
+            some = [i for i in range(a, min(a + self.WORDS, len(words))) if 0 < len(words[i]) <= self.LONGEST]
+            if some:
+                self._encode([words[i] for i in some], some, out)
+        return out
+
+    def _encode(self, words: list[str], places: list[int], out: list) -> None:
+        n = np.array(list(map(len, words)))
+        sym = self.chars[np.frombuffer("".join(words).encode("utf-32-le", "surrogatepass"), np.uint32)]
+        known = np.minimum.reduceat(sym, np.cumsum(n) - n) >= 0
+        sym, word, n = sym[np.repeat(known, n)], np.repeat(np.flatnonzero(known), n[known]), n[known]
+        none, done = len(self.keys) - 1, []
+        pair = np.full(len(sym), none)
+        inner = np.flatnonzero(word[1:] == word[:-1])
+        pair[inner] = self._pairs(sym[inner], sym[inner + 1])
+        while len(sym):
+            first = np.cumsum(n) - n
+            best = np.minimum.reduceat((self.ranks[pair] << 32) + np.arange(len(sym)), first)
+            open_ = best < self.NONE << 32
+            if not open_.all():
+                rows = np.repeat(open_, n)
+                done.append((word[~rows], sym[~rows]))
+                best = (best - np.cumsum(np.where(open_, 0, n)))[open_]  # positions once closed words before have left
+                sym, word, pair, n = sym[rows], word[rows], pair[rows], n[open_]
+                if not len(sym):
+                    break
+            i = best & 0xFFFFFFFF
+            sym[i] = self.joint[pair[i]]
+            keep = np.ones(len(sym), bool)
+            keep[i + 1] = False
+            i = i - np.arange(len(i))  # one symbol of each word before has gone
+            sym, word, n = sym[keep], word[keep], n - 1
+            pair = pair[keep]
+            last = i + 1 == np.cumsum(n)
+            pair[i[last]] = none
+            i_in = i[~last]
+            pair[i_in] = self._pairs(sym[i_in], sym[i_in + 1])
+            h = i[i > np.cumsum(n) - n] - 1
+            pair[h] = self._pairs(sym[h], sym[h + 1])
+        if not done:
+            return
+        word, sym = (np.concatenate(x) for x in zip(*done, strict=True))
+        order = np.argsort(word, kind="stable")
+        ids = self.piece[sym[order]].tolist()
+        many = np.bincount(word, minlength=len(words))
+        ends = np.cumsum(many).tolist()
+        for k, (m, end) in enumerate(zip(many.tolist(), ends, strict=True)):
+            if m:
+                out[places[k]] = ids[end - m : end]
+
+
 class _Words(dict):
     """word -> (decimal ids joined by commas, their number, decoded text). mark: the space mark or nothing stands before."""
 
@@ -77,13 +178,29 @@ class _Words(dict):
         if SPACE in word or not word or (self.mark, word) in self.owner.bad:
             raise KeyError(word)
         ids = self.owner.agenda.encode(self.mark + word)
-        value = (",".join(map(str, ids)), len(ids), self.owner.surface(ids))
         if len(self) >= CACHE_WORDS:
             self.clear()
-        self[word] = value
-        self.new.append((word, ids))
+        return self.keep(word, ids)
+
+    def keep(self, word: str, ids: list[int]):
+        owner = self.owner
+        # Ids that are all pieces' have the word's own text.
+        text = owner.surface(ids) if any(map(owner.odd.__contains__, ids)) else " " + word if self.mark else word
+        value = self[word] = (",".join(map(owner.decimal.__getitem__, ids)), len(ids), text)
+        self.new.append((word, ids, text))
         return value
 
+    def learn(self, words: set[str]) -> None:
+        """Encode those not in the cache side by side; what is odd, long or too much for the cache is left to __missing__."""
+        new = [w for w in words if w not in self]
+        if len(self) + len(new) > CACHE_WORDS:
+            self.clear()
+            new = list(words)[:CACHE_WORDS]
+        new = [w for w in new if w and SPACE not in w and (self.mark, w) not in self.owner.bad]
+        for w, ids in zip(new, self.owner.batch.encode([self.mark + w for w in new]), strict=True):
+            if ids is not None:
+                self.keep(w, ids)
+
 
 class PieceBpe:
     def __init__(self, path: str, verify: bool = True):
@@ -101,6 +218,9 @@ class PieceBpe:
         self.byte_of = {i: by_name[names[i]] for i in range(n) if p.is_byte(i)}
         byte_ids = sorted(self.byte_of, key=self.byte_of.get)
         self.agenda = Agenda([(names[i], p.get_score(i), normal[i]) for i in range(n)], p.unk_id(), byte_ids if len(byte_ids) == 256 else [])
+        self.batch = BatchAgenda(self.agenda)
+        self.decimal = list(map(str, range(n)))
+        self.odd = {i for i in range(n) if not normal[i]}
         self.names, self.control = names, {i for i in range(n) if p.is_control(i)}
         across = re.compile(f"[^{SPACE}]{SPACE}|\n")
         self.by_word = not any(across.search(t) for t, ok in zip(names, normal, strict=True) if ok) and len(byte_ids) == 256
@@ -168,6 +288,22 @@ class PieceBpe:
             return self.whole(text)
         return ",".join(ids), n, "".join(decoded)[1:]
 
+    def learn(self, texts: list[str | None]) -> None:
+        """Encode the words of texts that are new, all at once."""
+        if not self.by_word:
+            return
+        marked, plain = set(), set()
+        for text in texts:
+            if text:
+                first, *rest = text.split("\n")
+                marked.update(first.split(" "))
+                for line in rest:
+                    head, *words = line.split(" ")
+                    plain.add(head)
+                    marked.update(words)
+        self.marked.learn(marked)
+        self.plain.learn(plain)
+
     def check_new(self) -> bool:
         """Hold the words first met since the last call against the library. Those that differ leave the cache for good, so texts
         with them are encoded as a whole; whether there were any."""
@@ -176,11 +312,11 @@ class PieceBpe:
             new, words.new = words.new, []
             if not (self.verify and new):
                 continue
-            theirs = self.library.encode([lead + w for w, _ in new], num_threads=1)
-            bad = {w for (w, ids), t in zip(new, theirs, strict=True) if ids != t[cut:]}
+            theirs = self.library.encode([lead + w for w, _, _ in new], num_threads=1)
+            bad = {w for (w, ids, _), t in zip(new, theirs, strict=True) if ids != t[cut:]}
             if not cut:
-                texts = self.library.decode([ids for _, ids in new])
-                bad |= {w for (w, ids), t in zip(new, texts, strict=True) if self.surface(ids)[1:] != t}
+                texts = self.library.decode([ids for _, ids, _ in new])
+                bad |= {w for (w, _, own), t in zip(new, texts, strict=True) if own[1:] != t}
             for w in bad:
                 words.pop(w, None)
                 self.bad.add((words.mark, w))
@@ -226,6 +362,7 @@ def _map(docs, model, verify, id_col, text_col, shape, schema):
         coder = piece_bpe(model, verify)
         for b in batches:
             texts = b.column(1).to_pylist()
+            coder.learn(texts)
             rows = [one(coder, t) for t in texts]
             if coder.check_new():
                 rows = [one(coder, t) for t in texts]

@@ -189,6 +189,27 @@ def test_pieces_that_differ_are_the_librarys(texts):
     assert own.replaced and not own.check_new()
 
 
+def test_words_of_a_batch_are_encoded_side_by_side(texts, monkeypatch):
+    own = piece_bpe.PieceBpe(PIECES)
+    sample = fuzz() + list(texts.values()) + ["a" * 64 + " " + "ab" * 40 + "\nline", None, ""]
+    words = sorted({m + w for t in sample if t for line in t.split("\n") for w in line.split(" ") for m in ("", piece_bpe.SPACE) if m + w})
+    found = own.batch.encode(words)
+    assert all(ids is None or ids == own.agenda.encode(w) for w, ids in zip(words, found, strict=True))
+    strange = [w for w in words if not set(w) <= set(own.agenda.ids) or len(w) > 64]
+    assert [w for w, ids in zip(words, found, strict=True) if ids is None] == strange and strange
+    want = [own.encode(t) for t in sample]
+    own, alone = piece_bpe.PieceBpe(PIECES), []
+    monkeypatch.setattr(own.agenda, "encode", lambda w: alone.append(w) or piece_bpe.Agenda.encode(own.agenda, w))
+    monkeypatch.setattr(piece_bpe.BatchAgenda, "WORDS", 100)
+    own.learn(sample)
+    assert [own.encode(t) for t in sample] == want and not own.check_new()
+    plain = [t for t in texts.values() if t and not set(t) - set(own.agenda.ids) - set(" \n") and "  " not in t]
+    alone.clear()
+    own.marked.clear()
+    own.learn(plain)
+    assert [own.encode(t) for t in plain] and not [w for w in alone if len(w) <= 64]
+
+
 def test_column_names_with_dots_and_spaces(spark, tmp_path):
     d = spark.createDataFrame([(1, "some words here", "en", "s"), (2, None, "en", "s")], "`a.id` long, `the text` string, `l.` string, `s` string")
     names = {"id_col": "a.id", "text_col": "the text"}
