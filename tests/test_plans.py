@@ -114,3 +114,13 @@ def test_order_ship_shuffles_each_table_once(spark):
 def test_first_mutations_share_the_shuffle(spark):
     text = plan(QUERIES["enforce_b"](spark, SF)).split("\n\n")[0]
     assert len(re.findall(r"\bExchange\b", text)) == 1 and len(re.findall(r"Scan parquet", text)) == 1
+
+
+READS = [
+    "folds_table",
+]
+
+
+@pytest.mark.parametrize("name", READS)
+def test_spark_reads_a_table(spark, name):
+    assert re.search(r"\(\d+\) Scan parquet", plan(QUERIES[name](spark, SF)))
