@@ -117,6 +117,7 @@ def test_first_mutations_share_the_shuffle(spark):
 
 
 READS = [
+    "local_folds_table",
     "folds_table",
 ]
 
