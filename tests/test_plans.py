@@ -117,6 +117,7 @@ def test_first_mutations_share_the_shuffle(spark):
 
 
 READS = [
+    "crossover_grid_k",
     "local_folds_table",
     "folds_table",
 ]
@@ -125,3 +126,16 @@ READS = [
 @pytest.mark.parametrize("name", READS)
 def test_spark_reads_a_table(spark, name):
     assert re.search(r"\(\d+\) Scan parquet", plan(QUERIES[name](spark, SF)))
+
+
+def test_crossovers_of_columns_equal_those_of_numbers(spark):
+    from pyspark.sql import functions as F
+
+    from dpchangelog.plans import accounting as A
+
+    pairs = [(w, 1) for w in (1, 2, 3, 4, 8, 9, 16, 27, 81, 256, 257, 400, 2**40)] + [(w, p) for w in range(2, 16) for p in range(1, w + 1)]
+    df = spark.createDataFrame(pairs, "w long, p long")
+    for c in (2, 3, 16):
+        left, right, wins = A.prefer_tree_k(F.col("w"), F.col("p"), c)
+        got = {(r.w, r.p): (r.l, r.r, r.x) for r in df.select("w", "p", left.alias("l"), right.alias("r"), wins.alias("x")).collect()}
+        assert got == {(w, p): A.prefer_tree_k(w, p, c) for w, p in pairs}
