@@ -117,6 +117,7 @@ def test_first_mutations_share_the_shuffle(spark):
 
 
 READS = [
+    "base_fanout_sweep",
     "base_running_sum_variance",
     "cover_worked_example",
     "cover_nodes_ranges",
