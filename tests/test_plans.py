@@ -117,6 +117,7 @@ def test_first_mutations_share_the_shuffle(spark):
 
 
 READS = [
+    "composition_table",
     "base_fanout_sweep",
     "base_running_sum_variance",
     "cover_worked_example",
@@ -150,3 +151,15 @@ def test_crossovers_of_columns_equal_those_of_numbers(spark):
                 left, right, wins = A.prefer_tree_b(F.col("w"), F.col("p"), b, c, formula)
                 got = {(r.w, r.p): (pytest.approx(r.l), r.r, r.x) for r in df.select("w", "p", left.alias("l"), right.alias("r"), wins.alias("x")).collect()}
                 assert {(w, p): A.prefer_tree_b(w, p, b, c, formula) for w, p in pairs} == got
+
+
+def test_compositions_of_columns_equal_those_of_numbers(spark):
+    from dpchangelog.plans import accounting as A
+
+    rows = QUERIES["composition_table"](spark, SF).collect()
+    assert len({r.k for r in rows}) > 1
+    for r in rows:
+        b = A.Budget(r.eps)
+        best = min(x.eps for x in A.compose_optimal(b, r.k) if x.delta <= 1e-6)
+        want = (r.k * r.eps, A.compose_advanced(b, r.k, 1e-6).eps, best, A.zcdp_epsilon(r.eps**2 / 2, r.k, 1e-6), A.compose_renyi(lambda a, e=r.eps: A.renyi_laplace(a, 1 / e), r.k, 1e-6))
+        assert (r.basic, r.advanced, r.optimal, r.zcdp, r.renyi) == pytest.approx(want, abs=2e-6)
