@@ -117,6 +117,7 @@ def test_first_mutations_share_the_shuffle(spark):
 
 
 READS = [
+    "filtered_budgets",
     "composition_table",
     "base_fanout_sweep",
     "base_running_sum_variance",
@@ -163,3 +164,8 @@ def test_compositions_of_columns_equal_those_of_numbers(spark):
         best = min(x.eps for x in A.compose_optimal(b, r.k) if x.delta <= 1e-6)
         want = (r.k * r.eps, A.compose_advanced(b, r.k, 1e-6).eps, best, A.zcdp_epsilon(r.eps**2 / 2, r.k, 1e-6), A.compose_renyi(lambda a, e=r.eps: A.renyi_laplace(a, 1 / e), r.k, 1e-6))
         assert (r.basic, r.advanced, r.optimal, r.zcdp, r.renyi) == pytest.approx(want, abs=2e-6)
+
+
+def test_no_entry_pays_more_than_the_filters_say(spark):
+    rows = QUERIES["filtered_budgets"](spark, SF).collect()
+    assert len(rows) == 4 and all(0 < r.paid <= r.eps and r.entries > 0 for r in rows)
