@@ -117,6 +117,7 @@ def test_first_mutations_share_the_shuffle(spark):
 
 
 READS = [
+    "cover_slack",
     "filtered_budgets",
     "composition_table",
     "base_fanout_sweep",
