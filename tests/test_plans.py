@@ -151,7 +151,7 @@ def test_crossovers_of_columns_equal_those_of_numbers(spark):
         for b in (1, 7, 30):
             for formula in ("safe", "published"):
                 left, right, wins = A.prefer_tree_b(F.col("w"), F.col("p"), b, c, formula)
-                got = {(r.w, r.p): (pytest.approx(r.l), r.r, r.x) for r in df.select("w", "p", left.alias("l"), right.alias("r"), wins.alias("x")).collect()}
+                got = {(r.w, r.p): (pytest.approx(r.l), pytest.approx(r.r), r.x) for r in df.select("w", "p", left.alias("l"), right.alias("r"), wins.alias("x")).collect()}
                 assert {(w, p): A.prefer_tree_b(w, p, b, c, formula) for w, p in pairs} == got
 
 
